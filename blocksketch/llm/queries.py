@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import line_dedup
+from . import line_dedup, quality, topk
 
-QUERIES = {"op10_line_dedup": line_dedup.query}
-SQL = {"op10_line_dedup": line_dedup.SQL}
+QUERIES = {"op4_quality_rules": quality.query, "op9_exact_topk": topk.query, "op10_line_dedup": line_dedup.query}
+SQL = {"op9_exact_topk": topk.SQL, "op10_line_dedup": line_dedup.SQL}

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import line_dedup, quality, topk
+from . import line_dedup, mixing, quality, topk
 
-QUERIES = {"op4_quality_rules": quality.query, "op9_exact_topk": topk.query, "op10_line_dedup": line_dedup.query}
+QUERIES = {"op3_mix_sources": mixing.query, "op4_quality_rules": quality.query, "op9_exact_topk": topk.query, "op10_line_dedup": line_dedup.query}
 SQL = {"op9_exact_topk": topk.SQL, "op10_line_dedup": line_dedup.SQL}

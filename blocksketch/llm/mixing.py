@@ -88,7 +88,7 @@ def _round_block(units: Column) -> Column:
 def copies(sizes: DataFrame, **how) -> DataFrame:
     """(doc_id, size, source, n, source_size, target, copies): sizes has doc_id, size, source; n numbers equal rows from 0."""
     spark = sizes.sparkSession
-    same_rows = sizes.groupBy("doc_id", "size", "source").agg(F.count(F.lit(1)).alias("m"))
+    same_rows = cut(sizes.groupBy("doc_id", "size", "source").agg(F.count(F.lit(1)).alias("m")))  # four values a document; texts are read once
     rows = same_rows.select("doc_id", "size", "source", F.explode(F.sequence(F.lit(0).cast("long"), F.col("m") - 1)).alias("n"))
     aim = cut(targets(same_rows.select("source", (F.col("size") * F.col("m")).alias("size")), **how))  # a row a source
     a = aim.select(F.col("source").alias("a_source"), "source_size", "target")

@@ -49,23 +49,84 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-class WordHashes(dict):
-    """word -> 64-bit hash, remembered up to a bound so that a worker's memory stays the same on any corpus."""
+_BASE = np.uint64(0x9E3779B97F4A7C15)
+_INVERSE = np.uint64(pow(int(_BASE), -1, 2**64))
+_SOLID = np.array([c not in (32, *range(9, 14)) for c in range(256)])
+_BYTE = np.random.default_rng(29).integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_BYTE_LOWER = _BYTE[[c + 32 if 65 <= c <= 90 else c for c in range(256)]]
+_POWERS: list[np.ndarray] = []
+_PART = 1 << 20
 
-    def __init__(self, bound: int = 400_000):
-        super().__init__()
-        import xxhash
 
-        self.bound, self.hash = bound, xxhash.xxh64_intdigest
+def _powers(n: int) -> list[np.ndarray]:
+    if not _POWERS or len(_POWERS[0]) < n:
+        _POWERS[:] = [np.multiply.accumulate(np.concatenate([[np.uint64(1)], np.full(max(n, _PART), x)])) for x in (_BASE, _INVERSE)]
+    return _POWERS
 
-    def __missing__(self, word: str) -> int:
-        if len(self) >= self.bound:
-            self.clear()
-        h = self[word] = self.hash(word.encode("utf-8", "surrogatepass"))
-        return h
 
-    def of(self, words: list[str]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), dtype=np.uint64, count=len(words))
+def hash_words(texts, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """(hashes, ends): the 64-bit hash of every word of an Arrow string array, and where each text's words end.
+
+    A word's hash is a polynomial of its UTF-8 bytes, taken from prefix sums over the array's own buffer, so no Python
+    object is made for a word. With lower, A-Z count as a-z. Null texts have no words.
+    """
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    texts = pc.fill_null(texts.cast(pa.large_string()), "")
+    n = len(texts)
+    if not n:
+        return np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.int64)
+    off = np.frombuffer(texts.buffers()[1], dtype=np.int64)[texts.offset : texts.offset + n + 1]
+    raw = np.frombuffer(texts.buffers()[2], dtype=np.uint8) if texts.buffers()[2] is not None else np.empty(0, np.uint8)
+    table, out, count, a = _BYTE_LOWER if lower else _BYTE, [], np.zeros(n, dtype=np.int64), 0
+    while a < n:  # texts of about _PART bytes together, one text at least
+        b = max(a + 1, int(np.searchsorted(off, off[a] + _PART, "right")) - 1)
+        b = min(b, n)
+        data, cuts = raw[off[a] : off[b]], off[a : b + 1] - off[a]
+        if len(data):
+            solid = _SOLID[data]
+            first, last = solid.copy(), solid.copy()
+            first[1:] &= ~solid[:-1]
+            last[:-1] &= ~solid[1:]
+            inner = cuts[(cuts > 0) & (cuts < len(data))]  # a text's end also ends a word
+            first[inner] = solid[inner]
+            last[inner - 1] = solid[inner - 1]
+            s, e = np.flatnonzero(first), np.flatnonzero(last) + 1
+            power, inverse = _powers(len(data))
+            with np.errstate(over="ignore"):
+                sums = np.concatenate([[np.uint64(0)], np.cumsum(table[data] * power[: len(data)])])
+                out.append(mix64((sums[e] - sums[s]) * inverse[s] + (e - s).astype(np.uint64)))
+            count[a:b] = np.diff(np.searchsorted(s, cuts))
+        a = b
+    return np.concatenate(out) if out else np.empty(0, dtype=np.uint64), np.cumsum(count)
+
+
+def pack(*arrays: np.ndarray) -> bytes:
+    import pickle
+
+    import pyarrow as pa
+
+    raw = pickle.dumps([(a.dtype.str, a.tobytes()) for a in arrays])
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def unpack(data: bytes) -> list[np.ndarray]:
+    import pickle
+
+    import pyarrow as pa
+
+    raw = pa.decompress(data[8:], int.from_bytes(data[:8], "little"), codec="zstd", asbytes=True)
+    return [np.frombuffer(b, dtype=d) for d, b in pickle.loads(raw)]
+
+
+def narrow(x: np.ndarray) -> np.ndarray:
+    """The same numbers, none below 0, in the smallest unsigned type."""
+    return x.astype(np.min_scalar_type(int(x.max()) if len(x) else 0))
+
+
+def sum_by(at: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
+    return np.bincount(at, weights=x, minlength=n)
 
 
 def windows(hashes: np.ndarray, n: int) -> np.ndarray:

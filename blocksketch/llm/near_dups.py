@@ -29,22 +29,19 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import WORDS, WordHashes, columns, components, cut, windows
+from .common import columns, components, cut, hash_words, mix64, windows
 
 WIDTH, THRESHOLD, BANDS, ROWS, STEP, TOLERANCE = 5, 0.8, 45, 6, 32, 1e-7
 BLOCK_ROWS, BLOCK_SHINGLES = 512, 400_000
 _CHUNK = 2048
 _MULTIPLIERS = np.random.default_rng(17).integers(0, 2**31, BANDS * ROWS, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
-_HASHES = WordHashes()
 
 
-def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
-    """Sorted distinct 64-bit shingle hashes."""
-    words = WORDS.findall(text or "")
-    if not words:
-        return np.empty(0, dtype=np.uint64)
-    h = _HASHES.of(words)
-    return np.unique(windows(h, min(width, len(h))))
+def shingle_sets(texts: pa.Array, width: int = WIDTH) -> list[np.ndarray]:
+    """Each text's sorted distinct 64-bit shingle hashes."""
+    h, ends = hash_words(texts)
+    own = (h[a:b] for a, b in zip([0, *ends[:-1].tolist()], ends.tolist()))
+    return [np.unique(windows(x, min(width, len(x)))) if len(x) else x for x in own]
 
 
 def signatures(sets: list[np.ndarray]) -> np.ndarray:
@@ -62,8 +59,6 @@ def signatures(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def band_hashes(sig: np.ndarray) -> np.ndarray:
-    from .common import mix64
-
     s = sig.reshape(len(sig), BANDS, ROWS).astype(np.uint64)
     with np.errstate(over="ignore"):
         h = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64), s.shape[:2]).copy()
@@ -89,7 +84,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for a in range(0, whole.num_rows, 1000):
             b = whole.slice(a, 1000)
-            sets = [shingles(x.as_py()) for x in b["text"]]
+            sets = shingle_sets(b["text"])
             some = [i for i, s in enumerate(sets) if len(s)]
             keys = [xxhash.xxh3_128_intdigest(s.tobytes()) if len(s) else None for s in sets]
             bands: list = [None] * len(sets)
@@ -104,7 +99,7 @@ def _payload(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for a in range(0, whole.num_rows, 1000):
             b = whole.slice(a, 1000)
-            sets = [shingles(x.as_py()) for x in b["text"]]
+            sets = shingle_sets(b["text"])
             sig = signatures(sets)
             yield pa.RecordBatch.from_arrays([*[b[c] for c in ("root", "blocks", "k1", "k2", "m")], pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([s[: 4 * STEP].tobytes() for s in sig], pa.binary())], ["root", "blocks", "k1", "k2", "m", "set", "sig"])
 

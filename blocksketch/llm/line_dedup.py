@@ -42,7 +42,8 @@ def keep_bitmaps(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     ranged = occ.repartitionByRange("k1", "k2", "doc_id").sortWithinPartitions("k1", "k2", "doc_id", "text_hash", "pos")
     per_doc = ranged.groupBy("k1", "k2", "doc_id").agg(F.collect_list(F.struct("text_hash", "pos")).alias("at"), F.min(F.struct("text_hash", "pos")).alias("first"))
     # element-wise structs keep the order (doc_id, text_hash, pos) with nulls first
-    per_key = per_doc.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n_docs"), F.min(F.struct("doc_id", "first", F.size("at"))).alias("first")).filter(F.col("n_docs") >= min_docs)
+    # written, so that both sides of the join below are plain shuffles and a hot line's partition can be split
+    per_key = cut(per_doc.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n_docs"), F.min(F.struct("doc_id", "first", F.size("at"))).alias("first")).filter(F.col("n_docs") >= min_docs))
     hit = per_doc.join(per_key.select("k1", "k2", F.col("first").alias("overall")), ["k1", "k2"])
     gone = hit.select("doc_id", "overall", F.explode("at").alias("o")).select("doc_id", F.col("o.text_hash").alias("text_hash"), F.col("o.pos").alias("pos"), "overall")
     if keep == "first":

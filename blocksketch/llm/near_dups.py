@@ -4,7 +4,8 @@
    shingle) give a 128-bit key, the same for documents of equal shingle sets: those form a class and are compared once.
 2. BANDS bands of ROWS MinHash values: a pair of similarity 0.8 shares no band with probability (1 - 0.8^6)^45, about one in
    a million; a pair sharing one passage shares a band hardly ever. Each bucket links its classes to its least class, so
-   a bucket of any size gives one edge a member, and the components of these edges are the candidate clusters.
+   a bucket of any size gives one edge a member, and the components of these edges are the candidate clusters; most
+   of a large group meets in the first few bands, and the others then see it as one.
 3. Clusters are dealt to blocks by a hash of the member, a block pair a group: no group grows with the cluster. In a
    group, MinHash values are compared STEP at a time; a pair whose posterior probability of similarity >= threshold
    (uniform prior) falls below TOLERANCE is dropped, and every other pair is verified on its shingle sets. A group
@@ -32,7 +33,7 @@ from pyspark.sql import Window as W
 from .common import columns, components, cut, hash_words, mix64, windows
 
 WIDTH, THRESHOLD, BANDS, ROWS, STEP, TOLERANCE = 5, 0.8, 45, 6, 32, 1e-7
-BLOCK_ROWS, BLOCK_SHINGLES = 512, 400_000
+BLOCK_ROWS, BLOCK_SHINGLES, FEW = 512, 400_000, 5
 _CHUNK = 2048
 _MULTIPLIERS = np.random.default_rng(17).integers(0, 2**31, BANDS * ROWS, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 
@@ -201,6 +202,29 @@ def _identified(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return d.withColumn("d1", F.xxhash64(*parts)).withColumn("d2", F.xxhash64(F.lit("second"), *parts))
 
 
+def _clusters(sketched: DataFrame) -> DataFrame:
+    """(node, root): the candidate cluster of every class that shares a bucket with another.
+
+    The first FEW bands come first and most members of a group meet there; the other bands then deal with the clusters
+    found so far, of which a bucket holds few, instead of with each member again.
+    """
+    found = None
+    for a, b in ((0, FEW), (FEW, BANDS)):
+        rows = sketched.select("k1", F.slice("bands", a + 1, b - a).alias("bands"))
+        if found is not None:
+            rows = rows.join(found.select(F.col("node").alias("k1"), "root"), "k1", "left").select(F.coalesce("root", "k1").alias("k1"), "bands")
+        in_band = rows.select("k1", F.explode("bands").alias("bh"))
+        shared = in_band.groupBy("bh").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).filter("lo <> hi").select("bh", "lo")
+        joined = components(in_band.join(shared, "bh").filter("k1 <> lo").select("k1", "lo").distinct(), "k1", "lo")
+        if found is None:
+            found = joined
+        else:
+            j = joined.select(F.col("node").alias("root"), F.col("root").alias("higher"))
+            old = found.join(j, "root", "left").select("node", F.coalesce("higher", "root").alias("root"))
+            found = old.unionByName(joined.join(found, "node", "left_anti"))
+    return found
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, d1, d2, class_id, first struct, n_links, n_text_links, n_copies, n_shingles): a row for each row of docs.
 
@@ -214,9 +238,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     place = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "d1", "d2")
     some = t.filter("n > 0")
     classes = cut(some.groupBy("k1", "k2").agg(F.min(place).alias("rep"), F.count(F.lit(1)).alias("m"), F.max("n").alias("n")))
-    in_band = some.select("k1", F.explode("bands").alias("bh"))
-    shared = in_band.groupBy("bh").agg(F.min("k1").alias("lo"), F.max("k1").alias("hi")).filter("lo <> hi").select("bh", "lo")
-    cluster = components(in_band.join(shared, "bh").filter("k1 <> lo").select("k1", "lo").distinct(), "k1", "lo")
+    cluster = _clusters(some)
     members = classes.join(cluster.select(F.col("node").alias("k1"), "root"), "k1")
     sizes = members.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_ROWS), F.ceil(F.sum("n") / BLOCK_SHINGLES)).alias("blocks"))
     members = members.join(sizes, "root").select(F.col("rep.d1").alias("d1"), F.col("rep.d2").alias("d2"), "root", "blocks", "k1", "k2", "m")

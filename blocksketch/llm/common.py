@@ -102,6 +102,19 @@ def hash_words(texts, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(out) if out else np.empty(0, dtype=np.uint64), np.cumsum(count)
 
 
+def slices(batch, column: str, size: int):
+    """A record batch in parts of about size bytes of the text column, one row at least."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch[column].cast(pa.large_string())), 0).to_numpy(zero_copy_only=False))
+    a = 0
+    while a < batch.num_rows:
+        b = max(a + 1, int(np.searchsorted(ends, (ends[a - 1] if a else 0) + size, "right")))
+        yield batch.slice(a, b - a)
+        a = b
+
+
 def pack(*arrays: np.ndarray) -> bytes:
     import pickle
 

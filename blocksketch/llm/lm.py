@@ -13,7 +13,7 @@ each unseen token, which backs off at the partition of h, where alpha(h) is put
 read, sent and scored once, and no table is broadcast or collected; the driver sees eight counts of counts and the
 spread words.
 
-Texts travel as packed rows, one for each Arrow batch of texts and partition.
+Texts travel as packed rows, one for each BATCH_BYTES of texts and partition.
 
 Defined results: null and empty texts hold one end token. A null id is trained on, not held out. Repeated rows count
 and are scored each. Without training texts every score is 0 tokens' knowledge: P of the unknown word is 1. Empty tables
@@ -29,10 +29,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import columns, hash_words, mix64, narrow, pack, sum_by, unpack
+from .common import columns, hash_words, mix64, narrow, pack, slices, sum_by, unpack
 
 END, START, K, DELTA, BASE_ADD = np.uint64(0x5EED0000000000E1), np.uint64(0x5EED0000000000A7), 5, 0.1, 0.1
-SPREAD, SALTS, PART_BYTES, LEAST_PARTS = 20_000, 8, 18_000_000, 48
+SPREAD, SALTS, BATCH_BYTES, PART_BYTES, LEAST_PARTS = 20_000, 8, 6_000_000, 9_000_000, 48
 _SENT = "p long, kind int, uid long, data binary"
 _ROUTED = "route long, kind int, uid long, n long, data binary"
 _BY_UID = "uid long, kind int, data binary"
@@ -112,7 +112,7 @@ def _table(names: list[str], rows: list[tuple], ints: tuple[str, ...] = ("kind",
 
 def _vocabulary_sent(parts: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x for whole in batches for x in slices(whole, "text", BATCH_BYTES)):
             w, _, own, _ = tokens(b["text"])
             train = ~np.array(b["held"].to_pylist(), dtype=bool)
             u, c = np.unique(w[train[own]], return_counts=True)
@@ -174,7 +174,7 @@ def _bigrams_sent(words: Words):
         from pyspark import TaskContext
 
         task = TaskContext.get().partitionId()
-        for number, b in enumerate(batches):
+        for number, b in enumerate(x for whole in batches for x in slices(whole, "text", BATCH_BYTES)):
             uid = task * (1 << 24) + number
             w, h, own, sizes = tokens(b["text"])
             held = np.array(b["held"].to_pylist(), dtype=bool)
@@ -184,12 +184,14 @@ def _bigrams_sent(words: Words):
             order = np.argsort(g, kind="stable")  # texts stay in order within a bigram
             g, own = g[order], own[order]
             at = _changes(g, own)  # one entry for each bigram of a text
-            text, count = own[at], np.diff(np.append(at, len(g)))
-            pair_at = _changes(g[at])
+            total = len(g)
+            text, count, g = own[at], np.diff(np.append(at, total)), g[at]
+            pair_at = _changes(g)
             size = np.diff(np.append(pair_at, len(at)))
             first = order[at[pair_at]]
             pw, ph = w[first], h[first]
-            p = np.where(words.find(pw)[0], _part(g[at[pair_at]], parts), _part(pw, parts))
+            del w, h, own, order, first, at
+            p = np.where(words.find(pw)[0], _part(g[pair_at], parts), _part(pw, parts))
             o = np.argsort(pw, kind="stable")
             o = o[np.argsort(p[o].astype(np.int32), kind="stable")]
             bound = np.searchsorted(p[o], np.arange(parts + 1))

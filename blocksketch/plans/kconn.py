@@ -178,10 +178,9 @@ def cut_sparsifier(updates: DataFrame, k: int, levels: int, seed: int = 5) -> Da
         flows = local_connectivity([(u, v, 1.0) for u, v in certificates[-1]], spark.createDataFrame(todo, "s long, t long"), float(k))
         low = {(s, t) for s, t, f in flows.collect() if f < k}
         here = set(certificates[-1])
-        decided = getattr(cut_sparsifier, "_none", set())
         for e in sorted(low):
             out.append((*e, 2.0**i if e in here else 0.0))
-        undecided = mine - low - decided
+        undecided = mine - low
     kept = [(u, v, w, int(math.log2(w))) for u, v, w in out if w > 0]
     return spark.createDataFrame(kept, "u long, v long, w double, level int")
 

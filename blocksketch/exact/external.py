@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.forest import contract_functional
-from ..session import cut
+from ..session import cut, fresh
 
 
 def components(edges: DataFrame, limit: int = 60) -> DataFrame:
@@ -17,7 +17,7 @@ def components(edges: DataFrame, limit: int = 60) -> DataFrame:
         around = both.join(labels.select(F.col("x").alias("y"), "label"), "y").groupBy("x").agg(F.min("label").alias("seen"))
         step = labels.join(around, "x").select("x", F.col("label").alias("old"), F.least("label", "seen").alias("label"))
         jump = step.select(F.col("x").alias("label"), F.col("label").alias("next"))
-        moved = cut(step.join(jump, "label", "left").select("x", "old", F.least("label", F.coalesce("next", "label")).alias("label")))
+        moved = fresh(cut(step.join(jump, "label", "left").select("x", "old", F.least("label", F.coalesce("next", "label")).alias("label"))))
         labels = moved.select("x", "label")
         if not moved.filter("label <> old").limit(1).count():
             return labels
@@ -48,7 +48,7 @@ def minimum_forest(edges: DataFrame) -> DataFrame:
         out = got if out is None else out.unionByName(got)
         r = roots.select(F.col("label").alias("a"), F.col("root").alias("ra"))
         q = roots.select(F.col("label").alias("b"), F.col("root").alias("rb"))
-        live = cut(live.join(r, "a").join(q, "b").filter("ra <> rb").select("u", "v", "w", F.col("ra").alias("a"), F.col("rb").alias("b")))
+        live = fresh(cut(live.join(r, "a").join(q, "b").filter("ra <> rb").select("u", "v", "w", F.col("ra").alias("a"), F.col("rb").alias("b"))))
     return out if out is not None else edges.select("u", "v", "w").limit(0)
 
 

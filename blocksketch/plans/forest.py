@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.cells import cut_cells, recover_one
-from ..session import cut
+from ..session import cut, fresh
 from ..spec import SketchExhausted, SketchSpec
 
 LOCAL = 200_000
@@ -55,7 +55,7 @@ def contract_functional(edges: DataFrame, steps: int | None = None) -> tuple[Dat
     for _ in range(steps):
         far = f.select("g", F.col("label").alias("to"), F.col("to").alias("to2"), F.col("least").alias("least2"))
         # cut each time: the plan reads f twice, and would double with every step
-        f = cut(f.join(far, ["g", "to"]).select("g", "label", F.col("to2").alias("to"), F.least("least", "least2").alias("least")))
+        f = fresh(cut(f.join(far, ["g", "to"]).select("g", "label", F.col("to2").alias("to"), F.least("least", "least2").alias("least"))))
     # each label has landed on its cycle; the cycle's least member is that of the stretch that starts there
     on_cycle = f.select("g", F.col("label").alias("to"), F.col("least").alias("root"))
     labels = f.join(on_cycle, ["g", "to"]).select("g", "label", "root")
@@ -79,14 +79,16 @@ def boruvka(cells: DataFrame, spec: SketchSpec, vertices: DataFrame, sketch: str
             raise SketchExhausted(f"open components after {spec.rows} rows")
         found = cut(recover_one(cut_cells(rows, labels, "g"), spec, "g", "label"))
         if not found.limit(1).count():
-            return labels, forest if forest is not None else _no_forest(spark), t + 1
+            least = labels.groupBy("g", "label").agg(F.min("x").alias("least"))  # a label is some member of its component until here
+            named = labels.join(least, ["g", "label"]).select("g", "x", F.col("least").alias("label"))
+            return named, forest if forest is not None else _no_forest(spark), t + 1
         ends = found.filter("u is not null")
         by = labels.select("g", F.col("x").alias("u"), F.col("label").alias("lu"))
         bv = labels.select("g", F.col("x").alias("v"), F.col("label").alias("lv"))
         e = ends.join(by, ["g", "u"]).join(bv, ["g", "v"]).filter("lu <> lv and (label = lu or label = lv)")
         e = cut(e.select("g", "label", F.when(F.col("label") == F.col("lu"), F.col("lv")).otherwise(F.col("lu")).alias("to"), "u", "v"))
         roots, kept = contract_functional(e)
-        labels = cut(labels.join(roots, ["g", "label"], "left").select("g", "x", F.coalesce("root", "label").alias("label")))
+        labels = fresh(cut(labels.join(roots, ["g", "label"], "left").select("g", "x", F.coalesce("root", "label").alias("label"))))
         kept = cut(kept.withColumn("round", F.lit(t)))
         forest = kept if forest is None else forest.unionByName(kept)
     raise SketchExhausted(f"open components after {spec.rows} rows")

@@ -20,3 +20,9 @@ def checkpoint_dir(spark: SparkSession) -> str:
 def cut(df: DataFrame) -> DataFrame:
     checkpoint_dir(df.sparkSession)
     return df.checkpoint()
+
+
+def fresh(df: DataFrame) -> DataFrame:
+    """The same rows as a plan without estimates. Estimates of joins multiply from round to round of a loop, without bound."""
+    spark = df.sparkSession
+    return DataFrame(spark._jsparkSession.createDataFrame(df._jdf.javaRDD(), df._jdf.schema()), spark)

@@ -9,7 +9,7 @@ characters: hex, word characters, others) is a finding of kind "cnn".
 Training: findings labelled by construction, drawn by a fixed seed (labelled_findings(), TRAIN_ROWS of them): keys of
 known shapes in assignments, headers, URLs and prose, against identifiers, numbers, paths, dates, checksums said to be
 such, and prose. Three fifths fit the weights, one fifth calibrates (a logistic map of the network's output), and one
-fifth sets each group's threshold: the largest that still finds RECALL of the group's secrets.
+fifth sets each group's threshold: one half, or less where RECALL of the group's secrets needs less.
 
 Defined results: a null text is empty and has no findings. Repeated rows are scanned each. Empty tables give empty
 tables. Other columns are not read. Offsets are code points, end exclusive.
@@ -193,7 +193,7 @@ def trained(rows: int = TRAIN_ROWS, seed: int = SEED, recall: float = RECALL) ->
     limits = {}
     for g in range(3):
         own = np.sort(p[(groups[j:] == g) & (y[j:] == 1)])
-        limits[g] = float(own[int((1 - recall) * len(own))]) if len(own) else 0.5
+        limits[g] = min(0.5, float(own[int((1 - recall) * len(own))])) if len(own) else 0.5
     said = p >= np.array([limits[g] for g in groups[j:]])
     return {"weights": net.w, "slope": slope, "offset": offset, "limits": limits, "recall": float(said[y[j:] == 1].mean()), "precision": float(y[j:][said].mean()) if said.any() else 0.0}
 

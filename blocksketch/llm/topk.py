@@ -13,7 +13,7 @@ Defined results: vectors that are null, empty, or hold a null or non-finite comp
 lengths score as if the shorter ended in zeros. A row with the query's own id is never its result, and repeated query
 ids ask once (the least vector by components). A null id is never a query and sorts last among ties. Fewer than k
 candidates give fewer rows. Components are floored to integers in double precision; sums are exact to 2**53, and a
-shard whose bounds go beyond that is scored in Python integers.
+shard whose bounds go beyond that is scored in Python integers; a score that no long can hold is an error.
 """
 
 from __future__ import annotations

@@ -40,6 +40,29 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def small_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Arrow batches of so many rows at most in this session, as texts may be long: a worker and its executor hold whole batches."""
+    if not 0 < int(spark.conf.get(ARROW_ROWS)) <= rows:
+        spark.conf.set(ARROW_ROWS, str(rows))
+
+
+def fresh(df: DataFrame) -> DataFrame:
+    """The same rows as a plan without estimates. Estimates of joins multiply from round to round of a loop, without bound."""
+    spark = df.sparkSession
+    return DataFrame(spark._jsparkSession.createDataFrame(df._jdf.javaRDD(), df._jdf.schema()), spark)
+
+
+def release(spark: SparkSession) -> None:
+    """Let go of finished plans now: a loop of many small jobs otherwise fills a small driver before its JVM collects."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser on uint64."""
     x = x ^ (x >> np.uint64(33))
@@ -166,16 +189,17 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", limit: int = 60) ->
     per-node minimum is partly aggregated before the shuffle, and Spark splits the joins of a hot label.
     """
     spark = edges.sparkSession
-    both = edges.select(F.col(a).alias("x"), F.col(b).alias("y")).filter("x <> y")
-    both = cut(both.union(both.select("y", "x")).distinct())
-    labels = cut(both.groupBy(F.col("x").alias("node")).agg(F.min("y").alias("m")).select("node", F.least("node", "m").alias("root")))
+    ends = edges.select(F.col(a).alias("x"), F.col(b).alias("y")).filter("x <> y")
+    both = ends.union(ends.select("y", "x"))
+    both = cut(both.union(both.select("x", F.col("x").alias("y"))).distinct())  # with a loop at each node, so that a round's minimum holds its own label
+    labels = cut(both.groupBy(F.col("x").alias("node")).agg(F.min("y").alias("root")))
     for _ in range(limit):
-        around = both.join(labels.select(F.col("node").alias("y"), "root"), "y").groupBy(F.col("x").alias("node")).agg(F.min("root").alias("seen"))
-        step = labels.join(around, "node").select("node", F.col("root").alias("old"), F.least("root", "seen").alias("root"))
-        jump = step.select(F.col("node").alias("root"), F.col("root").alias("next"))
-        nxt = cut(step.join(jump, "root", "left").select("node", "old", F.least("root", F.coalesce("next", "root")).alias("root")))
-        moved = nxt.filter("root <> old").limit(1).count()
-        labels = nxt.select("node", "root")
-        if not moved:
+        own = F.max(F.when(F.col("x") == F.col("y"), F.col("root"))).alias("old")
+        step = both.join(labels.withColumnRenamed("node", "y"), "y").groupBy(F.col("x").alias("node")).agg(F.min("root").alias("root"), own)
+        jump = labels.select(F.col("node").alias("root"), F.col("root").alias("next"))
+        now = fresh(cut(step.join(jump, "root").select("node", "old", F.least("root", "next").alias("root"))))
+        labels = now.select("node", "root")
+        release(spark)
+        if not now.filter("root <> old").limit(1).count():
             return labels
     raise RuntimeError(f"components of a graph did not settle in {limit} rounds")

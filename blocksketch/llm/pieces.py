@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import columns
+from .common import columns, small_batches
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -147,6 +147,7 @@ def _codec(shared) -> Codec:
 
 def encode_texts(docs: DataFrame, path: str = MODEL, text_col: str = "text", check: bool = False) -> DataFrame:
     """docs with ids array<int> and n_tokens int, and with check, round_trip boolean, behind its own columns (which may not have these names)."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(load_vocabulary(path))
     own, added = docs.columns, ["ids", "n_tokens", *(["round_trip"] if check else [])]
 

@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import WORDS, columns, same
+from .common import WORDS, columns, same, small_batches
 
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper"]
 #: measure -> (expression, least width of the middle half)
@@ -37,7 +37,7 @@ MEASURES = {
     "word_length": ("word_chars / n_words", 1.0),
     "upper": ("n_upper / word_chars", 0.05),
 }
-SPREAD, MIN_DOCS, ERROR, LARGE = 4.0, 30, 0.01, 100_000
+SPREAD, MIN_DOCS, ERROR, LARGE, BROADCAST_GROUPS = 4.0, 30, 0.01, 100_000, 20_000
 LOG_GAMMA = math.log((1 + ERROR) / (1 - ERROR))
 _UPPER = {c: None for c in range(65, 91)}
 
@@ -106,6 +106,7 @@ def base_failed() -> Column:
 
 def measured(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with the struct _q of COUNTS."""
+    small_batches(docs.sparkSession)
     return docs.withColumn("_q", text_counts(F.col(text_col)))
 
 
@@ -143,12 +144,14 @@ def thresholds(counts: DataFrame, spread: float = SPREAD, min_docs: int = MIN_DO
     pick = lambda q: F.when(F.col("n_docs") >= min_docs, F.col(q)).when(F.col("l_n_docs") >= min_docs, F.col(f"l_{q}")).otherwise(F.col(f"w_{q}"))
     floor = F.element_at(F.create_map(*[F.lit(x) for k, (_, f) in MEASURES.items() for x in (k, f)]), F.col("measure"))
     fence = pick("q75") + spread * F.greatest(pick("q75") - pick("q25"), floor)
-    return j.select("lang", "source", "measure", fence.alias("fence")).groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("measure", "fence"))).alias("fences"))
+    return cut(j.select("lang", "source", "measure", fence.alias("fence")).groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("measure", "fence"))).alias("fences")))
 
 
-def verdicts(counts: DataFrame, fences: DataFrame, prefix: str = "") -> DataFrame:
+def verdicts(counts: DataFrame, fences: DataFrame) -> DataFrame:
     """counts with base_failed and kept."""
     f = fences.select(F.col("lang").alias("_f_lang"), F.col("source").alias("_f_source"), "fences")
+    if f.limit(BROADCAST_GROUPS + 1).count() <= BROADCAST_GROUPS:  # a map of five numbers each; more groups are joined by a shuffle
+        f = F.broadcast(f)
     j = counts.join(f, same(F.col("lang"), F.col("_f_lang")) & same(F.col("source"), F.col("_f_source")), "left")
     over = F.lit(False)
     for k, (e, _) in MEASURES.items():

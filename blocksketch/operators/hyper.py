@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..functions.hashing import P, coefficients, level, poly_hash
-from ..session import cut
+from ..session import cut, fresh
 from ..spec import SketchExhausted, SketchSpec, size_spec
 from ..plans.forest import LOCAL, Union
 from .cells import _groups, vertex_group
@@ -96,27 +96,66 @@ def recover_hyper(cells: DataFrame, spec: SketchSpec, r: int, *keys: str) -> Dat
     return cells.select(*keys).distinct().join(some, list(keys), "left")
 
 
-def hyper_components(hyper: DataFrame, r: int, spec: SketchSpec | None = None) -> tuple[DataFrame, DataFrame]:
-    """(labels: x, label; spanning hypergraph: members). Sampled hyperedges, LOCAL at most, are united on the driver."""
-    spark = hyper.sparkSession
-    vertices = hyper.select(F.explode("members").alias("x")).distinct()
-    at = vertices.toPandas() if vertices.count() <= LOCAL else None
-    if at is None:
-        raise ValueError(f"more than {LOCAL} vertices: use the star expansion with connectivity")
-    spec = spec or size_spec(len(at), max(2, hyper.count()))
+def rank(hyper: DataFrame) -> int:
+    """The most members of a hyperedge, 2 at least."""
+    return max(2, hyper.agg(F.max(F.size("members"))).first()[0] or 0)
+
+
+def hyper_components(hyper: DataFrame, r: int | None = None, spec: SketchSpec | None = None, extraction: str = "auto") -> tuple[DataFrame, DataFrame]:
+    """(labels: x, label; spanning hypergraph: members). r: the most members of a hyperedge, counted if not given; a larger hyperedge is an error.
+
+    Up to LOCAL vertices (or extraction="local"), sampled hyperedges are united on the driver, each chosen one joining
+    something new. Beyond (or "distributed"), every round's hyperedges become stars over the labels they touch, whose
+    components are the next labels; all sampled hyperedges are returned then, which may close cycles.
+    """
+    most = rank(hyper)
+    if r is not None and most > r:
+        raise ValueError(f"a hyperedge of {most} members; r is {r}")
+    r = r or most
+    vertices = cut(hyper.select(F.explode("members").alias("x")).distinct())
+    count = vertices.count()
+    spec = spec or size_spec(count, max(2, hyper.count()))
     cells = cut(sketch_hyper(hyper, spec, r))
+    if extraction == "local" or extraction == "auto" and count <= LOCAL:
+        return _local(cells, vertices, spec, r)
+    return _distributed(cells, vertices, spec, r)
+
+
+def _found(cells: DataFrame, labels: DataFrame, spec: SketchSpec, r: int, t: int) -> DataFrame:
+    """(label, members) of round t, a row for each open label."""
+    a, b = t * spec.rows_per_round, (t + 1) * spec.rows_per_round
+    if b > spec.rows:
+        raise SketchExhausted(f"open components after {spec.rows} rows")
+    rows = cells.filter((F.col("row") >= a) & (F.col("row") < b)).join(labels, "x")
+    return recover_hyper(fold_hyper(rows, r, "label", "row", "lvl"), spec, r, "label")
+
+
+def _local(cells: DataFrame, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
+    spark, at = cells.sparkSession, vertices.toPandas()
     union, chosen, t = Union(), [], 0
     while True:
         labels = spark.createDataFrame(pd.DataFrame({"x": at.x, "label": [union.root(x) for x in at.x.tolist()]}), "x long, label long")
-        a, b = t * spec.rows_per_round, (t + 1) * spec.rows_per_round
-        if b > spec.rows:
-            raise SketchExhausted(f"open components after {spec.rows} rows")
-        rows = fold_hyper(cells.filter((F.col("row") >= a) & (F.col("row") < b)).join(labels, "x"), r, "label", "row", "lvl")
-        found = recover_hyper(rows, spec, r, "label").collect()
+        found = _found(cells, labels, spec, r, t).collect()
         if not found:
-            out = spark.createDataFrame([(m,) for m in chosen], "members array<long>")
-            return labels, out
+            return labels, spark.createDataFrame([(m,) for m in chosen], "members array<long>")
         for row in sorted((x for x in found if x.members), key=lambda x: x.label):
             if any([union.join(row.members[0], m) for m in row.members[1:]]):
                 chosen.append(list(row.members))
         t += 1
+
+
+def _distributed(cells: DataFrame, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
+    from ..exact.external import components
+
+    labels, chosen, t = vertices.select("x", F.col("x").alias("label")), None, 0
+    while True:
+        found = cut(_found(cells, labels, spec, r, t))
+        if not found.limit(1).count():
+            return labels, chosen if chosen is not None else cells.sparkSession.createDataFrame([], "members array<long>")
+        got = found.filter("members is not null").select("members").distinct()
+        touched = got.select(F.col("members")[0].alias("first"), F.explode("members").alias("x")).join(labels, "x")
+        star = touched.groupBy("first", "label").agg(F.lit(1)).join(labels.select(F.col("x").alias("first"), F.col("label").alias("u")), "first").filter("u <> label")
+        roots = components(star.select("u", F.col("label").alias("v"))).select(F.col("x").alias("label"), F.col("label").alias("root"))
+        labels = fresh(cut(labels.join(roots, "label", "left").select("x", F.coalesce("root", "label").alias("label"))))
+        chosen = got if chosen is None else chosen.union(got).distinct()
+        t += 1

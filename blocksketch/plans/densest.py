@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..exact.solvers import peel, peel_batch
 from ..functions.hashing import P, coefficients, poly_hash
-from .kconn import _collected
+from .kconn import collected
 
 
 def bucket_of(u, v, buckets: int, seed: int, t: int = 16):
@@ -61,7 +61,7 @@ def densest_subgraph(updates: DataFrame, eps: float, seed: int = 9, peeling: str
         parts = [bucket_of(F.col("u"), F.col("v"), buckets, seed + j, 2) * n + j for j in range(n)]
         each = updates.select("u", "v", "delta", F.explode(F.array(*parts)).alias("bucket"))
         sample = each.groupBy("bucket").applyInPandas(lambda key, f: draw((int(key[0]),), f), "u long, v long").distinct()
-    rows = sorted(set(_collected(sample)))
+    rows = sorted(set(collected(sample)))
     scale = p if partitions == "single" else (1 - (1 - p) ** math.ceil(math.log2(max(2, v))))
     density, vertices = (peel if peeling == "sequential" else peel_batch)(rows)
     return {"density": density / scale, "vertices": vertices, "p": p, "edges": e, "sample": len(rows), "regime": "exact" if p == 1 else "sampled"}

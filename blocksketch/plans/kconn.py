@@ -75,7 +75,7 @@ def k_certificate(updates: DataFrame, k: int, spec: SketchSpec | None = None, sc
     return out
 
 
-def _collected(edges: DataFrame, limit: int = LOCAL) -> list[tuple]:
+def collected(edges: DataFrame, limit: int = LOCAL) -> list[tuple]:
     """Edges of a certificate, whose number is bounded by k (V - 1); beyond the limit it is an error, not a silent sample."""
     rows = edges.limit(limit + 1).collect()
     if len(rows) > limit:
@@ -87,7 +87,7 @@ def edge_connectivity_upto(updates: DataFrame, k: int, exact_at_k: bool = True,
     """(lambda, False) if lambda <= k, else (k, True): at least k + 1, or k with exact_at_k=False."""
     t = k + 1 if exact_at_k else k
     vertices = touched(updates)
-    h = _collected(k_certificate(updates, t, spec, vertices=vertices).select("u", "v"))
+    h = collected(k_certificate(updates, t, spec, vertices=vertices).select("u", "v"))
     vs = [r.x for r in vertices.collect()] if vertices.count() <= LOCAL else []
     value = 0 if len(vs) > 1 and not h else int(min(stoer_wagner([(u, v, 1) for u, v in h], vs)[0], 10**9))
     if value >= t:
@@ -116,7 +116,7 @@ def approx_min_cut(updates: DataFrame, k: int, levels: int, seed: int = 5, searc
         if i not in memo:
             g = deep.filter(F.col("depth") >= i).drop("depth")
             own = spec or size_spec(len(vs), max(2, deep.count()), sketches=k, seed=seed + 101 * i)
-            h = _collected(k_certificate(g, k, own, vertices=vertices).select("u", "v"))
+            h = collected(k_certificate(g, k, own, vertices=vertices).select("u", "v"))
             memo[i] = stoer_wagner([(u, v, 1) for u, v in h], vs)
         return memo[i]
 
@@ -168,7 +168,7 @@ def cut_sparsifier(updates: DataFrame, k: int, levels: int, seed: int = 5) -> Da
         if i and not g.limit(1).count():
             break
         h = k_certificate(g, k, size_spec(n, max(2, deep.count()), sketches=k, seed=seed + 101 * i), vertices=vertices).select("u", "v")
-        certificates.append(_collected(h))
+        certificates.append(collected(h))
         mine = {e for c in certificates for e in c} if undecided is None else undecided
         mine |= set(certificates[-1])
         done = {(u, v) for u, v, _ in out}
@@ -192,7 +192,7 @@ def sampling_split(eps: float) -> float:
 
 def st_min_cuts(sparse: DataFrame, pairs: DataFrame) -> DataFrame:
     """(s, t, flow): minimum s-t cuts of a sparsifier (u, v, w)."""
-    return local_connectivity(_collected(sparse.select("u", "v", "w")), pairs, float("inf"))
+    return local_connectivity(collected(sparse.select("u", "v", "w")), pairs, float("inf"))
 
 
 def contraction_trials(edges: DataFrame, trials: int, seed: int = 3) -> DataFrame:
@@ -201,7 +201,7 @@ def contraction_trials(edges: DataFrame, trials: int, seed: int = 3) -> DataFram
     Edges get random ranks; contracting them in that order to two vertices is a spanning forest of the ranks without
     its last edge. Edges are shipped to the tasks, bounded by LOCAL.
     """
-    graph = _collected(edges.select("u", "v"))
+    graph = collected(edges.select("u", "v"))
 
     def run(frames):
         import random

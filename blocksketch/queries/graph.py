@@ -186,12 +186,12 @@ def sql_bipartite(e: str) -> str:
 register("bip_w1", sql_bipartite(WL.sql_edges("w1")))(lambda s, d: FM.is_bipartite(ins(s, d, "w1")))
 register("bip_w8", sql_bipartite(WL.sql_edges("w8")))(lambda s, d: FM.is_bipartite(ins(s, d, "w8")))
 COS = "list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[])"
-WL.SQL_PAIRS["w9"] = f"SELECT a.vec_id AS a, b.vec_id AS b, 1.0 AS w FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE a.vec_id < 500 AND b.vec_id < 500 AND round({COS}, 6) >= 0.35"
+WL.SQL_PAIRS["w9"] = f"SELECT a.vec_id AS a, b.vec_id AS b, 1.0 AS w FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE round({COS}, 6) >= 0.35"
 
 
 def w9(s, d, least=0.35):
-    """Pairs of the first 500 vectors by cosine; a bounded all-pairs workload graph."""
-    e = table(s, d, "embeddings").filter("vec_id < 500").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    """Pairs of vectors by cosine: an exact theta join, so its cost grows with the square of the vectors."""
+    e = table(s, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda a, b: a + b)
     e = e.withColumn("n", F.sqrt(dot("v", "v")))
     a, b = e.select(F.col("vec_id").alias("a"), F.col("v").alias("va"), F.col("n").alias("na")), e.select(F.col("vec_id").alias("b"), F.col("v").alias("vb"), F.col("n").alias("nb"))
@@ -204,13 +204,14 @@ register("bip_components_w9", WL.sql_components(COVER9, "SELECT bipartite, count
 
 # --- hypergraphs ---
 STAR = f"SELECT members[1] AS u, unnest(members[2:]) AS v FROM ({HW13})"
-register("hcc_w13", WL.sql_components(STAR))(lambda s, d: HY.hyper_components(hyper_w13(s, d), 4)[0])
+register("hcc_w13", WL.sql_components(STAR))(lambda s, d: HY.hyper_components(hyper_w13(s, d))[0])
+register("hcc_distributed_w13", WL.sql_components(STAR))(lambda s, d: HY.hyper_components(hyper_w13(s, d), extraction="distributed")[0])
 register("hyperforest_check_w13", WL.sql_components(STAR, "SELECT count(DISTINCT label) AS components, true AS spans FROM cc"))(lambda s, d: _hyperforest(s, d))
 
 
 def _hyperforest(s, d):
-    labels, chosen = HY.hyper_components(hyper_w13(s, d), 4)
-    star = chosen.select(F.element_at("members", 1).alias("u"), F.explode(F.slice("members", 2, 100)).alias("v"))
+    labels, chosen = HY.hyper_components(hyper_w13(s, d))
+    star = chosen.select(F.element_at("members", 1).alias("u"), F.explode(F.slice("members", 2, F.size("members"))).alias("v"))
     a = labels.agg(F.countDistinct("label").alias("components"))
     return a.crossJoin(external.components(star).agg(F.countDistinct("label").alias("c"))).select("components", (F.col("c") == F.col("components")).alias("spans"))
 
@@ -279,6 +280,8 @@ SELECT min(c) AS value FROM (SELECT m, sum(CASE WHEN ((m >> a) & 1) <> ((m >> b)
 
 register("lambda_w12b", f"SELECT CAST(least(value, 10) AS BIGINT) AS lambda FROM ({sql_min_cut(WL.sql_edges('w12b'))})")(lambda s, d: _row(s, "lambda long", _lambda(s, d, "w12b", 7)))
 
+register("lambda_w12", f"SELECT CAST(value AS BIGINT) AS lambda FROM ({sql_min_cut(WL.sql_edges('w12'))})")(lambda s, d: _row(s, "lambda long", _lambda(s, d, "w12", 9)))
+
 
 def _lambda(s, d, w, k):
     return K.edge_connectivity_upto(S.inserts(cut(WL.edges(s, d, w))), k)[0]
@@ -315,14 +318,22 @@ def _error(s, d):
     return deg(e, "exact").join(deg(sp, "estimate"), "x", "left").select("x", "exact", F.coalesce("estimate", F.lit(0.0)).alias("estimate"), F.round(F.abs(F.coalesce("estimate", F.lit(0.0)) / F.col("exact") - 1), 6).alias("error"))
 
 
-@register("st_cuts_w12b", f"WITH e AS ({WL.sql_edges('w12b')}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v), c AS (SELECT m, CAST(sum(CASE WHEN ((m >> a) & 1) <> ((m >> b) & 1) THEN 1 ELSE 0 END) AS DOUBLE) AS c FROM range(1, 1023) t(m), x GROUP BY m) SELECT p.x AS s, q.x AS t, min(c) AS flow FROM vs p JOIN vs q ON p.x < q.x, c WHERE ((m >> CAST(p.i AS BIGINT)) & 1) <> ((m >> CAST(q.i AS BIGINT)) & 1) GROUP BY 1, 2")
-def _st(s, d):
-    e = cut(WL.edges(s, d, "w12b"))
+def sql_st_cuts(e: str) -> str:
+    """Every pair's least cut, over all cuts of a graph of ten vertices."""
+    return f"WITH e AS ({e}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v), c AS (SELECT m, CAST(sum(CASE WHEN ((m >> a) & 1) <> ((m >> b) & 1) THEN 1 ELSE 0 END) AS DOUBLE) AS c FROM range(1, 1023) t(m), x GROUP BY m) SELECT p.x AS s, q.x AS t, min(c) AS flow FROM vs p JOIN vs q ON p.x < q.x, c WHERE ((m >> CAST(p.i AS BIGINT)) & 1) <> ((m >> CAST(q.i AS BIGINT)) & 1) GROUP BY 1, 2"
+
+
+def _st(s, d, w):
+    e = cut(WL.edges(s, d, w))
     v = e.select(F.explode(F.array("u", "v")).alias("x")).distinct()
     pairs = v.select(F.col("x").alias("s")).join(v.select(F.col("x").alias("t")), F.col("s") < F.col("t"))
     return K.st_min_cuts(e, pairs)
 
 
+register("st_cuts_w12b", sql_st_cuts(WL.sql_edges("w12b")))(lambda s, d: _st(s, d, "w12b"))
+register("st_cuts_w12", sql_st_cuts(WL.sql_edges("w12")))(lambda s, d: _st(s, d, "w12"))
+
+
 # --- densest ---
 DENSE12 = f"""WITH e AS ({WL.sql_edges('w12b')}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v)
 SELECT round(max(c / bit_count(m)), 6) AS density FROM (SELECT m, sum(CASE WHEN ((m >> a) & 1) = 1 AND ((m >> b) & 1) = 1 THEN 1.0 ELSE 0.0 END) AS c FROM range(1, 1024) t(m), x GROUP BY m)"""
@@ -353,12 +364,12 @@ def _small(s, d):
 # --- matrix, exact baselines ---
 register("spmv_w15", "SELECT l_orderkey AS row, round(sum(l_quantity * p_retailprice), 4) AS y FROM lineitem JOIN part ON p_partkey = l_partkey GROUP BY 1")(lambda s, d: FM.spmv(table(s, d, "lineitem").select(F.col("l_orderkey").alias("row"), F.col("l_partkey").alias("col"), F.col("l_quantity").alias("val")), table(s, d, "part").select(F.col("p_partkey").alias("col"), F.col("p_retailprice").alias("x")), 8).select("row", F.round("y", 4).alias("y")))
 register("exact_cc_w2", WL.sql_components(WL.sql_edges("w2")))(lambda s, d: external.components(WL.edges(s, d, "w2")))
-register("exact_bip_w8", sql_bipartite(WL.sql_edges("w8")))(lambda s, d: _exact_bip(s, d))
+register("exact_bip_w8", sql_bipartite(WL.sql_edges("w8")))(lambda s, d: _exact_bip(cut(WL.edges(s, d, "w8"))).agg(F.min("bipartite").alias("bipartite")))
+register("exact_bip_w9", SQL["bip_components_w9"])(lambda s, d: _exact_bip(cut(S.distinct_edges(w9(s, d), "a", "b", "w"))).groupBy("bipartite").agg(F.count(F.lit(1)).alias("n")))
 
 
-def _exact_bip(s, d):
-    e = cut(WL.edges(s, d, "w8"))
-    return external.bipartite_components(external.components(e), external.components(external.double_cover(e))).agg(F.min("bipartite").alias("bipartite"))
+def _exact_bip(e):
+    return external.bipartite_components(external.components(e), external.components(external.double_cover(e)))
 
 
 def sql_forest_weight(e: str) -> str:
@@ -367,14 +378,23 @@ def sql_forest_weight(e: str) -> str:
 
 
 register("exact_mst_w5", sql_forest_weight(WL.sql_edges("w5")))(lambda s, d: external.minimum_forest(WL.edges(s, d, "w5")).agg(F.sum("w").alias("weight"), F.count(F.lit(1)).alias("edges")))
+
+
+def sql_forest_weight_to(e: str, top: int) -> str:
+    """Integer weights from 1 to top: each threshold's joins beyond the former's cost that threshold."""
+    joined = " UNION ALL ".join(f"SELECT {t} AS t, (SELECT count(*) - count(DISTINCT label) FROM ({WL.sql_components(f'SELECT u, v FROM b WHERE w <= {t}')})) AS joined" for t in range(1, top + 1))
+    return f"WITH b AS MATERIALIZED ({e}), j AS ({joined}) SELECT CAST(sum(t * (joined - before)) AS DOUBLE) AS weight, CAST(max(joined) AS BIGINT) AS edges FROM (SELECT t, joined, coalesce(lag(joined) OVER (ORDER BY t), 0) AS before FROM j)"
+
+
+register("exact_mst_w1", sql_forest_weight_to(E1, 50))(lambda s, d: external.minimum_forest(WL.edges(s, d, "w1")).agg(F.sum("w").alias("weight"), F.count(F.lit(1)).alias("edges")))
 register("exact_mincut_w12", sql_min_cut(WL.sql_edges("w12")))(lambda s, d: _exact_cut(s, d))
 
 
 def _exact_cut(s, d):
-    e = [(r.u, r.v, 1) for r in WL.edges(s, d, "w12").limit(1000).collect()]
+    e = [(u, v, 1) for u, v in K.collected(WL.edges(s, d, "w12").select("u", "v"))]
     return _row(s, "value long", int(solvers.stoer_wagner(e, sorted({x for u, v, _ in e for x in (u, v)}))[0]))
 
 
-register("exact_peel_w12b", DENSE12)(lambda s, d: _row(s, "density double", round(solvers.peel([(r.u, r.v) for r in WL.edges(s, d, "w12b").limit(1000).collect()])[0], 6)))
+register("exact_peel_w12b", DENSE12)(lambda s, d: _row(s, "density double", round(solvers.peel(K.collected(WL.edges(s, d, "w12b").select("u", "v")))[0], 6)))
 register("adjacency_w7", f"SELECT count(*) AS edges, CAST(count(*) * 16 AS BIGINT) AS bytes FROM ({W7E})")(lambda s, d: external.adjacency_size(WL.stream_w7(s, d)))
 register("contraction_trials_w12b")(lambda s, d: K.contraction_trials(WL.edges(s, d, "w12b"), 200).agg(F.min("value").alias("best")))

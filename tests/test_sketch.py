@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from blocksketch.cost import formulas, simulate
 from blocksketch.exact import external, solvers
 from blocksketch.operators import cells as C
+from blocksketch.operators import hyper as HY
 from blocksketch.operators import stream as S
 from blocksketch.plans import connectivity as CC
 from blocksketch.plans import families as FM
@@ -125,3 +126,17 @@ def test_case_study_and_sizes():
     assert formulas.deletion_cost(8) == 12
     assert size_spec(2100, 51731).rows == 32
     assert simulate.lru_ios([(1, 2), (1, 2), (3, 4)], 10, 10, 20) == 8
+
+
+def test_hyperedges_beyond_r_are_refused_and_both_extractions_agree(spark):
+    r = random.Random(8)
+    sets = [sorted(r.sample(range(10 * b, 10 * b + 10), r.randint(2, 5))) for b in range(3) for _ in range(6)]
+    h = HY.canonical_hyperedges(spark.createDataFrame([(m,) for m in sets], "m array<long>"), "m")
+    with pytest.raises(ValueError):
+        HY.hyper_components(h, 3)
+    pairs = sorted({(m[0], x) for m in sets for x in m[1:]})
+    want = {(x.x, x.label) for x in external.components(spark.createDataFrame(pairs, "u long, v long")).collect()}
+    for how in ("local", "distributed"):
+        labels, chosen = HY.hyper_components(h, extraction=how)
+        assert {(x.x, x.label) for x in labels.collect()} == want
+        assert {tuple(c.members) for c in chosen.collect()} <= {tuple(m) for m in sets}

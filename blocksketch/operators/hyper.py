@@ -38,8 +38,9 @@ def digits(members: Column, r: int) -> Column:
 
 
 def fingerprint(spec: SketchSpec, digits_: Column) -> Column:
+    """The fifth power, a bijection modulo P, of a polynomial of the digits. The polynomial alone is linear in them, so the sum of several hyperedges would pass for one."""
     c = [x[0] for x in coefficients(spec.seed, 1, "hyper")][0]
-    return F.aggregate(digits_, F.lit(1).cast("long"), lambda a, d: _mod(_mod(a * c) + d))
+    return F.aggregate(digits_, F.lit(1).cast("long"), lambda a, d: _mod(_mod(a * c) + d), lambda a: _mod(_mod(_mod(a * a) * _mod(a * a)) * a))
 
 
 def hyper_hash(spec: SketchSpec, sk: Column, row: Column, fp: Column) -> Column:

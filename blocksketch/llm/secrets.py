@@ -1,15 +1,19 @@
 """Secret scan: rule findings, plus those of a character network over every other key-like token and its context.
 
-Base findings come from three patterns and always stay. Every other run of key characters (CANDIDATE: 16 or more, with
-a letter and two digits) that overlaps no base finding is a candidate; a small convolutional network in numpy reads the
+Base findings come from three patterns and always stay. Candidates are every run of 16 or more key characters, whatever
+they are (CANDIDATE), and every value of 6 or more characters behind a key-like name (NAMED: pwd=, pass:, auth=,
+credential is, Bearer and the like), which is taken without its name; a run around such a value leaves its other pieces
+as candidates if they still have 16 characters. What overlaps a base finding is no candidate. A small convolutional network in numpy reads the
 candidate with CONTEXT characters on both sides, in pieces of PIECE characters whose features are pooled, so a long
 candidate is read whole. A candidate whose calibrated probability reaches the threshold of its group (the candidate's
 characters: hex, word characters, others) is a finding of kind "cnn".
 
 Training: findings labelled by construction, drawn by a fixed seed (labelled_findings(), TRAIN_ROWS of them): keys of
-known shapes in assignments, headers, URLs and prose, against identifiers, numbers, paths, dates, checksums said to be
-such, and prose. Three fifths fit the weights, one fifth calibrates (a logistic map of the network's output), and one
-fifth sets each group's threshold: one half, or less where RECALL of the group's secrets needs less.
+known shapes and passwords in assignments, headers, URLs and prose, against identifiers, numbers, paths, dates, checksums
+said to be such, plain values behind key-like names, long words, and prose. The network is given what candidates() finds
+in these texts, as in a scan. Three fifths fit the weights, one fifth calibrates (a logistic map of the network's
+output), and one fifth sets each group's threshold: one half, or less where RECALL of the group's secrets needs less. A
+secret that no candidate covers counts as missed; one that a base finding covers is not the network's and is left out.
 
 Defined results: a null text is empty and has no findings. Repeated rows are scanned each. Empty tables give empty
 tables. Other columns are not read. Offsets are code points, end exclusive.
@@ -17,6 +21,7 @@ tables. Other columns are not read. Offsets are code points, end exclusive.
 
 from __future__ import annotations
 
+import bisect
 import functools
 import hashlib
 import random
@@ -36,9 +41,11 @@ BASE = (
     ("hex", re.compile(r"[0-9a-f]+"), 0, 24),
 )
 _HEX = re.compile(r"[0-9a-f]{24,}")  # the same runs, without those that fail
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=.~-]{16,}")
+LEAST = 16
+CANDIDATE = re.compile(rf"[A-Za-z0-9+/_=.~-]{{{LEAST},}}")
+NAMED = re.compile(r"""(?:key|auth\w{0,12}|cred\w{0,12}|pass\w{0,12}|pwd|pw|pin|secret|token|bearer|signature|sig|webhook|session\w{0,8}|login|jwt|otp)["']?(?:\x20{0,3}[:=]\x20{0,3}|\x20(?:is|was)\x20|(?<=bearer)\x20)["']?([A-Za-z0-9!#$%*+/=@^_~.-]{6,})""", re.I | re.A)
 CONTEXT, PIECE, WIDTH, CHANNELS, FILTERS = 24, 96, 5, 10, 32
-TRAIN_ROWS, RECALL, SEED = 6000, 0.98, 7
+TRAIN_ROWS, RECALL, SEED = 10000, 0.98, 7
 _ALNUM = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
 
 
@@ -53,18 +60,37 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 
 
 def candidates(text: str, taken: list[tuple]) -> list[tuple[int, int]]:
-    out, t = [], 0
-    spans = sorted((s, e) for s, _, _, e in taken)
+    out: list[tuple[int, int]] = []
+    starts, ends = [], []  # stretches of base findings, united
+    for s, e in sorted((s, e) for s, _, _, e in taken):
+        if ends and s <= ends[-1]:
+            ends[-1] = max(ends[-1], e)
+        else:
+            starts.append(s)
+            ends.append(e)
+    free = lambda a, b: (t := bisect.bisect_right(ends, a)) == len(starts) or starts[t] >= b
+    named = []
+    for m in NAMED.finditer(text):
+        a, b = m.span(1)
+        while b > a and text[b - 1] in ".!":  # the end of a sentence
+            b -= 1
+        if b - a >= 6 and free(a, b):
+            named.append((a, b))
+    t = 0
     for m in CANDIDATE.finditer(text):
         a, b = m.span()
-        x = m.group()
-        if sum(map(str.isdigit, x)) < 2 or not any(map(str.isalpha, x)):
-            continue
-        while t < len(spans) and spans[t][1] <= a:
+        while t < len(named) and named[t][1] <= a:
             t += 1
-        if not any(s < b and e > a for s, e in spans[max(0, t - 1) : t + 8]) and not any(s < b and e > a for s, e in spans[t:] if s < b):
+        if not free(a, b):
+            continue
+        k = t
+        while k < len(named) and named[k][0] < b:
+            if named[k][0] - a >= LEAST:
+                out.append((a, named[k][0]))
+            a, k = max(a, named[k][1]), k + 1
+        if b - a >= LEAST:
             out.append((a, b))
-    return out
+    return sorted(out + named)
 
 
 def group_of(x: str) -> int:
@@ -81,19 +107,31 @@ def labelled_findings(rows: int = TRAIN_ROWS, seed: int = SEED) -> list[tuple[st
 
     def secret() -> tuple[str, str]:
         name = r.choice(["key", "auth", "credential", "client_key", "access_key", "private_key", "pwd", "pass", "bearer", "signature", "webhook"])
+        if r.random() < 0.25:  # short values stand behind names
+            value = r.choice([
+                lambda: pick(_ALNUM, r.randint(8, 15)), lambda: pick(_ALNUM + "!#$%@^*", r.randint(8, 15)) + pick(_ALNUM, 1), lambda: word().title() + pick("0123456789", r.randint(2, 4)) + pick("!#$%@*", r.randint(1, 2)) + pick(_ALNUM, 2),
+                lambda: pick(hexa, r.randint(4, 7)) + pick("0123456789", 2) + pick(hexa, r.randint(4, 7)),
+            ])()
+            lead = r.choice([f"{name}={{}}", f"{name}: {{}}", f'"{name}": "{{}}"', f"{name.upper()}='{{}}'", f"my {name} is {{}} ,", f"https://{word()}.example/?{name}={{}}"])
+            return lead, value
         value = r.choice([
-            lambda: pick(_ALNUM, r.randint(20, 64)), lambda: pick(_ALNUM + "+/", r.randint(30, 60)) + "=" * r.randint(0, 2), lambda: r.choice(["ghp_", "gho_", "glpat-", "sk_live_", "rk_live_", "xoxb-", "npm_", "SG.", "sk-"]) + pick(_ALNUM, r.randint(20, 48)),
+            lambda: pick(_ALNUM, r.randint(16, 64)), lambda: pick(_ALNUM + "+/", r.randint(30, 60)) + "=" * r.randint(0, 2), lambda: r.choice(["ghp_", "gho_", "glpat-", "sk_live_", "rk_live_", "xoxb-", "npm_", "SG.", "sk-"]) + pick(_ALNUM, r.randint(20, 48)),
             lambda: pick(hexa.upper(), r.choice([32, 40, 64])), lambda: "eyJ" + pick(_ALNUM, 30) + "." + pick(_ALNUM + "_-", r.randint(30, 90)) + "." + pick(_ALNUM + "_-", 43), lambda: "AIza" + pick(_ALNUM + "_-", 35),
         ])()
         lead = r.choice([f"{name}={{}}", f'{name}: "{{}}"', f"{name.upper()}={{}}", "Authorization: Bearer {}", "https://" + word() + ".example/?" + name + "={}", "{}", f"export {name.upper()}='{{}}'", f"my {name} is {{}} ,"])
         return lead, value
 
     def plain() -> tuple[str, str]:
-        kind = r.randrange(10)
+        kind = r.randrange(17)
+        name = r.choice(["key", "auth", "credential", "client_key", "access_key", "pwd", "pass", "bearer", "signature", "webhook", "pin", "session", "login", "author", "passage", "authority"])
+        mark = r.choice(["{}={{}}", "{}: {{}}", '"{}": "{{}}"', "the {} is {{}} ,", "{}: {{}} " + word()]).format(name)
+        camel = "".join(word().title() for _ in range(4))
         date = f"{r.randint(1990, 2030)}-{r.randint(1, 12):02}-{r.randint(1, 28):02}"
         return [
             ("{}", word() + "_" + word() + "_" + str(r.randint(10, 9999)) + word()), ("{}", f"{date}T{r.randint(0, 23):02}.{r.randint(0, 59):02}.00Z"), ("see {}", "/" + "/".join([word(), word(), str(r.randint(10, 99)), word()]) + ".html"), ("https://{}", f"{word()}.example.com/{word()}/{r.randint(10, 9999)}"), ("version {}", f"{word()}-{word()}-{r.randint(1, 20)}.{r.randint(0, 30)}.{r.randint(0, 9)}-{word()}"),
             ("id {}", "-".join(pick(hexa, n) for n in (8, 4, 4, 4, 12))), ("sha256: {} checksum", pick(hexa.upper(), 64)), ("{}", word() + word() + word() + str(r.randint(10, 99)) + word()), ("{}", "=" * r.randint(8, 20) + word() + str(r.randint(10, 99)) + "-" * 12), ("order {}", "ORD-" + date + "-" + pick("0123456789", 8)),
+            (mark, pick(low, r.randint(6, 12))), (mark, r.choice([date, word() + "-" + word(), word() + "_" + word(), word() + "/" + word() + ".txt", "/" + word() + "/" + word(), word().title() + word()])),
+            ("{}", word() + camel + pick(low, 8)), ("{}", pick(low, r.randint(16, 30))), ("{}", r.choice("=-_.~") * r.randint(16, 60)), (r.choice(["no {}", "{}", word() + ": {}"]), pick("0123456789", r.randint(16, 24))), ("{}", pick(low, r.randint(16, 24)).upper()),
         ][kind]
 
     out = []
@@ -106,6 +144,26 @@ def labelled_findings(rows: int = TRAIN_ROWS, seed: int = SEED) -> list[tuple[st
     return out
 
 
+def labelled_candidates(rows: list[tuple[str, int, int, int]]) -> tuple[list[tuple[str, int, int]], np.ndarray, np.ndarray]:
+    """What a scan would show the network of labelled_findings(): candidates, whether each covers a secret, and its row; and, as candidates without a text, the secrets that neither a candidate nor a base finding covers."""
+    shown, label, own = [], [], []
+    for i, (text, a, b, secret) in enumerate(rows):
+        base = base_spans(text)
+        found = False
+        for s, e in candidates(text, base):
+            hit = bool(secret) and s <= a and b <= e
+            found |= hit
+            if hit or not secret or e <= a or s >= b:  # a piece of a secret is neither
+                shown.append((text, s, e))
+                label.append(hit)
+                own.append(i)
+        if secret and not found and not any(s <= a and b <= e for s, _, _, e in base):
+            shown.append(("", 0, 0))
+            label.append(True)
+            own.append(i)
+    return shown, np.array(label, dtype=float), np.array(own)
+
+
 def encode(text: str, start: int, end: int) -> np.ndarray:
     """Character codes from 1 to 96 (0: none), plus 97 inside the candidate."""
     a, b = max(0, start - CONTEXT), min(len(text), end + CONTEXT)
@@ -178,24 +236,58 @@ class Network:
 
 @functools.cache
 def trained(rows: int = TRAIN_ROWS, seed: int = SEED, recall: float = RECALL) -> dict:
-    """{weights, slope, offset, thresholds by group, recall and precision on the last fifth}."""
+    """{weights, slope, offset, thresholds by group, recall and precision on the last fifth, share of its secrets that never become candidates}."""
     data = labelled_findings(rows, seed)
-    codes, y = [encode(t, a, b) for t, a, b, _ in data], np.array([x[3] for x in data], dtype=float)
-    groups = np.array([group_of(t[a:b]) for t, a, b, _ in data])
-    i, j = rows * 3 // 5, rows * 4 // 5
+    shown, y, own = labelled_candidates(data)
+    live = np.array([bool(t) for t, *_ in shown])
+    groups = np.array([group_of(data[i][0][data[i][1] : data[i][2]]) if not t else group_of(t[a:b]) for i, (t, a, b) in zip(own, shown)])
+    part = np.digitize(own, [rows * 3 // 5, rows * 4 // 5])
+    codes = lambda which: [encode(*shown[k]) for k in np.flatnonzero(which)]
     net = Network(seed)
-    net.fit(codes[:i], y[:i])
-    z, slope, offset = net.logits(codes[i:j]), 1.0, 0.0
+    net.fit(codes((part == 0) & live), y[(part == 0) & live])
+    middle = (part == 1) & live
+    z, slope, offset = net.logits(codes(middle)), 1.0, 0.0
     for _ in range(200):  # a logistic map of the output, by gradient steps
-        e = 1 / (1 + np.exp(-np.clip(slope * z + offset, -40, 40))) - y[i:j]
+        e = 1 / (1 + np.exp(-np.clip(slope * z + offset, -40, 40))) - y[middle]
         slope, offset = slope - 0.02 * float((e * z).mean()), offset - 0.2 * float(e.mean())
-    p = 1 / (1 + np.exp(-np.clip(slope * net.logits(codes[j:]) + offset, -40, 40)))
+    last = part == 2
+    p = np.zeros(len(shown))  # a secret that is no candidate has no chance
+    p[last & live] = 1 / (1 + np.exp(-np.clip(slope * net.logits(codes(last & live)) + offset, -40, 40)))
     limits = {}
     for g in range(3):
-        own = np.sort(p[(groups[j:] == g) & (y[j:] == 1)])
-        limits[g] = min(0.5, float(own[int((1 - recall) * len(own))])) if len(own) else 0.5
-    said = p >= np.array([limits[g] for g in groups[j:]])
-    return {"weights": net.w, "slope": slope, "offset": offset, "limits": limits, "recall": float(said[y[j:] == 1].mean()), "precision": float(y[j:][said].mean()) if said.any() else 0.0}
+        mine = np.sort(p[last & (groups == g) & (y == 1)])
+        limits[g] = min(0.5, float(mine[int((1 - recall) * len(mine))])) if len(mine) else 0.5
+        if limits[g] <= 0:
+            raise ValueError("more secrets are no candidates than the recall allows")
+    said = last & (p >= np.array([limits[g] for g in groups]))
+    secret = last & (y == 1)
+    return {"weights": net.w, "slope": slope, "offset": offset, "limits": limits, "recall": float(said[secret].mean()), "precision": float(y[said].mean()) if said.any() else 0.0, "no_candidate": float((~live[secret]).mean())}
+
+
+def find(texts: list[str | None], model: dict) -> list[list[tuple[int, int, str, int]]]:
+    """(start, rank of kind, kind, end) of each text's findings in order."""
+    net = Network()
+    net.w = model["weights"]
+    found, codes, where = [], [], []
+    for i, text in enumerate(texts):
+        text = text or ""
+        base = base_spans(text)
+        found.append(base)
+        for a, e in candidates(text, base):
+            codes.append(encode(text, a, e))
+            where.append((i, a, e, group_of(text[a:e])))
+            if len(codes) == 4096:  # a long text may hold many
+                _judge(net, model, codes, where, found)
+                codes, where = [], []
+    _judge(net, model, codes, where, found)
+    return [sorted(f) for f in found]
+
+
+def _judge(net: Network, model: dict, codes: list[np.ndarray], where: list[tuple], found: list[list]) -> None:
+    p = 1 / (1 + np.exp(-np.clip(model["slope"] * net.logits(codes) + model["offset"], -40, 40)))
+    for (i, a, e, g), q in zip(where, p):
+        if q >= model["limits"][g]:
+            found[i].append((a, len(BASE), "cnn", e))
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model: dict | None = None) -> DataFrame:
@@ -203,23 +295,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model:
     model = model or trained()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        net = Network()
-        net.w = model["weights"]
         kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
         for b in batches:
-            found, codes, where = [], [], []
-            for i, x in enumerate(b["text"]):
-                text = x.as_py() or ""
-                base = base_spans(text)
-                found.append(base)
-                for a, e in candidates(text, base):
-                    codes.append(encode(text, a, e))
-                    where.append((i, a, e, group_of(text[a:e])))
-            p = 1 / (1 + np.exp(-np.clip(model["slope"] * net.logits(codes) + model["offset"], -40, 40)))
-            for (i, a, e, g), q in zip(where, p):
-                if q >= model["limits"][g]:
-                    found[i].append((a, len(BASE), "cnn", e))
-            out = [[{"kind": k, "start": a, "end": e} for a, _, k, e in sorted(f)] for f in found]
+            out = [[{"kind": k, "start": a, "end": e} for a, _, k, e in f] for f in find(b["text"].to_pylist(), model)]
             yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array(out, kind)], ["doc_id", "findings"])
 
     d = columns(docs, doc_id=id_col, text=text_col)

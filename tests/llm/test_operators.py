@@ -222,6 +222,22 @@ def test_secrets_base_and_network(spark):
     assert [f.kind for f in got[0].findings] == ["cnn"] and got[1].findings == [] and got[2].findings == []
 
 
+def test_secrets_reach_the_network():
+    m = secrets.trained()
+    assert m["no_candidate"] <= 0.02
+    rows = [x for x in secrets.labelled_findings(2000, 99) if x[3]]
+    found = secrets.find([x[0] for x in rows], m)
+    assert sum(any(s <= a and b <= e for s, _, _, e in f) for (_, a, b, _), f in zip(rows, found)) >= 0.97 * len(rows)
+    for text, value in (("see qWErTYuiOPasDFghJKlz here", "qWErTYuiOPasDFghJKlz"), ("pwd=Xk29vQm4", "Xk29vQm4"), ("pass: tR7bLw0PsYe", "tR7bLw0PsYe"), ("DB_AUTH='hJ8uNcA61f'", "hJ8uNcA61f"), ("credential = p4Wq!zR8x", "p4Wq!zR8x")):
+        a = text.index(value)
+        assert (a, a + len(value)) in secrets.candidates(text, [])
+    assert secrets.candidates("A" * 20 + ".key=Zx81ppQ2", []) == [(0, 25), (25, 33)]
+    r = random.Random(5)
+    for n, lead in ((8, "auth={}"), (12, "pwd={}"), (16, "credential: {}"), (20, "{}")):
+        texts = [lead.format("".join(r.choices(secrets._ALNUM, k=n))) for _ in range(300)]
+        assert sum(map(bool, secrets.find(texts, m))) >= 0.95 * len(texts)
+
+
 def test_html_text():
     w = html_text.trained()
     for page, good in html_text.labelled_pages(60, 123):

@@ -11,7 +11,10 @@ labels: menus, headers, footers, sidebars, notices, adverts, forms, reader comme
 semantic tags.
 
 Text of a block: character references decoded, white space one space, trimmed; blocks that are content are joined by
-\\n in page order. Scripts, styles, form controls, hidden elements, comments and the head never make blocks.
+\\n in page order. Scripts, styles, templates, frames, form controls, hidden elements, comments, the head and annotations of
+formulas never make blocks; formulas, drawings' text and what stands in for media are read like other text. The head
+ends at its end tag, or at the first element or text that cannot stand in one; elements whose end tag may be left out
+end where it is implied, hidden or not.
 
 Defined results: a null or empty page, or one without content, gives an empty text. Broken or cut-off markup is read as
 far as it goes. Repeated rows are read each. Empty tables give empty tables. Other columns are not read.
@@ -35,7 +38,10 @@ from .common import columns
 TRAIN_PAGES, SEED, SMOOTH = 300, 11, 0.6
 
 #: HTML element names by their role, and hints in class, id and role.
-SKIP = frozenset("head script style noscript template svg math iframe object canvas audio video select textarea button option datalist".split())
+SKIP = frozenset("head script style template iframe select textarea button option datalist annotation annotation-xml".split())
+HEAD = frozenset("head title base basefont bgsound link meta style script noscript noframes template".split())  # what leaves a head open
+SCOPE = frozenset("button template object".split())  # implied ends stop here
+HIDDEN = 32
 RAW = frozenset("script style textarea title noscript iframe".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody tfoot thead tr ul".split())
@@ -48,7 +54,7 @@ _TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>
 _ATTR = re.compile(r"""([^\s"'<>/=]+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'=<>`]+))?""")
 _SPLIT = re.compile(r"[-_]+|(?<=[a-z])(?=[A-Z])")
 #: An element that opens closes an open one of these.
-CLOSES = {"li": ("li",), "dd": ("dd", "dt"), "dt": ("dd", "dt"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
+CLOSES = {"li": ("li",), "dd": ("dd", "dt"), "dt": ("dd", "dt"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "optgroup": ("option",), "button": ("button",), **dict.fromkeys(("thead", "tbody", "tfoot"), ("thead", "tbody", "tfoot", "caption", "tr", "td", "th"))}
 
 
 class Block:
@@ -83,7 +89,7 @@ def _flags(tag: str, attrs: str, outer: int) -> tuple[int, bool]:
                     f |= 4
                 if k == "role" and v == "main" or k == "itemprop" and v == "article Body":
                     f |= 1
-            elif k == "hidden" or k == "aria-hidden" and v == "true" or k == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", v):
+            elif k == "hidden" or k == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", v):
                 hidden = True
     return f, hidden
 
@@ -92,9 +98,8 @@ def blocks_of(page: str) -> list[Block]:
     stack: list[tuple[str, int, int]] = []  # name, number, marks
     out: list[Block] = []
     now: Block | None = None
-    skip: tuple[str, int] | None = None  # element whose inside is left out, and its depth in elements of that name
     links = number = 0
-    at, n = 0, len(page)
+    at, n, ends = 0, len(page), True  # whether a noscript may still end
 
     def end() -> None:
         nonlocal now
@@ -109,8 +114,12 @@ def blocks_of(page: str) -> list[Block]:
         m = _TOKEN.match(page, at)
         at = m.end()
         text = m[7]
+        top = stack[-1] if stack else ("", 0, 0)
         if text is not None:
-            if skip is None:
+            if top[0] == "head" and not text.isspace():
+                stack.pop()
+                top = stack[-1] if stack else ("", 0, 0)
+            if not top[2] & HIDDEN:
                 if now is None:
                     if text.isspace():
                         continue
@@ -124,59 +133,67 @@ def blocks_of(page: str) -> list[Block]:
         if tag is None:
             continue
         tag = tag.lower()
-        if skip is not None:
-            if tag == skip[0] and tag not in VOID:
-                depth = skip[1] + (-1 if closing else 1)
-                skip = (tag, depth) if depth else None
-            continue
+        shown = not top[2] & HIDDEN
         if closing:
-            if tag == "a":
+            if tag == "a" and shown:
                 links = max(0, links - 1)
-            if tag in BLOCK:
-                end()
-            elif now is not None and tag in ("td", "th"):
+            if shown and tag not in BLOCK and now is not None and tag in ("td", "th"):
                 now.parts.append(" ")
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == tag:
                     del stack[k:]
                     break
+                if stack[k][0] in BLOCK and tag not in BLOCK and tag not in ("td", "th", "head") and stack[k][2] & HIDDEN and not (k and stack[k - 1][2] & HIDDEN):
+                    break  # an inline end tag does not end a hidden block
+            if tag in BLOCK and (shown or not (stack and stack[-1][2] & HIDDEN)):
+                end()
             continue
-        if tag in RAW or tag in SKIP:
+        if top[0] == "head" and tag not in HEAD or tag == "body":
+            for k in range(len(stack) - 1, -1, -1):
+                if stack[k][0] == "head":
+                    del stack[k:]
+                    break
+        if tag in RAW and (tag != "noscript" or stack and stack[-1][0] == "head"):
             if not attrs.endswith("/"):
-                if tag in RAW:
-                    close = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
-                    at = close.end() if close else n
-                else:
-                    skip = (tag, 1)
+                close = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at) if tag != "noscript" or ends else None
+                ends = ends and (tag != "noscript" or close is not None)
+                at = close.end() if close else at if tag == "noscript" else n
             continue
-        if tag in ("br", "wbr", "td", "th") and now is not None:
-            now.parts.append(" ")
         if tag in BLOCK:
-            end()
-            links = 0 if tag in ("article", "main", "body", "p") else links
             for k in range(len(stack) - 1, -1, -1):  # a block ends an open paragraph
                 if stack[k][0] == "p":
                     del stack[k:]
                     break
-                if stack[k][0] in BLOCK:
+                if stack[k][0] in BLOCK or stack[k][0] in SCOPE:
                     break
         for old in CLOSES.get(tag, ()):
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == old:
                     del stack[k:]
                     break
-                if stack[k][0] in ("ul", "ol", "dl", "table", "menu"):
+                if stack[k][0] in ("ul", "ol", "dl", "table", "menu") or stack[k][0] in SCOPE:
                     break
+        outer = stack[-1][2] if stack else 0
+        if not outer & HIDDEN:
+            if tag in ("br", "wbr", "td", "th") and now is not None:
+                now.parts.append(" ")
+            if tag in BLOCK:
+                end()
+                links = 0 if tag in ("article", "main", "body", "p") else links
         if tag in VOID:
             continue
-        flags, hidden = _flags(tag, attrs, stack[-1][2] if stack else 0)
-        if hidden:
-            skip = (tag, 1)
+        if tag in SKIP:
+            if not attrs.endswith("/"):
+                number += 1
+                stack.append((tag, number, outer | HIDDEN))
             continue
+        flags, hidden = _flags(tag, attrs, outer)
         if attrs.endswith("/") and tag not in BLOCK:
             continue
+        if hidden:
+            flags |= HIDDEN
         number += 1
-        links += tag == "a"
+        links += tag == "a" and not flags & HIDDEN
         stack.append((tag, number, flags))
     end()
     return out

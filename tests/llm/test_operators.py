@@ -246,6 +246,27 @@ def test_html_text():
     assert html_text.main_text(None, w) == "" and html_text.main_text("<p", w) == ""
 
 
+@pytest.mark.parametrize(
+    "page, texts",
+    [
+        ("<html><head><title>t</title><body><article><p>one<p>two", ["one", "two"]),
+        ("<html><head><meta charset=x><script>'<body>'</script><style>a</style><div>one</div></head>two", ["one", "two"]),
+        ("<head><title>t</title><noscript><link></noscript>text first<p>two", ["text first", "two"]),
+        ("<p hidden>no<p>one<p>two</p>", ["one", "two"]),
+        ("<ul><li hidden>no<li>one<li>two</ul><p>three", ["one", "two", "three"]),
+        ("<table><tr hidden><td>no<tr><td hidden>no<td>one<tr><td>two</table>three", ["one", "two", "three"]),
+        ("<dl><dt>a<dd hidden>no<dt>b<dd>c</dl>", ["a", "b", "c"]),
+        ("<div hidden><ul><li>no</ul></span>no<div>no</div></div><p>one", ["one"]),
+        ("<p>a <button>no<div>no</div></button>b <select><option>no<option>no</select>c", ["a b c"]),
+        ("<p>a <span aria-hidden=true>b</span> <math><mi>x</mi><annotation>no</annotation></math> <noscript>c</noscript> <video>d</video> <audio>e</audio> <object>f</object>", ["a b x c d e f"]),
+        ("<template><p>no</template><p>one<svg><title>no</title><text>two</text></svg>", ["onetwo"]),
+    ],
+)
+def test_html_without_optional_end_tags(page, texts):
+    got = [b.text for b in html_text.blocks_of(page)]
+    assert " ".join(got) == " ".join(texts)
+
+
 def test_min_cut_is_least():
     r = random.Random(8)
     for _ in range(40):

@@ -3,11 +3,16 @@
 Every measure of a document goes into a sketch of logarithmic buckets (relative error 1 %): a count per bucket. Sketches
 of parts of the data merge by adding counts, so one partly aggregated group-by builds the sketch of every (language,
 source), and adding sources gives the language's and the whole corpus's sketch. A group's upper threshold for a measure
-is q75 + spread * max(q75 - q25, floor); a group of fewer than min_docs documents takes its language's sketch, and a
-small language takes the corpus's. A document is kept if it passes the two fixed base rules and no measure lies above
-its group's threshold. Thresholds are joined to the measures; the join's small side is one row per group.
+is q50 + spread * max(q50 - q25, floor), its lower one q50 - spread * max(q75 - q50, floor): each is set by the middle
+and the half of the group away from it, so up to half of a group's documents may be bad on that side without moving it
+beyond them. Neither lies further out than that of the group's language, so a group that is bad as a whole cannot widen
+its own; a language is not held to the corpus, as languages differ in word length. A group of fewer than min_docs
+documents takes its language's thresholds, and a small language takes the corpus's. A document is kept if it passes the
+two fixed base rules and no measure lies outside its group's thresholds. Thresholds are joined to the measures; the
+join's small side is one row per group.
 
-The fence lies far above the middle half of its group, so that clean documents stay even in a group where many are bad.
+Where more than three quarters of a group measure the same (mostly 0), the floor decides; spread times the floor lies
+below the base rule for repeats, so that this measure acts too.
 
 Defined results: a null text has no words (and fails the base rule of ten words). Null language or source is a group of
 its own. Repeated rows count and are judged each. Empty tables give empty tables. Columns not named are not read.
@@ -29,15 +34,15 @@ from pyspark.sql import Window as W
 from .common import WORDS, columns, same, small_batches
 
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper"]
-#: measure -> (expression, least width of the middle half)
+#: measure -> (expression, least distance of a quartile from the middle)
 MEASURES = {
-    "symbols": ("n_symbols / word_chars", 0.02),
-    "dup_lines": ("n_dup_lines / n_lines", 0.10),
-    "repeats": ("n_repeat_words / n_words", 0.05),
-    "word_length": ("word_chars / n_words", 1.0),
-    "upper": ("n_upper / word_chars", 0.05),
+    "symbols": ("n_symbols / word_chars", 0.01),
+    "dup_lines": ("n_dup_lines / n_lines", 0.04),
+    "repeats": ("n_repeat_words / n_words", 0.02),
+    "word_length": ("word_chars / n_words", 0.25),
+    "upper": ("n_upper / word_chars", 0.008),
 }
-SPREAD, MIN_DOCS, ERROR, LARGE, BROADCAST_GROUPS = 4.0, 30, 0.01, 100_000, 20_000
+SPREAD, MIN_DOCS, ERROR, LARGE, BROADCAST_GROUPS = 6.0, 30, 0.01, 100_000, 20_000
 LOG_GAMMA = math.log((1 + ERROR) / (1 - ERROR))
 _UPPER = {c: None for c in range(65, 91)}
 
@@ -123,17 +128,17 @@ def merged(sketch: DataFrame, *by: str) -> DataFrame:
 
 
 def quartiles(sketch: DataFrame, *by: str) -> DataFrame:
-    """(by, measure, n_docs, q25, q75); a quantile is the middle of its bucket."""
+    """(by, measure, n_docs, q25, q50, q75); a quantile is the middle of its bucket."""
     w = W.partitionBy(*by, "measure")
     run = sketch.withColumn("c", F.sum("n").over(w.orderBy("bucket").rowsBetween(W.unboundedPreceding, 0))).withColumn("n_docs", F.sum("n").over(w))
     middle = F.when(F.col("bucket") == -(2**31), 0.0).otherwise(F.exp(F.col("bucket") * LOG_GAMMA) * (1 - ERROR))
     at = lambda q: F.min(F.when(F.col("c") >= q * F.col("n_docs"), F.col("bucket")))
     value = lambda c: F.when(F.col(c) == -(2**31), 0.0).otherwise(F.exp(F.col(c) * LOG_GAMMA) * (1 - ERROR))
-    return run.groupBy(*by, "measure").agg(F.max("n_docs").alias("n_docs"), at(0.25).alias("b25"), at(0.75).alias("b75")).select(*by, "measure", "n_docs", value("b25").alias("q25"), value("b75").alias("q75"))
+    return run.groupBy(*by, "measure").agg(F.max("n_docs").alias("n_docs"), at(0.25).alias("b25"), at(0.5).alias("b50"), at(0.75).alias("b75")).select(*by, "measure", "n_docs", value("b25").alias("q25"), value("b50").alias("q50"), value("b75").alias("q75"))
 
 
 def thresholds(counts: DataFrame, spread: float = SPREAD, min_docs: int = MIN_DOCS) -> DataFrame:
-    """(lang, source, fences map<string, double>): a row for each group that has a word."""
+    """(lang, source, fences map<string, struct<low, high>>): a row for each group that has a word."""
     from .common import cut
 
     sk = cut(sketches(counts))  # a few hundred counts for each group, whatever the number of documents
@@ -141,22 +146,26 @@ def thresholds(counts: DataFrame, spread: float = SPREAD, min_docs: int = MIN_DO
     l2 = lang.select(*[F.col(c).alias(f"l_{c}") for c in lang.columns])
     w2 = whole.select(*[F.col(c).alias(f"w_{c}") for c in whole.columns])
     j = own.join(l2, same(F.col("lang"), F.col("l_lang")) & (F.col("measure") == F.col("l_measure")), "left").join(w2, F.col("measure") == F.col("w_measure"), "left")
-    pick = lambda q: F.when(F.col("n_docs") >= min_docs, F.col(q)).when(F.col("l_n_docs") >= min_docs, F.col(f"l_{q}")).otherwise(F.col(f"w_{q}"))
     floor = F.element_at(F.create_map(*[F.lit(x) for k, (_, f) in MEASURES.items() for x in (k, f)]), F.col("measure"))
-    fence = pick("q75") + spread * F.greatest(pick("q75") - pick("q25"), floor)
+    high = lambda p: F.col(f"{p}q50") + spread * F.greatest(F.col(f"{p}q50") - F.col(f"{p}q25"), floor)
+    low = lambda p: F.col(f"{p}q50") - spread * F.greatest(F.col(f"{p}q75") - F.col(f"{p}q50"), floor)
+    outer = lambda f: F.when(F.col("l_n_docs") >= min_docs, f("l_")).otherwise(f("w_"))
+    large = F.col("n_docs") >= min_docs
+    fence = F.struct(F.when(large, F.greatest(low(""), outer(low))).otherwise(outer(low)).alias("low"), F.when(large, F.least(high(""), outer(high))).otherwise(outer(high)).alias("high"))
     return cut(j.select("lang", "source", "measure", fence.alias("fence")).groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("measure", "fence"))).alias("fences")))
 
 
 def verdicts(counts: DataFrame, fences: DataFrame) -> DataFrame:
     """counts with base_failed and kept."""
     f = fences.select(F.col("lang").alias("_f_lang"), F.col("source").alias("_f_source"), "fences")
-    if f.limit(BROADCAST_GROUPS + 1).count() <= BROADCAST_GROUPS:  # a map of five numbers each; more groups are joined by a shuffle
+    if f.limit(BROADCAST_GROUPS + 1).count() <= BROADCAST_GROUPS:  # a map of ten numbers each; more groups are joined by a shuffle
         f = F.broadcast(f)
     j = counts.join(f, same(F.col("lang"), F.col("_f_lang")) & same(F.col("source"), F.col("_f_source")), "left")
     over = F.lit(False)
     for k, (e, _) in MEASURES.items():
         a, b = e.split(" / ")
-        over = over | F.coalesce(F.expr(f"try_divide({a}, {b})") > F.col("fences")[k], F.lit(False))
+        x = F.expr(f"try_divide({a}, {b})")
+        over = over | F.coalesce((x > F.col("fences")[k]["high"]) | (x < F.col("fences")[k]["low"]), F.lit(False))
     failed = base_failed()
     return j.select(*[F.col(f"`{c}`") for c in counts.columns], failed.alias("base_failed"), (~failed & ~over).alias("kept"))
 

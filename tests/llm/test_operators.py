@@ -112,6 +112,19 @@ def test_quality_keeps_clean_and_drops_symbols(spark):
     assert kept == set(range(60))
 
 
+def test_quality_in_groups_with_many_bad_documents(spark):
+    r = random.Random(3)
+    repeat = lambda: prose(r, 50) + " " + "aa bb cc dd ee " + prose(r, 5) + " aa bb cc dd ee"  # noqa: E731  10 of 65 words: the base rule lets them pass
+    bad = {"symbols": lambda: " ".join(f"w{r.randrange(400)}###" for _ in range(60)), "repeats": repeat, "short": lambda: " ".join(r.choice("abcdefghij") for _ in range(60)), "lines": lambda: "\n".join([prose(r, 12)] + [w for w in prose(r, 6).split() for _ in range(2)])}
+    for make in bad.values():
+        texts = [prose(r, 60) for _ in range(60)] + [make() for _ in range(40)]
+        alone = quality.judge(docs(spark, texts)).collect()
+        assert not any(x.base_failed for x in alone) and {x.doc_id for x in alone if x.kept} == set(range(60))
+    texts = [prose(r, 60) for _ in range(100)] + [bad["symbols"]() for _ in range(35)]  # a source that is bad as a whole
+    got = quality.judge(docs(spark, texts, ["a"] * 100 + ["b"] * 35)).collect()
+    assert {x.doc_id for x in got if x.kept} == set(range(100))
+
+
 def test_mixing_targets_and_words(spark):
     r = random.Random(4)
     texts = [prose(r, r.randint(1, 60)) for _ in range(600)]

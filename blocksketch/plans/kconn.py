@@ -4,17 +4,16 @@ from __future__ import annotations
 
 import math
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..exact.solvers import adjacency, max_flow, stoer_wagner
 from ..functions.hashing import uniform
 from ..operators.cells import KEYS, fold, sketch_updates
-from ..session import cut
+from ..session import cut, fresh
 from ..spec import SketchSpec, size_spec
 from .connectivity import touched
-from .forest import LOCAL, boruvka
+from .forest import LOCAL, boruvka, contract_functional
 
 
 def deletion_schedule(k: int) -> list[tuple[int, int, int, int, int]]:
@@ -198,38 +197,60 @@ def st_min_cuts(sparse: DataFrame, pairs: DataFrame) -> DataFrame:
 def contraction_trials(edges: DataFrame, trials: int, seed: int = 3) -> DataFrame:
     """(trial, value): random contractions to two vertices, an upper bound on the minimum cut, for certificates beyond one solver.
 
-    Edges get random ranks; contracting them in that order to two vertices is a spanning forest of the ranks without
-    its last edge. Edges are shipped to the tasks, bounded by LOCAL.
+    Edges get random ranks in each trial; contracting them in that order to two vertices is the minimum spanning forest
+    of the ranks without its last edge. The forest is built in Spark, all trials together as groups g: in each round every
+    label takes its edge of least rank, and contract_functional() unites them. No edge is collected. Edges are taken
+    as undirected and parallel ones count each; a graph that is not connected has cut 0.
     """
-    graph = collected(edges.select("u", "v"))
-
-    def run(frames):
-        import random
-
-        for f in frames:
-            values = []
-            for t in f.trial:
-                r = random.Random(f"{seed}/{t}")
-                order = list(graph)
-                r.shuffle(order)
-                left = len({x for e in graph for x in e})
-                up: dict = {}
-
-                def root(x, up=up):
-                    while up.get(x, x) != x:
-                        up[x] = up.get(up[x], up[x])
-                        x = up[x]
-                    return x
-
-                for u, v in order:
-                    if left == 2:
-                        break
-                    a, b = root(u), root(v)
-                    if a != b:
-                        up[a] = b
-                        left -= 1
-                values.append(float(sum(root(u) != root(v) for u, v in graph)))
-            yield pd.DataFrame({"trial": f.trial, "value": values})
-
     spark = edges.sparkSession
-    return spark.range(trials).withColumnRenamed("id", "trial").mapInPandas(run, "trial long, value double")
+    graph = cut(edges.select("u", "v").filter("u <> v"))
+    groups = spark.range(trials).withColumnRenamed("id", "g")
+    # (rank, u, v) orders edges in full; parallel edges are one for the forest
+    ranked = graph.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().crossJoin(groups).withColumn("key", F.struct(F.xxhash64("g", "u", "v", F.lit(seed)).alias("r"), "u", "v"))
+    start = graph.select("u").union(graph.select("v")).distinct().withColumnRenamed("u", "x").crossJoin(groups).select("g", "x", F.col("x").alias("root"))
+    labels, live, forest = cut(start), cut(ranked.select("g", "key", F.col("u").alias("a"), F.col("v").alias("b"))), None
+    while live.limit(1).count():
+        ends = live.select("g", F.col("a").alias("label"), F.col("b").alias("to"), "key").union(live.select("g", F.col("b").alias("label"), F.col("a").alias("to"), "key"))
+        least = ends.groupBy("g", "label").agg(F.min_by("to", "key").alias("to"), F.min("key").alias("key"))
+        least = cut(least)
+        picked = least.select("g", "key").distinct()
+        forest = picked if forest is None else forest.union(picked)
+        united = contract_functional(least.select("g", "label", "to", F.col("key.u").alias("u"), F.col("key.v").alias("v")))[0]
+        labels, live = relabelled(labels, united), relabelled_ends(live, united)
+    if forest is None:
+        return groups.select(F.col("g").alias("trial"), F.lit(0.0).alias("value"))
+    # without the last edge of the forest
+    forest = cut(forest)
+    last = forest.groupBy("g").agg(F.max("key").alias("last"))
+    kept = forest.join(last, "g").filter(F.col("key") < F.col("last")).select("g", "key.u", "key.v")
+    split = forest_labels(start, kept)
+    side = lambda c: split.select("g", F.col("x").alias(c), F.col("root").alias(f"root_{c}"))
+    crossing = graph.crossJoin(groups).join(side("u"), ["g", "u"]).join(side("v"), ["g", "v"]).filter("root_u <> root_v").groupBy("g").agg(F.count(F.lit(1)).alias("n"))
+    # two components or more have a cut of no edge as they are
+    parts = labels.groupBy("g").agg(F.countDistinct("root").alias("parts"))
+    return groups.join(crossing, "g", "left").join(parts, "g").select(F.col("g").alias("trial"), F.when(F.col("parts") > 1, 0.0).otherwise(F.coalesce(F.col("n").cast("double"), F.lit(0.0))).alias("value"))
+
+
+def relabelled(labels: DataFrame, united: DataFrame) -> DataFrame:
+    """(g, x, root) after labels have been united (g, label, root)."""
+    new = united.select("g", F.col("label").alias("root"), F.col("root").alias("_new"))
+    return fresh(cut(labels.join(new, ["g", "root"], "left").select("g", "x", F.coalesce("_new", "root").alias("root"))))
+
+
+def relabelled_ends(live: DataFrame, united: DataFrame) -> DataFrame:
+    """(g, key, a, b) between labels that are still apart."""
+    new = lambda c: united.select("g", F.col("label").alias(c), F.col("root").alias(f"new_{c}"))
+    moved = live.join(new("a"), ["g", "a"], "left").join(new("b"), ["g", "b"], "left")
+    return fresh(cut(moved.select("g", "key", F.coalesce("new_a", "a").alias("a"), F.coalesce("new_b", "b").alias("b")).filter("a <> b")))
+
+
+def forest_labels(start: DataFrame, kept: DataFrame) -> DataFrame:
+    """(g, x, root) of the components of the edges (g, u, v), by the same rounds; start has every vertex as its own root."""
+    labels = start
+    live = cut(kept.select("g", F.struct("u", "v").alias("key"), F.col("u").alias("a"), F.col("v").alias("b")))
+    while live.limit(1).count():
+        ends = live.select("g", F.col("a").alias("label"), F.col("b").alias("to"), "key").union(live.select("g", F.col("b").alias("label"), F.col("a").alias("to"), "key"))
+        least = cut(ends.groupBy("g", "label").agg(F.min_by("to", "key").alias("to"), F.min("key").alias("key")))
+        united = contract_functional(least.select("g", "label", "to", F.col("key.u").alias("u"), F.col("key.v").alias("v")))[0]
+        labels, live = relabelled(labels, united), relabelled_ends(live, united)
+    return labels

@@ -140,3 +140,13 @@ def test_hyperedges_beyond_r_are_refused_and_both_extractions_agree(spark):
         labels, chosen = HY.hyper_components(h, extraction=how)
         assert {(x.x, x.label) for x in labels.collect()} == want
         assert {tuple(c.members) for c in chosen.collect()} <= {tuple(m) for m in sets}
+
+
+def test_contraction_beyond_the_limit(spark, monkeypatch):
+    from blocksketch.plans import kconn
+
+    monkeypatch.setattr(kconn, "collected", lambda edges, limit=3: (_ for _ in ()).throw(ValueError("more edges than the limit")))
+    clique = lambda a: [(a + i, a + j) for i in range(5) for j in range(i)]
+    edges = spark.createDataFrame(clique(0) + clique(10) + [(0, 10), (1, 11)], "u long, v long")
+    values = [x.value for x in kconn.contraction_trials(edges, 8).collect()]
+    assert len(values) == 8 and min(values) == 2.0 and len(set(values)) > 1

@@ -28,10 +28,44 @@ def sized_partitions(spark: SparkSession, least: int = 0) -> int:
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """The cluster's spark.checkpoint.dir if there is one; a folder under the warehouse where none is set, as in tests."""
+    """The cluster's spark.checkpoint.dir if there is one; a folder under the warehouse where none is set, as in tests: an error on a cluster whose warehouse is a local folder."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_checkpoints")
+        shared, warehouse = spark.conf.get("spark.checkpoint.dir", None), spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
+        if not shared and not sc.master.startswith("local[") and sc.master != "local" and warehouse.startswith(("/", "file:")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(shared or warehouse + "/_checkpoints")
+
+
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A new folder's path beside the checkpoints."""
+    import uuid
+
+    ensure_checkpoint_dir(spark)
+    return f"{spark.sparkContext.getCheckpointDir()}/{name}-{uuid.uuid4()}"
+
+
+def remove_folder(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def boxed(df: DataFrame, **more: Column) -> DataFrame:
+    """The whole row as the struct _row, beside working columns: no name of df's clashes with a working name."""
+    return df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("_row"), *[c.alias(n) for n, c in more.items()])
+
+
+def trim_memory() -> None:
+    """Give a Python worker's free memory back to the system; idle workers otherwise keep the most they ever had."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # a system without it
+        pass
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -72,26 +106,40 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_INVERSE = np.uint64(pow(int(_BASE), -1, 2**64))
 _SOLID = np.array([c not in (32, *range(9, 14)) for c in range(256)])
-_BYTE = np.random.default_rng(29).integers(0, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_BYTE_LOWER = _BYTE[[c + 32 if 65 <= c <= 90 else c for c in range(256)]]
-_POWERS: list[np.ndarray] = []
+_LOWER = np.array([c + 32 if 65 <= c <= 90 else c for c in range(256)], dtype=np.uint8)
+_TAIL = np.array([(1 << 8 * n) - 1 for n in range(9)], dtype=np.uint64)
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+_LANES = (np.uint64(0x2545F4914F6CDD1D), np.uint64(0xD6E8FEB86659FD93))
 _PART = 1 << 20
 
 
-def _powers(n: int) -> list[np.ndarray]:
-    if not _POWERS or len(_POWERS[0]) < n:
-        _POWERS[:] = [np.multiply.accumulate(np.concatenate([[np.uint64(1)], np.full(max(n, _PART), x)])) for x in (_BASE, _INVERSE)]
-    return _POWERS
+def _hash_spans(data: np.ndarray, s: np.ndarray, e: np.ndarray, lanes: int) -> list[np.ndarray]:
+    """A hash of data[s:e] for each span, none empty, in each lane.
+
+    Every eight bytes are mixed on their own, mixed again with their place, and added up; the sum is mixed with the
+    length. The mixing is not linear, so no pattern of letters makes two words meet by rule, as a polynomial modulo
+    2**64 lets them; different words meet with odds of 2**-64 in one lane and 2**-128 in both.
+    """
+    padded = np.zeros(len(data) + 8, dtype=np.uint8)
+    padded[: len(data)] = data
+    eights = np.ndarray(len(data) + 1, dtype="<u8", buffer=padded, strides=(1,))
+    size = e - s
+    n = (size + 7) >> 3
+    first = np.cumsum(n) - n
+    place = np.arange(int(n.sum())) - np.repeat(first, n)
+    x = eights[np.repeat(s, n) + 8 * place]
+    x[first + n - 1] &= _TAIL[size - 8 * (n - 1)]
+    with np.errstate(over="ignore"):
+        step = place.astype(np.uint64) * _ODD
+        return [mix64(np.add.reduceat(mix64(mix64(x ^ lane) ^ step), first) + size.astype(np.uint64) * lane) for lane in _LANES[:lanes]]
 
 
-def hash_words(texts, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """(hashes, ends): the 64-bit hash of every word of an Arrow string array, and where each text's words end.
+def hash_words(texts, lower: bool = False, lanes: int = 1) -> tuple[np.ndarray, ...]:
+    """(hashes, ends): the 64-bit hash of every word of an Arrow string array, and where each text's words end; with two lanes (hashes, other hashes, ends).
 
-    A word's hash is a polynomial of its UTF-8 bytes, taken from prefix sums over the array's own buffer, so no Python
-    object is made for a word. With lower, A-Z count as a-z. Null texts have no words.
+    Words are hashed over the array's own buffer of UTF-8 bytes, so no Python object is made for a word. With lower, A-Z
+    count as a-z. Null texts have no words.
     """
     import pyarrow as pa
     import pyarrow.compute as pc
@@ -99,10 +147,10 @@ def hash_words(texts, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
     texts = pc.fill_null(texts.cast(pa.large_string()), "")
     n = len(texts)
     if not n:
-        return np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.int64)
+        return *[np.empty(0, dtype=np.uint64)] * lanes, np.empty(0, dtype=np.int64)
     off = np.frombuffer(texts.buffers()[1], dtype=np.int64)[texts.offset : texts.offset + n + 1]
     raw = np.frombuffer(texts.buffers()[2], dtype=np.uint8) if texts.buffers()[2] is not None else np.empty(0, np.uint8)
-    table, out, count, a = _BYTE_LOWER if lower else _BYTE, [], np.zeros(n, dtype=np.int64), 0
+    out, count, a = [[] for _ in range(lanes)], np.zeros(n, dtype=np.int64), 0
     while a < n:  # texts of about _PART bytes together, one text at least
         b = max(a + 1, int(np.searchsorted(off, off[a] + _PART, "right")) - 1)
         b = min(b, n)
@@ -116,13 +164,12 @@ def hash_words(texts, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
             first[inner] = solid[inner]
             last[inner - 1] = solid[inner - 1]
             s, e = np.flatnonzero(first), np.flatnonzero(last) + 1
-            power, inverse = _powers(len(data))
-            with np.errstate(over="ignore"):
-                sums = np.concatenate([[np.uint64(0)], np.cumsum(table[data] * power[: len(data)])])
-                out.append(mix64((sums[e] - sums[s]) * inverse[s] + (e - s).astype(np.uint64)))
+            if len(s):
+                for lane, h in zip(out, _hash_spans(_LOWER[data] if lower else data, s, e, lanes)):
+                    lane.append(h)
             count[a:b] = np.diff(np.searchsorted(s, cuts))
         a = b
-    return np.concatenate(out) if out else np.empty(0, dtype=np.uint64), np.cumsum(count)
+    return *[np.concatenate(x) if x else np.empty(0, dtype=np.uint64) for x in out], np.cumsum(count)
 
 
 def slices(batch, column: str, size: int):
@@ -177,6 +224,23 @@ def windows(hashes: np.ndarray, n: int) -> np.ndarray:
         return mix64(out)
 
 
+def running(df: DataFrame, order: list[Column], sums: dict[str, Column]) -> DataFrame:
+    """df with the sum of each column over all rows before, in an order without ties: ranges are dealt to partitions and summed there, and the totals of the partitions before are joined on."""
+    from pyspark.sql import Window as W
+
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = df.select(*[F.col(f"`{c}`") for c in df.columns], *[c.alias(f"_of_{n}") for n, c in sums.items()]).repartitionByRange(parts, *order)
+    dealt = cut(dealt.withColumn("_part", F.spark_partition_id()))
+    inside = W.partitionBy("_part").orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
+    # one row a partition
+    before = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    totals = dealt.groupBy("_part").agg(*[F.sum(f"_of_{n}").alias(f"_of_{n}") for n in sums])
+    zero = lambda c: F.coalesce(c, F.lit(0))
+    totals = totals.select("_part", *[zero(F.sum(f"_of_{n}").over(before)).alias(f"_to_{n}") for n in sums])
+    out = dealt.select("*", *[zero(F.sum(f"_of_{n}").over(inside)).alias(f"_in_{n}") for n in sums]).join(F.broadcast(totals), "_part")
+    return out.select(*[F.col(f"`{c}`") for c in df.columns], *[(F.col(f"_in_{n}") + F.col(f"_to_{n}")).alias(n) for n in sums])
+
+
 def same(a: Column, b: Column) -> Column:
     return a.eqNullSafe(b)
 

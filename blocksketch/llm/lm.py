@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .common import columns, hash_words, mix64, narrow, pack, slices, sum_by, unpack
 
 END, START, K, DELTA, BASE_ADD = np.uint64(0x5EED0000000000E1), np.uint64(0x5EED0000000000A7), 5, 0.1, 0.1
-SPREAD, SALTS, BATCH_BYTES, PART_BYTES, LEAST_PARTS = 20_000, 8, 6_000_000, 9_000_000, 48
+SPREAD, SALTS, BATCH_BYTES, PART_BYTES, LEAST_PARTS, TASK_PARTS = 20_000, 8, 6_000_000, 9_000_000, 48, 4
 _SENT = "p long, kind int, uid long, data binary"
 _ROUTED = "route long, kind int, uid long, n long, data binary"
 _BY_UID = "uid long, kind int, data binary"
@@ -373,12 +373,12 @@ def _finish(words: Words, start_log: float):
 def score_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 10) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score): learns from texts with crc32(id) mod folds not 0."""
     spark = docs.sparkSession
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     d = columns(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     d = d.withColumn("held", F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds == 0, F.lit(False)))
     size, texts = d.agg(F.sum(F.octet_length("text")), F.count(F.when(~F.col("held"), 1))).first()
     size = size or 0
     parts = max(LEAST_PARTS, -(-size // PART_BYTES))
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-parts // TASK_PARTS))
     often = max(2.0, size / (32 * min(10 * parts, SPREAD)))  # a K-th of the tokens or less, for words up to 32 bytes on average
     vocabulary = d.select("text", "held").mapInArrow(_vocabulary_sent(parts), "p long, data binary").repartition(n, "p").groupBy("p").applyInArrow(_vocabulary(often), "key long, word long, n long")
     words = Words([tuple(r) for r in vocabulary.groupBy("key", "word").agg(F.sum("n").alias("n")).collect()], parts)

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import WHITE, columns, cut, same
+from .common import WHITE, boxed, columns, cut, running, same
 
 WEIGHTS, SHARE, CAP, BLOCK = (5, 2, 1), 1.5, 2.0, 256
 _WS = r"[\x20\x09-\x0D]+"
@@ -41,19 +41,23 @@ def let(value: Column, body) -> Column:
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, cap: float = CAP) -> DataFrame:
-    """(source, source_size, target) from rows of (source, size): one row a source."""
+    """(source, source_size, target) from rows of (source, size): one row a source.
+
+    Places and prefix sums over the sources come from range partitions and their totals, so that sources may be many
+    (hosts, say): no window holds them all.
+    """
     per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
-    place = F.row_number().over(W.orderBy(F.asc_nulls_last("source"))) - 1
-    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (place % len(weights)).cast("int") + 1)
-    w = per.withColumn("weight", weight).withColumn("most", cap * F.col("source_size"))
-    by_level = W.orderBy((F.col("most") / F.col("weight")), F.asc_nulls_last("source"))
-    before = by_level.rowsBetween(W.unboundedPreceding, -1)
-    w = w.withColumn("all_words", F.sum("source_size").over(W.partitionBy()))
+    placed = running(per, [F.asc_nulls_last("source")], {"place": F.lit(1).cast("long")})
+    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("place") % len(weights)).cast("int") + 1)
+    w = placed.select("source", "source_size", weight.alias("weight"), (cap * F.col("source_size")).alias("most"))
+    w = running(w, [(F.col("most") / F.col("weight")).asc(), F.asc_nulls_last("source")], {"full": F.col("most"), "lighter": F.col("weight")})
+    whole = w.agg(F.sum("source_size").alias("all_words"), F.sum("weight").alias("all_weights"))  # one row
+    w = w.crossJoin(F.broadcast(whole))
     # the level that fills the rest if all earlier sources are full; the first source that it doesn't fill sets it
-    level = (share * F.col("all_words") - F.coalesce(F.sum("most").over(before), F.lit(0.0))) / F.sum("weight").over(by_level.rowsBetween(0, W.unboundedFollowing))
+    level = (share * F.col("all_words") - F.col("full")) / (F.col("all_weights") - F.col("lighter"))
     w = w.withColumn("level", F.when(level < F.col("most") / F.col("weight"), level))
-    reached = F.max("level").over(W.partitionBy())
-    return w.select("source", "source_size", F.when(F.col("source_size") == 0, 0.0).otherwise(F.least("most", F.coalesce(reached * F.col("weight"), F.col("most")))).alias("target"))
+    w = w.crossJoin(F.broadcast(w.agg(F.max("level").alias("reached"))))
+    return w.select("source", "source_size", F.when(F.col("source_size") == 0, 0.0).otherwise(F.least("most", F.coalesce(F.col("reached") * F.col("weight"), F.col("most")))).alias("target"))
 
 
 def _trade(a: Column, b: Column) -> tuple[Column, Column]:
@@ -129,18 +133,18 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     Documents and their copies meet by a 128-bit hash of (doc_id, size, source), so one shuffle of the texts serves the
     join and the numbering of rows that look alike.
     """
-    own = docs.columns
-
-    def keyed(df: DataFrame, *cols: str) -> DataFrame:
-        parts = [x for c in cols for x in (F.col(c), F.col(c).isNull())]
-        return df.withColumn("_k1", F.xxhash64(*parts)).withColumn("_k2", F.xxhash64(F.lit("second"), *parts))
-
-    c = copies(sizes_of(docs, id_col, text_col, source_col), **how).groupBy("doc_id", "size", "source").agg(F.sum("copies").alias("_all"), F.count(F.lit(1)).alias("_rows"))
-    c = keyed(c, "doc_id", "size", "source").select("_k1", "_k2", "_all", "_rows").filter("_all > 0")
-    d = keyed(docs.withColumn("_size", word_count(F.col(f"`{text_col}`"))), f"`{id_col}`", "_size", f"`{source_col}`")
-    j = d.join(c, ["_k1", "_k2"]).withColumn("_n", F.row_number().over(W.partitionBy("_k1", "_k2").orderBy(F.xxhash64(F.col(f"`{text_col}`")))))
-    times = (F.floor(F.col("_all") / F.col("_rows")) + (F.col("_n") <= F.col("_all") % F.col("_rows")).cast("long")).cast("int")
-    return j.withColumn("_copy", F.explode(F.array_repeat(F.lit(1), times))).select(*[F.col(f"`{x}`") for x in own])
+
+    def keys(*cols: Column) -> dict[str, Column]:
+        parts = [x for c in cols for x in (c, c.isNull())]
+        return {"k1": F.xxhash64(*parts), "k2": F.xxhash64(F.lit("second"), *parts)}
+
+    c = copies(sizes_of(docs, id_col, text_col, source_col), **how).groupBy("doc_id", "size", "source").agg(F.sum("copies").alias("every"), F.count(F.lit(1)).alias("rows")).filter("every > 0")
+    c = c.select(*[x.alias(n) for n, x in keys(F.col("doc_id"), F.col("size"), F.col("source")).items()], "every", "rows")
+    text = F.col(f"`{text_col}`")
+    d = boxed(docs, **keys(F.col(f"`{id_col}`"), word_count(text), F.col(f"`{source_col}`")), h=F.xxhash64(text))
+    j = d.join(c, ["k1", "k2"]).withColumn("n", F.row_number().over(W.partitionBy("k1", "k2").orderBy("h")))
+    times = (F.floor(F.col("every") / F.col("rows")) + (F.col("n") <= F.col("every") % F.col("rows")).cast("long")).cast("int")
+    return j.select("_row", F.explode(F.array_repeat(F.lit(1), times))).select("_row.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import columns, components, cut, hash_words, mix64, windows
+from .common import boxed, columns, components, cut, hash_words, mix64, trim_memory, windows
 
 WIDTH, THRESHOLD, BANDS, ROWS, STEP, TOLERANCE = 5, 0.8, 45, 6, 32, 1e-7
 BLOCK_ROWS, BLOCK_SHINGLES, FEW = 512, 400_000, 5
@@ -94,6 +94,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     bands[i] = row
             half = lambda shift: pa.array([None if k is None else ((k >> shift) & (2**64 - 1)) - 2**63 for k in keys], pa.int64())
             yield pa.RecordBatch.from_arrays([b["doc_id"], b["d1"], b["d2"], half(0), half(64), pa.array(list(map(len, sets)), pa.int32()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "d1", "d2", "k1", "k2", "n", "bands"])
+    trim_memory()
 
 
 def _payload(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -103,6 +104,7 @@ def _payload(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sets = shingle_sets(b["text"])
             sig = signatures(sets)
             yield pa.RecordBatch.from_arrays([*[b[c] for c in ("root", "blocks", "k1", "k2", "m")], pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([s[: 4 * STEP].tobytes() for s in sig], pa.binary())], ["root", "blocks", "k1", "k2", "m", "set", "sig"])
+    trim_memory()
 
 
 def links_in(sig: np.ndarray, sets: list[np.ndarray], left: np.ndarray, right: np.ndarray | None, threshold: float = THRESHOLD, tolerance: float = TOLERANCE) -> tuple[np.ndarray, np.ndarray]:
@@ -193,6 +195,8 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             rows.append(r[3:])
     if len(rows) > 1:
         yield flush()
+    rows = []
+    trim_memory()
 
 
 def _identified(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -263,13 +267,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs that stay, one of each group (its first by doc_id), with docs' columns; documents without words all stay."""
-    own = docs.columns
     found = near_duplicates(docs, id_col, text_col)
-    stay = found.filter("first.d1 = d1 and first.d2 = d2").groupBy("d1", "d2").agg(F.max("n_shingles").alias("_n")).select(F.col("d1").alias("_d1"), F.col("d2").alias("_d2"), "_n")
+    stay = found.filter("first.d1 = d1 and first.d2 = d2").groupBy("d1", "d2").agg(F.max("n_shingles").alias("shingles"))
     parts = [F.col(f"`{id_col}`"), F.col(f"`{id_col}`").isNull(), F.col(f"`{text_col}`")]
-    keyed = docs.withColumn("_d1", F.xxhash64(*parts)).withColumn("_d2", F.xxhash64(F.lit("second"), *parts))
-    once = F.row_number().over(W.partitionBy("_d1", "_d2").orderBy("_n"))
-    return keyed.join(stay, ["_d1", "_d2"]).withColumn("_once", once).filter("_once = 1 or _n = 0").select(*[F.col(f"`{c}`") for c in own])
+    # rows of equal id and text may differ in other columns: the choice among them is by a hash, so that reruns agree
+    others = [F.col(f"`{c}`") for c, kind in docs.dtypes if c not in (id_col, text_col) and "map<" not in kind and "variant" not in kind]
+    keyed = boxed(docs, d1=F.xxhash64(*parts), d2=F.xxhash64(F.lit("second"), *parts), other=F.xxhash64(F.lit(0), *others))
+    once = F.row_number().over(W.partitionBy("d1", "d2").orderBy("other"))
+    return keyed.join(stay, ["d1", "d2"]).withColumn("once", once).filter("once = 1 or shingles = 0").select("_row.*")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

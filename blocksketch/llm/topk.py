@@ -1,10 +1,13 @@
-"""Exact top-k search by integer inner product, with term bounds (MaxScore) inside each shard and a merge of shards.
+"""Exact top-k search by integer inner product: MaxScore inside each shard, and a merge of shards.
 
-A vector's dimensions are its terms; a shard's posting list of a term is the column of that dimension. A query's term
-adds at most q_d times the column's largest value (or smallest, where q_d is negative). Terms are ordered by how much
-they can tell rows apart, q_d * (high - low); the largest are essential, and their postings are traversed for every row
-of the shard. The others are probed, a group at a time, only for rows whose partial score plus the bound of what is
-left still reaches the query's k-th best lower bound; ties with that bound stay in. What is left is scored exactly.
+A vector's dimensions are its terms. A shard keeps postings by term: the column of that dimension over the shard's rows,
+in chunks of CHUNK rows with the chunk's least and largest value of each term; rows come by falling length, so that
+good scores come early. For a query, a term adds at most |q_d| * (high - low) to the least a row of the chunk can
+have. For every query and chunk, the terms are split by these bounds against the query's running k-th best score: the
+smallest ones, which together cannot bring a row up to it, are non-essential. The postings of the essential terms are
+traversed for all rows of the chunk (with none essential, the chunk is passed over); the others are probed, the largest
+bounds first, only in rows whose partial score plus the bounds of what is left still reaches the running score. Rows
+that tie with it stay in. Exact scores then raise the running score for the next chunk.
 
 Vectors are dealt to shards and packed, a block of rows each; queries are packed into blocks, and each block of queries
 meets each shard once. Every shard returns k rows a query, and a window over a query's rows merges the shards.
@@ -28,7 +31,8 @@ from pyspark.sql import Window as W
 
 from .common import columns
 
-SHARD, BLOCK, GROUPS, EXACT = 8192, 256, (0.5, 0.75), 2.0**52
+SHARD, BLOCK, CHUNK, PROBE, EXACT = 8192, 256, 2048, 8, 2.0**52
+NO_ID = 2**63 - 1
 _PACK = "blk long, ids array<long>, dims int, data binary"
 
 
@@ -82,37 +86,74 @@ def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return at[np.lexsort((ids[at], -scores[at]))[:k]]
 
 
+class Shard:
+    """Postings by term, in chunks of rows. probed counts the terms of rows that were read, of all that there are."""
+
+    def __init__(self, rows: np.ndarray, ids: list, chunk: int = CHUNK):
+        order = np.argsort(-np.einsum("ij,ij->i", rows, rows), kind="stable")
+        x = rows[order]
+        self.ids = [ids[i] for i in order.tolist()]
+        self.rank = np.array([NO_ID if i is None else i for i in self.ids], dtype=np.int64)
+        self.place: dict = {}
+        for n, i in enumerate(self.ids):
+            self.place.setdefault(i, []).append(n)
+        self.rows, self.chunk = x, chunk
+        self.largest = np.abs(x).max(0)
+        self.chunks = [(a, np.ascontiguousarray(x[a : a + chunk].T), x[a : a + chunk].max(0), x[a : a + chunk].min(0)) for a in range(0, len(x), chunk)]
+        self.probed = self.every = 0
+
+    def best(self, q: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """(places, scores) of the query's k best rows other than its own."""
+        mine = self.place.get(own, ())
+        top, score = np.empty(0, dtype=np.int64), np.empty(0)
+        size = np.abs(q)
+        for a, post, high, low in self.chunks:
+            dims, n = post.shape
+            bound = size * (high - low)
+            order = np.argsort(-bound)
+            left = np.append(np.cumsum(bound[order][::-1])[::-1], 0.0)  # what the terms from a place on can add
+            least = np.minimum(q * high, q * low)[order]
+            base = least.sum()
+            need = score[-1] - base if len(score) == k else -1.0  # beyond the least a row can have
+            split = int(np.searchsorted(-left, -need, "right")) if need > 0 else dims  # terms from there on are non-essential
+            self.every += dims * n
+            if not split:
+                continue
+            e = order[:split]
+            got = q[e] @ post[e] - least[:split].sum()
+            self.probed += split * n
+            at = np.flatnonzero(got + left[split] >= need)
+            if mine:
+                at = at[~np.isin(at + a, mine)]
+            got, step = got[at], PROBE
+            while split < dims and len(at):
+                t = order[split : split + step]
+                got = got + self.rows[a + at[:, None], t] @ q[t] - least[split : split + step].sum()
+                self.probed += len(t) * len(at)
+                split, step = split + len(t), 2 * step
+                go = got + left[split] >= need
+                at, got = at[go], got[go]
+            if len(at):
+                places, scores = np.append(top, at + a), np.append(score, got + base)
+                keep = _best(scores, self.rank[places], k)
+                top, score = places[keep], scores[keep]
+        return top, score
+
+
 def search_block(queries: np.ndarray, q_ids: list, rows: np.ndarray, ids: list, k: int) -> Iterator[tuple[int, int | None, int]]:
     """(query id, row id, score): each query's k best rows of one shard."""
     dims = max(queries.shape[1], rows.shape[1])
     q, x = (np.pad(m, ((0, 0), (0, dims - m.shape[1]))) for m in (queries, rows))
-    order_ids = np.array([2**63 - 1 if i is None else i for i in ids], dtype=np.int64)
-    high, low = x.max(0), x.min(0)
-    most = np.maximum(q * high, q * low)
-    if (np.abs(q) @ np.maximum(np.abs(high), np.abs(low))).max() >= EXACT:
+    if (np.abs(q) @ np.abs(x).max(0)).max() >= EXACT:
         for n, qi in enumerate(q_ids):
             own = [int(a) for a in q[n]]
             got = sorted((-sum(a * int(b) for a, b in zip(own, r)), i is None, i or 0, i) for i, r in zip(ids, x) if i != qi)[:k]
             yield from ((qi, i, -s) for s, _, _, i in got)
         return
-    # one order of terms serves the block of queries, so that traversal is a matrix product
-    order = np.argsort(-(np.abs(q).mean(0) * (high - low)))
-    q, x, most = q[:, order], np.ascontiguousarray(x[:, order]), most[:, order]
-    cuts = [0, *[max(1, int(dims * g)) for g in GROUPS], dims]
-    least = np.minimum(q * high[order], q * low[order])
-    partial = q[:, : cuts[1]] @ x[:, : cuts[1]].T  # postings of the essential terms
+    shard = Shard(x, ids)
     for n, qi in enumerate(q_ids):
-        score, at = partial[n], np.flatnonzero(np.array([i != qi for i in ids])) if qi in ids else np.arange(len(ids))
-        score = score[at]
-        for a, b in zip(cuts[1:-1], cuts[2:]):
-            up, down = most[n, a:].sum(), least[n, a:].sum()
-            if len(at) > k:
-                sure = np.partition(score, len(score) - k)[len(score) - k] + down
-                go = score + up >= sure
-                at, score = at[go], score[go]
-            score = score + x[at, a:b] @ q[n, a:b]
-        for p in _best(score, order_ids[at], k):
-            yield qi, ids[at[p]], int(score[p])
+        for p, s in zip(*shard.best(q[n], qi, k)):
+            yield qi, shard.ids[p], int(s)
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5) -> DataFrame:

@@ -14,7 +14,8 @@ Text of a block: character references decoded, white space one space, trimmed; b
 \\n in page order. Scripts, styles, templates, frames, form controls, hidden elements, comments, the head and annotations of
 formulas never make blocks; formulas, drawings' text and what stands in for media are read like other text. The head
 ends at its end tag, or at the first element or text that cannot stand in one; elements whose end tag may be left out
-end where it is implied, hidden or not.
+end where it is implied, hidden or not. A button, list of options, text field or the like whose end tag the page lacks
+ends at the next block.
 
 Defined results: a null or empty page, or one without content, gives an empty text. Broken or cut-off markup is read as
 far as it goes. Repeated rows are read each. Empty tables give empty tables. Other columns are not read.
@@ -43,6 +44,7 @@ HEAD = frozenset("head title base basefont bgsound link meta style script noscri
 SCOPE = frozenset("button template object".split())  # implied ends stop here
 HIDDEN = 32
 RAW = frozenset("script style textarea title noscript iframe".split())
+LOOSE = frozenset("button select textarea datalist template iframe annotation annotation-xml".split())  # hidden, and without their end tag no further than a block
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody tfoot thead tr ul".split())
 CHROME = frozenset("nav footer aside form menu dialog fieldset search".split())
@@ -100,6 +102,14 @@ def blocks_of(page: str) -> list[Block]:
     now: Block | None = None
     links = number = 0
     at, n, ends = 0, len(page), True  # whether a noscript may still end
+    loose: set[int] = set()  # numbers of open elements that have no end tag
+    last_end: dict[str, int] = {}  # where the last end tag of a name stands
+
+    def closes(tag: str) -> bool:
+        """Whether an end tag follows."""
+        if tag not in last_end:
+            last_end[tag] = max((m.start() for m in re.finditer(rf"</{tag}\b", page, re.I)), default=-1)
+        return last_end[tag] >= at
 
     def end() -> None:
         nonlocal now
@@ -153,7 +163,13 @@ def blocks_of(page: str) -> list[Block]:
                 if stack[k][0] == "head":
                     del stack[k:]
                     break
-        if tag in RAW and (tag != "noscript" or stack and stack[-1][0] == "head"):
+        if loose and tag in BLOCK:
+            for k, e in enumerate(stack):
+                if e[1] in loose:
+                    del stack[k:]
+                    loose.clear()
+                    break
+        if tag in RAW and not (tag in LOOSE and not closes(tag)) and (tag != "noscript" or stack and stack[-1][0] == "head"):
             if not attrs.endswith("/"):
                 close = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at) if tag != "noscript" or ends else None
                 ends = ends and (tag != "noscript" or close is not None)
@@ -186,6 +202,8 @@ def blocks_of(page: str) -> list[Block]:
             if not attrs.endswith("/"):
                 number += 1
                 stack.append((tag, number, outer | HIDDEN))
+                if tag in LOOSE and not outer & HIDDEN and not closes(tag):
+                    loose.add(number)
             continue
         flags, hidden = _flags(tag, attrs, outer)
         if attrs.endswith("/") and tag not in BLOCK:

@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import columns, small_batches
+from .common import columns, small_batches, trim_memory
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -145,11 +145,18 @@ def _codec(shared) -> Codec:
     return _CODEC[1]
 
 
-def encode_texts(docs: DataFrame, path: str = MODEL, text_col: str = "text", check: bool = False) -> DataFrame:
-    """docs with ids array<int> and n_tokens int, and with check, round_trip boolean, behind its own columns (which may not have these names)."""
+def _free(rows: DataFrame, names: list[str]) -> None:
+    taken = {c.lower() for c in rows.columns} & set(names)
+    if taken:
+        raise ValueError(f"the table has columns {sorted(taken)} of its own; give other names for the new ones")
+
+
+def encode_texts(docs: DataFrame, path: str = MODEL, text_col: str = "text", check: bool = False, ids_col: str = "ids", size_col: str = "n_tokens", check_col: str = "round_trip") -> DataFrame:
+    """docs with ids array<int> and n_tokens int, and with check, round_trip boolean, behind its own columns. A table that has a column of such a name is an error before anything runs; the names are parameters."""
     small_batches(docs.sparkSession)
+    own, added = docs.columns, [ids_col, size_col, *([check_col] if check else [])]
+    _free(docs, added)
     shared = docs.sparkSession.sparkContext.broadcast(load_vocabulary(path))
-    own, added = docs.columns, ["ids", "n_tokens", *(["round_trip"] if check else [])]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(shared)
@@ -170,26 +177,28 @@ def encode_texts(docs: DataFrame, path: str = MODEL, text_col: str = "text", che
                     more = [lists, pa.array(sizes, pa.int32()), *([pa.array(trips, pa.bool_())] if check else [])]
                     yield pa.RecordBatch.from_arrays([*b.slice(start, i + 1 - start).columns, *more], [*own, *added])
                     start, rows, sizes, trips, tokens = i + 1, [], [], [], 0
+        trim_memory()
 
     from pyspark.sql import types as T
 
-    more = [T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("n_tokens", T.IntegerType()), *([T.StructField("round_trip", T.BooleanType())] if check else [])]
+    more = [T.StructField(ids_col, T.ArrayType(T.IntegerType())), T.StructField(size_col, T.IntegerType()), *([T.StructField(check_col, T.BooleanType())] if check else [])]
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *more]))
 
 
-def decode_ids(rows: DataFrame, path: str = MODEL, ids_col: str = "ids") -> DataFrame:
-    """rows with decoded string behind its own columns."""
+def decode_ids(rows: DataFrame, path: str = MODEL, ids_col: str = "ids", out_col: str = "decoded") -> DataFrame:
+    """rows with decoded string behind its own columns; a column of that name is an error."""
     from pyspark.sql import types as T
 
+    _free(rows, [out_col])
     shared = rows.sparkSession.sparkContext.broadcast(load_vocabulary(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(shared)
         for b in batches:
             out = [None if x.as_py() is None else codec.decode(x.as_py()) for x in b[ids_col]]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.string())], [*b.schema.names, "decoded"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.string())], [*b.schema.names, out_col])
 
-    return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField("decoded", T.StringType())]))
+    return rows.mapInArrow(run, T.StructType([*rows.schema.fields, T.StructField(out_col, T.StringType())]))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

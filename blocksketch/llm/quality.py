@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import WORDS, columns, same, small_batches
+from .common import WORDS, boxed, columns, same, small_batches, trim_memory
 
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper"]
 #: measure -> (expression, least distance of a quartile from the middle)
@@ -103,6 +103,7 @@ def text_counts(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
     for batch in texts:
         rows = [count_text(x.as_py()) for x in batch]
         yield pa.StructArray.from_arrays([pa.array(list(c), pa.int64()) for c in (zip(*rows) if rows else [()] * len(COUNTS))], COUNTS)
+    trim_memory()
 
 
 def base_failed() -> Column:
@@ -179,10 +180,9 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
 
 def keep_good(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", source_col: str = "source", **how) -> DataFrame:
     """The rows of docs that are kept, with its columns. Texts are measured once for the sketches and once for the filter, so that no text is shuffled."""
-    own = docs.columns
     counts = measured(columns(docs, text=text_col, lang=lang_col, source=source_col)).select("lang", "source", "_q.*")
     fences = thresholds(counts, **how)
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("_row"), F.col(f"`{text_col}`").alias("_t"), F.col(f"`{lang_col}`").alias("lang"), F.col(f"`{source_col}`").alias("source"))
+    rows = boxed(docs, _t=F.col(f"`{text_col}`"), lang=F.col(f"`{lang_col}`"), source=F.col(f"`{source_col}`"))
     rows = measured(rows, "_t").select("_row", "lang", "source", "_q.*")
     return verdicts(rows, fences).filter("kept").select("_row.*")
 

@@ -1,56 +1,7 @@
-"""The training-corpus pipeline: quality rules, line dedup, near duplicates, mixing, encoding.
-
-run() writes each stage's rows as Parquet in the shared checkpoint folder and reads them back as the next stage's
-documents, so no stage is computed twice and a lost executor costs only the tasks of the stage at hand.
-"""
+"""The training-corpus pipeline at the place where it is looked for; its stages are in blocksketch/llm/pipeline.py."""
 
 from __future__ import annotations
 
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-from blocksketch.llm import common, line_dedup, mixing, near_dups, pieces, quality
-
-
-def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that fail the base rules or lie above their group's thresholds go."""
-    return quality.keep_good(docs)
-
-
-def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines found in ten documents or more go; n_chars follows the text."""
-    out = line_dedup.dedup_lines(docs)
-    return out.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else out
-
-
-def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays, the one of least doc_id."""
-    return near_dups.drop_near_duplicates(docs)
-
-
-def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mix of sources takes it."""
-    return mixing.mix(docs)
-
-
-def encoding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """(doc_id, lang, source, n_tokens, ids, round_trip)."""
-    return pieces.encode_texts(docs.select("doc_id", "lang", "source", "text"), check=True).drop("text")
-
-
-STAGES = [("quality", quality_stage), ("lines", line_stage), ("near_duplicates", near_duplicate_stage), ("mixing", mixing_stage), ("encoding", encoding_stage)]
-
-#: Quantile sketches, drawn copies and piece ids have no SQL; tests/llm holds the stages against brute force.
-ORACLE_SQL = None
-
+from blocksketch.llm.pipeline import ORACLE_SQL, STAGES, run
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    common.ensure_checkpoint_dir(spark)
-    folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4()}"
-    docs = common.table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
-    return STAGES[-1][1](spark, docs, sf_dir)
+__all__ = ["ORACLE_SQL", "STAGES", "run"]

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import random
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..spec import SketchSpec
@@ -28,8 +28,9 @@ def _mod(x: Column) -> Column:
 
 def _quadratic(u: Column, v: Column, c) -> Column:
     """c(i): the i-th of six coefficients as a column."""
-    x = F.transform(F.array(_mod(_mod(_mod(u) * c(0)) + _mod(_mod(v) * c(1)) + c(2))), lambda x: _mod(_mod(_mod(x * x) * c(3)) + _mod(x * c(4)) + c(5)))
-    return x[0]
+    # generated code shares what is written twice here; a lambda would leave it
+    x = _mod(_mod(_mod(u) * c(0)) + _mod(_mod(v) * c(1)) + c(2))
+    return _mod(_mod(_mod(x * x) * c(3)) + _mod(x * c(4)) + c(5))
 
 
 def _constant(c: tuple[int, ...]):
@@ -46,6 +47,38 @@ def edge_hash(spec: SketchSpec, sk: Column, row: Column, u: Column, v: Column) -
     return _quadratic(u, v, lambda i: picks[i])
 
 
+def row_constants(spec: SketchSpec, places: list[tuple[int, int]]) -> Column:
+    """An array of structs (sk, row, h0..h5) for the (sketch, row) places: what with_hashes() needs, with no table of the whole sketch in the plan."""
+    table = coefficients(spec.seed, spec.sketches * spec.rows, "row") if spec.family != "native" else None
+    one = lambda sk, row: f"named_struct('sk', {sk}, 'row', {row}, " + ", ".join(f"'h{i}', {x}L" for i, x in enumerate(table[sk * spec.rows + row] if table else (0,) * 6)) + ")"
+    return F.expr(f"array({', '.join(one(sk, row) for sk, row in places)})")
+
+
+def with_hashes(df: DataFrame, spec: SketchSpec, u: str, v: str, at: str | None = "at", chk: str | None = None, out: str = "_h") -> DataFrame:
+    """df with edge_hash() as the column out in the place that the struct column at names (of row_constants()), and checksum() as the column chk.
+
+    The steps are projections of their own: an expression that holds another twice doubles the plan each time. They are
+    texts, as a loop that builds many plans out of column objects spends most of its time on that.
+    """
+    if spec.family == "native":
+        own = [f"xxhash64({spec.seed}, {at}.sk, {at}.row, {u}, {v}) as {out}"] if at else []
+        return df.selectExpr("*", *own, *([f"xxhash64('chk', {spec.seed}, {u}, {v}) as {chk}"] if chk else []))
+    sets = [(out, [f"{at}.h{i}" for i in range(6)])] if at else []
+    if chk:
+        sets += [(f"_{chk}{n}", [f"{x}L" for x in c]) for n, c in enumerate(coefficients(spec.seed, 2, "chk"))]
+    mod = lambda x: f"pmod({x}, {P}L)"
+    own = [f"`{c}`" for c in df.columns]
+    d = df.selectExpr(*own, f"{mod(u)} as _mu", f"{mod(v)} as _mv")
+    d = d.selectExpr(*own, *[mod(f"{mod(f'_mu * {c[0]}')} + {mod(f'_mv * {c[1]}')} + {c[2]}") + f" as _x{n}" for n, c in sets])
+    d = d.selectExpr(*own, *[mod(f"{mod(f'{mod(f"_x{n} * _x{n}")} * {c[3]}')} + {mod(f'_x{n} * {c[4]}')} + {c[5]}") + f" as {n}" for n, c in sets])
+    return d.selectExpr(*own, *([out] if at else []), *([f"_{chk}0 * {2**31}L + _{chk}1 as {chk}"] if chk else []))
+
+
+def level_text(h: str, levels: int) -> str:
+    """level() as text for Spark."""
+    return f"cast(least(bit_count(({h} & (-{h})) - 1), {levels - 1}) as int)"
+
+
 def level(h: Column, levels: int) -> Column:
     """Trailing zeros, at most levels - 1; a zero hash has 64 and so takes the top level."""
     return F.least(F.bit_count(h.bitwiseAND(-h) - 1), F.lit(levels - 1)).cast("int")

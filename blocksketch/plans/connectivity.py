@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.cells import sketch_updates
+from ..operators.cells import Buffers, Stored, sketch_updates
 from ..session import cut
 from ..spec import SketchSpec, size_spec
 from .forest import boruvka
@@ -27,12 +27,20 @@ def fit(updates: DataFrame, vertices: DataFrame, **more) -> SketchSpec:
     return size_spec(vertices.count(), updates.count(), **more)
 
 
-def extract(updates: DataFrame, spec: SketchSpec | None = None, vertices: DataFrame | None = None, mode: str = "block", extraction: str = "auto", **more) -> tuple[DataFrame, DataFrame, int]:
+def sketch_of(updates: DataFrame, spec: SketchSpec, vertices: int, length: int, mode: str = "block", store: str = "auto"):
+    """The sketch of a stream, stored: as update buffers if the stream is shorter than the sketch's V phi words (store "buffers"), else as cells by row ("cells")."""
+    if store == "auto":
+        store = "buffers" if mode == "block" and length <= vertices * spec.words else "cells"
+    return Buffers(updates, spec) if store == "buffers" else Stored(sketch_updates(updates, spec, mode=mode))
+
+
+def extract(updates: DataFrame, spec: SketchSpec | None = None, vertices: DataFrame | None = None, mode: str = "block", extraction: str = "auto", store: str = "auto", **more) -> tuple[DataFrame, DataFrame, int]:
     """(labels: x, label), (forest: u, v, round), rounds."""
-    vertices = touched(updates) if vertices is None else vertices
-    spec = spec or fit(updates, vertices, **more)
-    cells = cut(sketch_updates(updates, spec, mode=mode)).withColumn("g", F.lit(0))
-    labels, forest, rounds = boruvka(cells, spec, vertices.select(F.lit(0).alias("g"), "x"), mode=extraction)
+    vertices = cut(touched(updates) if vertices is None else vertices)
+    count, length = vertices.count(), updates.count()
+    spec = spec or size_spec(count, length, **more)
+    sketch = sketch_of(updates, spec, count, length, mode, store)
+    labels, forest, rounds = boruvka(sketch, spec, vertices.select(F.lit(0).alias("g"), "x"), mode=extraction)
     return labels.drop("g"), forest.drop("g"), rounds
 
 

@@ -3,16 +3,17 @@
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..exact.external import bipartite_components, double_cover
-from ..operators.cells import sketch_updates
+from ..operators.cells import Buffers, expand_rows
 from ..session import cut
-from ..spec import SketchSpec
-from .connectivity import connected_components, fit, touched
-from .forest import boruvka
+from ..spec import SketchSpec, size_spec
+from .connectivity import connected_components, touched
+from .forest import LOCAL, Local, boruvka
 
 
 def cover_stream(updates: DataFrame) -> DataFrame:
@@ -37,43 +38,70 @@ def weight_levels(eps: float, top: float) -> list[float]:
     return [(1 + eps) ** i for i in range(r + 1)]
 
 
-def threshold_components(updates: DataFrame, eps: float, top: float, spec: SketchSpec | None = None) -> DataFrame:
+def checked_weights(updates: DataFrame, top: float | None) -> float:
+    """top, or the largest weight if none is given; weights that are no integers from 1 to top are an error, as the bound rests on them."""
+    w = F.col("w")
+    high, low, odd = updates.agg(F.max(w), F.min(w), F.count(F.when(w.isNull() | (w != F.floor(w)), 1))).first()
+    if high is None:
+        if odd:
+            raise ValueError("edges without a weight")
+        return top or 1.0
+    if low < 1 or odd or top is not None and high > top:
+        raise ValueError(f"weights must be integers from 1 to {top if top is not None else 'some top'}; found {low} to {high}, {odd} of them no integers")
+    return float(top if top is not None else high)
+
+
+def threshold_components(updates: DataFrame, eps: float, top: float | None = None, spec: SketchSpec | None = None) -> DataFrame:
     """(i, n_components): components of the graph of edges of weight (1 + eps)**i or less, isolated vertices counted.
 
-    An edge is stored once, in the sketch of its first threshold; threshold i reads the sketches up to i, so the graphs
-    grow from one stored copy, and all extractions run in one loop.
+    An edge is stored once, with its first threshold; threshold i has sketch i, of the edges up to it. The graphs are
+    nested, so extraction of threshold i begins with the components of i - 1 and does only what the new edges add; the
+    sketch it reads is fresh to what those depend on.
     """
+    spark = updates.sparkSession
+    top = checked_weights(updates, top)
     steps = weight_levels(eps, top)
-    vertices = touched(updates)
-    spec = spec or fit(updates, vertices)
+    vertices = cut(touched(updates))
+    count = vertices.count()
+    spec = replace(spec or size_spec(count, updates.count()), sketches=len(steps))
     first = F.size(F.filter(F.array(*[F.lit(t) for t in steps]), lambda t: t < F.col("w") - 1e-9))
-    flat = updates.select("u", "v", F.lit(0).alias("sk"), first.alias("first"))
-    # one set of random rows serves all thresholds, as extraction only reads them
-    parts = cut(sketch_first(flat, spec))
-    seen = parts.select("*", F.explode(F.sequence(F.col("first"), F.lit(len(steps) - 1))).alias("g")).drop("first")
-    vs = vertices.select(F.explode(F.sequence(F.lit(0), F.lit(len(steps) - 1))).alias("g"), "x")
-    labels, _, _ = boruvka(seen, spec, vs)
-    return labels.groupBy(F.col("g").alias("i")).agg(F.countDistinct("label").alias("n_components"))
-
-
-def sketch_first(updates: DataFrame, spec: SketchSpec) -> DataFrame:
-    """Cells by first threshold."""
-    from ..functions.hashing import checksum
-    from ..operators.cells import KEYS, expand_rows, fold, vertex_group, _groups
-    from ..operators.stream import edge_records
-
-    rec = edge_records(updates).select("u", "v", "sk", F.struct(vertex_group(F.col("x"), _groups(updates)).alias("vg"), "first").alias("vg"), "x")
-    cells = expand_rows(rec.select("*", checksum(spec, F.col("u"), F.col("v")).alias("chk")), spec)
-    return fold(cells, *KEYS).select("sk", "vg.first", "x", "row", "lvl", "xu", "xv", "chk")
-
-
-def mst_weight(updates: DataFrame, eps: float, top: float, form: str = "telescoped", spec: SketchSpec | None = None) -> DataFrame:
-    """One row: the spanning-forest weight within a factor 1 + eps, integer weights from 1 to top.
+    sketch = Thresholds(updates.select("u", "v", first.alias("first")), spec)
+    vs = vertices.select(F.lit(0).alias("g"), "x")
+    if count <= LOCAL:
+        state, out = Local(vs.toPandas()), []
+        for i in range(len(steps)):
+            if sketch.news[i]:
+                state.extract(spark, sketch, spec, i)
+            out.append((i, state.count(0)))
+        return spark.createDataFrame(out, "i int, n_components long")
+    labels, out = None, []
+    for i in range(len(steps)):
+        if sketch.news[i] or labels is None:
+            labels = cut(boruvka(sketch, spec, vs, sketch=i, mode="distributed", start=labels)[0])
+        out.append((i, labels.select("label").distinct().count()))
+    return spark.createDataFrame(out, "i int, n_components long")
+
+
+class Thresholds(Buffers):
+    """Sketch i holds the edges whose first threshold is i or less; news: whether a threshold has edges of its own."""
+
+    def __init__(self, updates: DataFrame, spec: SketchSpec):
+        super().__init__(updates, spec, keep=("first",))
+        have = {r[0] for r in self.dealt.select("first").distinct().collect()}  # a number for each threshold
+        self.news = [i in have for i in range(spec.sketches)]
+
+    def rows(self, sketch: int, a: int, b: int) -> DataFrame:
+        return expand_rows(self.dealt.filter(F.col("first") <= sketch), self.spec, (sketch, sketch + 1), (a, b)).withColumn("g", F.lit(0))
+
+
+def mst_weight(updates: DataFrame, eps: float, top: float | None = None, form: str = "telescoped", spec: SketchSpec | None = None) -> DataFrame:
+    """One row: the spanning-forest weight within a factor 1 + eps, integer weights from 1 to top (the largest weight if not given; a weight beyond it is an error).
 
     Weights are rounded up to powers of 1 + eps; with c_i components at threshold i the rounded forest weighs
     n - c_r (1+eps)^r + sum of c_i ((1+eps)^(i+1) - (1+eps)^i) over i < r. form="as_printed" shifts the differences by
     one and lies below the weight; it is kept for comparison.
     """
+    top = checked_weights(updates, top)
     steps = weight_levels(eps, top)
     c = threshold_components(updates, eps, top, spec)
     n = touched(updates).count()

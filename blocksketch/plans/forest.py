@@ -13,11 +13,13 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.cells import cut_cells, recover_one
+from ..operators.cells import Given, cut_cells, recover_one
 from ..session import cut, fresh
 from ..spec import SketchExhausted, SketchSpec
 
@@ -63,21 +65,22 @@ def contract_functional(edges: DataFrame, steps: int | None = None) -> tuple[Dat
     return labels, kept
 
 
-def boruvka(cells: DataFrame, spec: SketchSpec, vertices: DataFrame, sketch: str | None = "sk", local: int = LOCAL, mode: str = "auto") -> tuple[DataFrame, DataFrame, int]:
+def boruvka(source, spec: SketchSpec, vertices: DataFrame, sketch: int = 0, local: int = LOCAL, mode: str = "auto", start: DataFrame | None = None) -> tuple[DataFrame, DataFrame, int]:
     """(labels: g, x, label), (forest: g, u, v, round), number of rounds.
 
-    cells have g beside the cell columns; vertices: g, x. Labels are least vertex numbers of components.
+    source: what gives the cells of some rows (Buffers, Stored, Given), or cells in a DataFrame. vertices: g, x. start:
+    labels (g, x, label) to begin from, of vertices known to be connected. Labels are least vertex numbers of components.
     """
-    spark = cells.sparkSession
-    count = vertices.count()
-    if mode == "local" or mode == "auto" and count <= local:
-        return _local(spark, cells, spec, vertices)
-    labels, forest = cut(vertices.select("g", "x", F.col("x").alias("label"))), None
+    spark = vertices.sparkSession
+    source = Given(source) if isinstance(source, DataFrame) else source
+    if mode == "local" or mode == "auto" and vertices.count() <= local:
+        state = Local(vertices.toPandas(), start.toPandas() if start is not None else None)
+        rounds = state.extract(spark, source, spec, sketch)
+        return state.labels(spark), state.forest(spark), rounds
+    labels, forest = cut(vertices.select("g", "x", F.col("x").alias("label")) if start is None else start.select("g", "x", "label")), None
     for t in range(spec.rows // spec.rows_per_round + 1):
-        rows = _round_rows(cells, spec, t)
-        if rows is None:
-            raise SketchExhausted(f"open components after {spec.rows} rows")
-        found = cut(recover_one(cut_cells(rows, labels, "g"), spec, "g", "label"))
+        rows, places = _round_rows(source, spec, sketch, t)
+        found = cut(recover_one(cut_cells(rows, labels, "g"), spec, "g", "label", places=places))
         if not found.limit(1).count():
             least = labels.groupBy("g", "label").agg(F.min("x").alias("least"))  # a label is some member of its component until here
             named = labels.join(least, ["g", "label"]).select("g", "x", F.col("least").alias("label"))
@@ -94,32 +97,60 @@ def boruvka(cells: DataFrame, spec: SketchSpec, vertices: DataFrame, sketch: str
     raise SketchExhausted(f"open components after {spec.rows} rows")
 
 
-def _round_rows(cells: DataFrame, spec: SketchSpec, t: int) -> DataFrame | None:
+def _round_rows(source, spec: SketchSpec, sketch: int, t: int) -> tuple[DataFrame, tuple[int, int, int]]:
     a, b = t * spec.rows_per_round, (t + 1) * spec.rows_per_round
-    return cells.filter((F.col("row") >= a) & (F.col("row") < b)) if b <= spec.rows else None
+    if b > spec.rows:
+        raise SketchExhausted(f"open components after {spec.rows} rows")
+    return source.rows(sketch, a, b), (sketch, a, b)
 
 
 def _no_forest(spark) -> DataFrame:
     return spark.createDataFrame([], "g int, u long, v long, round int")
 
 
-def _local(spark, cells: DataFrame, spec: SketchSpec, vertices: DataFrame) -> tuple[DataFrame, DataFrame, int]:
-    """Labels and sampled edges, LOCAL at most, on the driver; cells stay where they are."""
-    at = vertices.select("g", "x").toPandas()
-    union, forest, t = Union(), [], 0
-    keys = list(zip(at.g.tolist(), at.x.tolist()))
-    while True:
-        labels = pd.DataFrame({"g": at.g, "x": at.x, "label": [union.root(k)[1] for k in keys]})
-        rows = _round_rows(cells, spec, t)
-        if rows is None:
-            raise SketchExhausted(f"open components after {spec.rows} rows")
-        frame = spark.createDataFrame(labels, "g int, x long, label long")
-        found = recover_one(cut_cells(rows, frame, "g"), spec, "g", "label").collect()
-        t += 1
-        if not found:
-            break
-        for g, _, u, v in sorted((r for r in found if r.u is not None), key=tuple):
-            if union.join((g, u), (g, v)):
-                forest.append((g, u, v, t - 1))
-    out = spark.createDataFrame(forest, "g int, u long, v long, round int") if forest else _no_forest(spark)
-    return spark.createDataFrame(labels, "g int, x long, label long"), out, t
+class Local:
+    """Labels and sampled edges, LOCAL at most, on the driver; cells stay where they are.
+
+    A vertex whose label showed no cell is done and takes no part in later rounds. Its label may open again only if more
+    edges come in, for which extract() starts with all vertices.
+    """
+
+    def __init__(self, at: pd.DataFrame, start: pd.DataFrame | None = None):
+        self.g, self.x = at.g.to_numpy(dtype=np.int32), at.x.to_numpy(dtype=np.int64)
+        self.union, self.edges = Union(), []
+        if start is not None:
+            for g, x, label in start[["g", "x", "label"]].itertuples(index=False, name=None):
+                self.union.join((g, x), (g, label))
+
+    def _label(self) -> np.ndarray:
+        root = self.union.root
+        return np.array([root(k)[1] for k in zip(self.g.tolist(), self.x.tolist())], dtype=np.int64)
+
+    def count(self, g: int) -> int:
+        """Components of a group."""
+        return len(set(self._label()[self.g == g].tolist()))
+
+    def _frame(self, spark, label: np.ndarray, some: np.ndarray | slice = slice(None)) -> DataFrame:
+        return spark.createDataFrame(pa.table({"g": self.g[some], "x": self.x[some], "label": label[some]}), "g int, x long, label long")
+
+    def extract(self, spark, source, spec: SketchSpec, sketch: int = 0) -> int:
+        """Contract until no label shows a cell; the number of rounds."""
+        t, label, live = 0, self._label(), slice(None)
+        while True:
+            rows, places = _round_rows(source, spec, sketch, t)
+            found = recover_one(cut_cells(rows, self._frame(spark, label, live), "g"), spec, "g", "label", places=places).collect()
+            t += 1
+            if not found:
+                return t
+            for g, _, u, v in sorted((r for r in found if r.u is not None), key=tuple):
+                if self.union.join((g, u), (g, v)):
+                    self.edges.append((g, u, v, t - 1))
+            label = self._label()
+            still = {self.union.root((r.g, r.label)) for r in found}
+            live = np.array([k in still for k in zip(self.g.tolist(), label.tolist())], dtype=bool)
+
+    def labels(self, spark) -> DataFrame:
+        return self._frame(spark, self._label())
+
+    def forest(self, spark) -> DataFrame:
+        return spark.createDataFrame(self.edges, "g int, u long, v long, round int") if self.edges else _no_forest(spark)

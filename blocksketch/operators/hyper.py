@@ -10,7 +10,6 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from ..functions.hashing import P, coefficients, level, poly_hash
 from ..session import cut, fresh
@@ -26,9 +25,10 @@ def _mod(x: Column) -> Column:
 
 
 def canonical_hyperedges(df: DataFrame, members: str) -> DataFrame:
-    """(members): sorted distinct members; a set of fewer than two crosses no cut and goes."""
+    """(members, and delta if df has it): sorted distinct members; a set of fewer than two crosses no cut and goes."""
     m = F.array_sort(F.array_distinct(F.col(members).cast("array<long>")))
-    return df.select(m.alias("members")).filter(F.size("members") > 1)
+    delta = [F.col("delta").cast("int").alias("delta")] if "delta" in df.columns else []
+    return df.select(m.alias("members"), *delta).filter(F.size("members") > 1)
 
 
 def digits(members: Column, r: int) -> Column:
@@ -56,24 +56,34 @@ def hyperedge_records(hyper: DataFrame) -> DataFrame:
     return hyper.select("members", F.explode("members").alias("x"), least.alias("_l")).select("members", "x", F.when(F.col("x") == F.col("_l"), F.size("members") - 1).otherwise(-1).cast("long").alias("coef"))
 
 
-def sketch_hyper(hyper: DataFrame, spec: SketchSpec, r: int) -> DataFrame:
-    """HCELL rows: vg, x, row, lvl, s0, chk, coord array of 2r residues. hyper: members, and delta if deletions occur."""
+def hyper_buffers(hyper: DataFrame, spec: SketchSpec, r: int) -> DataFrame:
+    """(vg, x, coef, d, fp): each update at each of its members, dealt to vertex groups. hyper: members, and delta if deletions occur."""
     delta = F.col("delta").cast("long") if "delta" in hyper.columns else F.lit(1).cast("long")
     n = int(hyper.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    base = hyper.select("members", delta.alias("delta"))
-    rec = base.select("members", "delta", F.explode("members").alias("x"))
+    rec = hyper.select("members", delta.alias("delta")).select("members", "delta", F.explode("members").alias("x"))
     coef = F.when(F.col("x") == F.element_at("members", 1), F.size("members") - 1).otherwise(-1).cast("long") * F.col("delta")
     rec = rec.select("x", coef.alias("coef"), "members", vertex_group(F.col("x"), _groups(hyper)).alias("vg")).repartition(n, "vg")
     rec = rec.select("vg", "x", "coef", digits(F.col("members"), r).alias("d"))
-    rec = rec.select("*", fingerprint(spec, F.col("d")).alias("fp")).select("*", F.explode(F.sequence(F.lit(0), F.lit(spec.rows - 1))).alias("row"))
+    return rec.select("*", fingerprint(spec, F.col("d")).alias("fp"))
+
+
+def expand_hyper(buffers: DataFrame, spec: SketchSpec, r: int, a: int, b: int) -> DataFrame:
+    """Parts of HCELL rows in rows a to b - 1: vg, x, row, lvl, s0, chk, c0 .. c(2r - 1)."""
+    rec = buffers.select("*", F.explode(F.sequence(F.lit(a), F.lit(b - 1))).alias("row"))
     lvl = level(hyper_hash(spec, F.lit(0), F.col("row"), F.col("fp")), spec.levels)
-    cols = [_mod(F.col("coef")).alias("s0"), _mod(_mod(F.col("coef")) * F.col("fp")).alias("chk"), *[_mod(_mod(F.col("coef")) * F.col("d")[i]).alias(f"c{i}") for i in range(2 * r)]]
-    return fold_hyper(rec.select("vg", "x", "row", lvl.alias("lvl"), *cols), r, "vg", "x", "row", "lvl")
+    times = lambda c: f"pmod(pmod(coef, {P}L) * {c}, {P}L)"
+    sums = [f"pmod(coef, {P}L) as s0", f"{times('fp')} as chk", *[f"{times(f'd[{i}]')} as c{i}" for i in range(2 * r)]]
+    return rec.withColumn("lvl", lvl).selectExpr("vg", "x", "row", "lvl", *sums)
+
+
+def sketch_hyper(hyper: DataFrame, spec: SketchSpec, r: int) -> DataFrame:
+    """HCELL rows: vg, x, row, lvl, s0, chk, coord residues, of all rows of the sketch. hyper: members, and delta if deletions occur."""
+    return fold_hyper(expand_hyper(hyper_buffers(hyper, spec, r), spec, r, 0, spec.rows), r, "vg", "x", "row", "lvl")
 
 
 def fold_hyper(cells: DataFrame, r: int, *keys: str) -> DataFrame:
     names = ["s0", "chk", *[f"c{i}" for i in range(2 * r)]]
-    out = cells.groupBy(*keys).agg(*[_mod(F.sum(c)).alias(c) for c in names])
+    out = cells.groupBy(*keys).agg(*[F.expr(f"pmod(sum({c}), {P}L) as {c}") for c in names])
     return out.filter("s0 <> 0 or chk <> 0 or c0 <> 0")
 
 
@@ -85,16 +95,16 @@ def _inverse(c: Column) -> Column:
 
 def recover_hyper(cells: DataFrame, spec: SketchSpec, r: int, *keys: str) -> DataFrame:
     """(keys, members): a crossing hyperedge for each vertex set that shows one; null where no row does."""
-    w = W.partitionBy(*keys, "row").orderBy(F.desc("lvl")).rowsBetween(W.unboundedPreceding, 0)
     names = ["s0", "chk", *[f"c{i}" for i in range(2 * r)]]
-    s = cells.select(*keys, "row", "lvl", *[_mod(F.sum(c).over(w)).alias(c) for c in names]).filter("s0 <> 0")
-    s = s.withColumn("inv", _inverse(F.col("s0"))).withColumn("d", F.array(*[_mod(F.col(f"c{i}") * F.col("inv")) for i in range(2 * r)]))
+    over = f"over (partition by {', '.join(keys)}, row order by lvl desc rows between unbounded preceding and current row)"
+    s = cells.selectExpr(*keys, "row", "lvl", *[f"pmod(sum({c}) {over}, {P}L) as {c}" for c in names]).filter("s0 <> 0")
+    s = s.withColumn("inv", _inverse(F.col("s0"))).withColumn("d", F.expr(f"array({', '.join(f'pmod(c{i} * inv, {P}L)' for i in range(2 * r))})"))
     s = s.withColumn("fp", fingerprint(spec, F.col("d")))
     good = (_mod(F.col("chk") * F.col("inv")) == F.col("fp")) & F.forall("d", lambda x: x < LIMB) & (level(hyper_hash(spec, F.lit(0), F.col("row"), F.col("fp")), spec.levels) >= F.col("lvl"))
     members = F.filter(F.transform(F.sequence(F.lit(0), F.lit(r - 1)), lambda i: F.get("d", i * 2) + F.get("d", i * 2 + 1) * LIMB), lambda m: m > 0)
     ok = s.filter(good).select(*keys, "row", F.transform(members, lambda m: m - 1).alias("members")).filter(F.size("members") > 1)
     some = ok.groupBy(*keys).agg(F.min_by("members", "row").alias("members"))
-    return cells.select(*keys).distinct().join(some, list(keys), "left")
+    return cells.select(*keys).distinct().join(some, list(keys), "left")  # a row for each open vertex set
 
 
 def rank(hyper: DataFrame) -> int:
@@ -113,25 +123,37 @@ def hyper_components(hyper: DataFrame, r: int | None = None, spec: SketchSpec |
     if r is not None and most > r:
         raise ValueError(f"a hyperedge of {most} members; r is {r}")
     r = r or most
+    hyper = cut(hyper)
     vertices = cut(hyper.select(F.explode("members").alias("x")).distinct())
     count = vertices.count()
     spec = spec or size_spec(count, max(2, hyper.count()))
-    cells = cut(sketch_hyper(hyper, spec, r))
+    cells = HyperBuffers(hyper, spec, r)  # the rows of a round are made when it reads them: a cell is 2r + 2 numbers wide
     if extraction == "local" or extraction == "auto" and count <= LOCAL:
         return _local(cells, vertices, spec, r)
     return _distributed(cells, vertices, spec, r)
 
 
-def _found(cells: DataFrame, labels: DataFrame, spec: SketchSpec, r: int, t: int) -> DataFrame:
+class HyperBuffers:
+    """A hyperedge sketch as its stored update buffers."""
+
+    def __init__(self, hyper: DataFrame, spec: SketchSpec, r: int):
+        self.spec, self.r, self.sparkSession = spec, r, hyper.sparkSession
+        self.buffers = cut(hyper_buffers(hyper, spec, r))
+
+    def rows(self, a: int, b: int) -> DataFrame:
+        return expand_hyper(self.buffers, self.spec, self.r, a, b)
+
+
+def _found(cells: HyperBuffers, labels: DataFrame, spec: SketchSpec, r: int, t: int) -> DataFrame:
     """(label, members) of round t, a row for each open label."""
     a, b = t * spec.rows_per_round, (t + 1) * spec.rows_per_round
     if b > spec.rows:
         raise SketchExhausted(f"open components after {spec.rows} rows")
-    rows = cells.filter((F.col("row") >= a) & (F.col("row") < b)).join(labels, "x")
+    rows = cells.rows(a, b).join(labels, "x")
     return recover_hyper(fold_hyper(rows, r, "label", "row", "lvl"), spec, r, "label")
 
 
-def _local(cells: DataFrame, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
+def _local(cells: HyperBuffers, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
     spark, at = cells.sparkSession, vertices.toPandas()
     union, chosen, t = Union(), [], 0
     while True:
@@ -145,7 +167,7 @@ def _local(cells: DataFrame, vertices: DataFrame, spec: SketchSpec, r: int) -> t
         t += 1
 
 
-def _distributed(cells: DataFrame, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
+def _distributed(cells: HyperBuffers, vertices: DataFrame, spec: SketchSpec, r: int) -> tuple[DataFrame, DataFrame]:
     from ..exact.external import components
 
     labels, chosen, t = vertices.select("x", F.col("x").alias("label")), None, 0

@@ -1,15 +1,22 @@
-"""Densest subgraph by one partition of the edges into buckets, sampling from the buckets, and peeling the sample."""
+"""Densest subgraph by one partition of the edges into buckets, drawing from the buckets' sketches, and peeling the sample."""
 
 from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..exact.solvers import peel, peel_batch
-from ..functions.hashing import P, coefficients, poly_hash
-from .kconn import collected
+from ..functions.hashing import P, coefficients, poly_hash, with_hashes
+from ..operators.cells import SUMS, expand_rows
+from ..session import cut, fresh
+from ..spec import SketchExhausted, SketchSpec
+from .kconn import TooLarge, collected
+
+ROWS = 12  # of a bucket's sketch: a row shows no single edge in about 3 of 10 cases, all of them in 1 of 2 million
 
 
 def bucket_of(u, v, buckets: int, seed: int, t: int = 16):
@@ -21,47 +28,163 @@ def bucket_of(u, v, buckets: int, seed: int, t: int = 16):
 
 def bucket_stats(updates: DataFrame, buckets: int, seed: int = 9) -> DataFrame:
     """(bucket, n): surviving edges, from signed counters; deletions count down."""
-    b = bucket_of(F.col("u"), F.col("v"), buckets, seed)
-    return updates.groupBy(b.alias("bucket")).agg(F.sum("delta").cast("long").alias("n")).filter("n > 0")
-
+    return counters(updates.withColumn("bucket", bucket_of(F.col("u"), F.col("v"), buckets, seed)))
 
-def densest_subgraph(updates: DataFrame, eps: float, seed: int = 9, peeling: str = "sequential", partitions: str = "single") -> dict:
-    """{density, vertices, p, edges, sample, regime}; within a factor 2 (1 + eps) with high probability.
 
-    Every surviving edge is sampled with p = log V / (eps^2 E / V), at most 1 (regime "exact"). A bucket holds few edges,
-    so its edges come from its sketches one by one: here the bucket's updates are cancelled and drawn in one task, with
-    the number drawn binomial, from a generator seeded by (seed, bucket). partitions="parallel" is the earlier form:
-    log V pairwise partitions whose buckets are each sampled whole, and their union is kept with the same p.
+def counters(bucketed: DataFrame) -> DataFrame:
+    return bucketed.groupBy("bucket").agg(F.sum("delta").cast("long").alias("n")).filter("n > 0")
+
+
+def drawn_numbers(counts: DataFrame, p: float, seed: int) -> DataFrame:
+    """(bucket, n, x): x ~ Bin(n, p), from a generator seeded by (seed, bucket), so that reruns agree."""
+
+    def run(frames):
+        for f in frames:
+            yield f.assign(x=[int(np.random.default_rng([seed, int(b)]).binomial(n, p)) if p < 1 else n for b, n in zip(f.bucket, f.n)])
+
+    return counts.select(F.col("bucket").cast("long").alias("bucket"), "n").mapInPandas(run, "bucket long, n long, x long")
+
+
+def bucket_sketches(bucketed: DataFrame, numbers: DataFrame, spec: SketchSpec) -> DataFrame:
+    """(bucket, x, sk, row, lvl, sums): the cells of the first x sketches of every bucket, which is the vertex and vertex group here; sketches that no draw asks for are not made."""
+    asked = numbers.filter("x > 0").select("bucket", F.col("x").alias("asked"))
+    most = asked.agg(F.max("asked")).first()[0] or 0
+    if most > spec.sketches:
+        raise SketchExhausted(f"{most} edges are drawn from a bucket of {spec.sketches} sketches")
+    rec = bucketed.select(F.col("bucket").cast("long").alias("bucket"), "u", "v").join(asked, "bucket")
+    rec = with_hashes(rec.select(F.lit(0).alias("vg"), F.col("bucket").alias("x"), "u", "v", "asked"), spec, "u", "v", None, "chk")
+    cells = expand_rows(rec, spec, (0, max(1, most)), None, ("asked",)).filter("sk < asked")
+    out = cells.groupBy("x", "asked", "sk", "row", "lvl").agg(*[F.expr(f"bit_xor({c}) as {c}") for c in SUMS]).filter("xu <> 0 or xv <> 0 or chk <> 0")
+    return out.select(F.col("x").alias("bucket"), "asked", "sk", "row", "lvl", *SUMS)
+
+
+class Draw:
+    """Edges of one bucket, from its sketches one after the other; a found edge leaves the later sketches before they are asked."""
+
+    def __init__(self, spec: SketchSpec):
+        self.spec, self.row = spec, np.array(coefficients(spec.seed, spec.sketches * spec.rows, "row"), dtype=np.int64)
+        self.chk = np.array(coefficients(spec.seed, 2, "chk"), dtype=np.int64)
+
+    @staticmethod
+    def _hash(u: int, v: int, c: np.ndarray) -> np.ndarray:
+        c = c.T
+        x = ((u % P) * c[0] % P + (v % P) * c[1] % P + c[2]) % P
+        return ((x * x % P) * c[3] % P + x * c[4] % P + c[5]) % P
+
+    def checksum(self, u: int, v: int) -> int:
+        a, b = self._hash(u, v, self.chk).tolist()
+        return a * 2**31 + b
+
+    def levels(self, u: int, v: int, sk: int) -> np.ndarray:
+        """The edge's level in every row of a sketch."""
+        h = self._hash(u, v, self.row[sk * self.spec.rows : (sk + 1) * self.spec.rows])
+        low = np.bitwise_count((h & -h) - 1).astype(np.int64)
+        return np.minimum(np.where(h == 0, 64, low), self.spec.levels - 1)
+
+    def one(self, sums: np.ndarray, sk: int) -> tuple[int, int, int] | None:
+        """An edge (u, v, checksum) of the sketch: of the first row that shows one, at the highest level; sums: rows x levels x 3."""
+        tail = np.bitwise_xor.accumulate(sums[:, ::-1], axis=1)[:, ::-1]
+        for row in range(self.spec.rows):
+            for lvl in range(self.spec.levels - 1, -1, -1):
+                u, v, chk = tail[row, lvl].tolist()
+                if u < v and (u or v) and chk == self.checksum(u, v) and self.levels(u, v, sk)[row] >= lvl:
+                    return u, v, chk
+        return None
+
+    def edges(self, f: pd.DataFrame, x: int) -> list[tuple[int, int]]:
+        found: list[tuple[int, int, int]] = []
+        rows = np.arange(self.spec.rows)
+        by = f.sort_values("sk")
+        start = np.searchsorted(by.sk.to_numpy(), np.arange(x + 1))
+        place, sums = by[["row", "lvl"]].to_numpy(), by[list(SUMS)].to_numpy(dtype=np.int64)
+        for sk in range(x):
+            own = np.zeros((self.spec.rows, self.spec.levels, 3), dtype=np.int64)
+            at = place[start[sk] : start[sk + 1]]
+            own[at[:, 0], at[:, 1]] = sums[start[sk] : start[sk + 1]]
+            for u, v, chk in found:
+                own[rows, self.levels(u, v, sk)] ^= np.array([u, v, chk])
+            e = self.one(own, sk)
+            if e is None:
+                raise SketchExhausted(f"no row of sketch {sk} of a bucket shows a single edge")
+            found.append(e)
+        return [(u, v) for u, v, _ in found]
+
+
+def bucket_sample(bucketed: DataFrame, numbers: DataFrame, spec: SketchSpec) -> DataFrame:
+    """(bucket, u, v): x edges of each bucket without replacement, recovered from its sketches. A bucket's cells, x rows levels at most, are one group."""
+
+    def run(key, f):
+        x = int(f.asked.iloc[0])
+        return pd.DataFrame([(int(key[0]), u, v) for u, v in Draw(spec).edges(f, x)], columns=["bucket", "u", "v"])
+
+    return bucket_sketches(bucketed, numbers, spec).groupBy("bucket").applyInPandas(run, "bucket long, u long, v long")
+
+
+def live_vertices(updates: DataFrame) -> DataFrame:
+    """(x): vertices with an edge left, from a signed degree counter for each."""
+    ends = updates.select(F.explode(F.array("u", "v")).alias("x"), "delta")
+    return ends.groupBy("x").agg(F.sum("delta").alias("deg")).filter("deg > 0").select("x")
+
+
+def densest_subgraph(updates: DataFrame, eps: float, seed: int = 9, peeling: str = "sequential", partitions: str = "single", rows: int = ROWS) -> dict:
+    """{density, vertices, p, edges, sample, regime, large, drawn (DataFrame bucket, u, v), numbers (DataFrame bucket, n, x)}; density within a factor 2 (1 + eps) with high probability.
+
+    Every surviving edge is sampled with p = V log V / (eps^2 E), at most 1 (regime "exact"). partitions "single": one
+    log V-wise independent partition into V / eps^2 buckets with log2(V)**2 sketches each; the buckets are small with
+    high probability, and large tells how many are not. "parallel", the earlier form: log V pairwise independent
+    partitions, of whose buckets only the small ones (4 eps^2 E / V edges) are drawn from; an edge counts in its first
+    small bucket. peeling "batch" peels in Spark once the sample is beyond one solver's size.
     """
-    from ..operators.stream import edges_at
-
-    live = edges_at(updates)
-    e, v = live.count(), live.select(F.explode(F.array("u", "v")).alias("x")).distinct().count()
+    e = updates.agg(F.sum("delta")).first()[0] or 0
+    v = live_vertices(updates).count()
     if not e:
-        return {"density": 0.0, "vertices": [], "p": 1.0, "edges": 0, "sample": 0, "regime": "exact"}
+        return {"density": 0.0, "vertices": [], "p": 1.0, "edges": 0, "sample": 0, "regime": "exact", "large": 0, "drawn": None, "numbers": None}
+    log = math.ceil(math.log2(max(2, v)))
     p = min(1.0, v * math.log2(max(2, v)) / (eps * eps * e))
-    buckets = max(1, math.ceil(v / (eps * eps)))
-
-    def draw(key, f):
-        import numpy as np
+    buckets, small = max(1, math.ceil(v / (eps * eps))), 4 * eps * eps * e / v
+    levels = math.ceil(math.log2(max(2.0, small))) + 8
+    narrow = updates.select("u", "v", "delta")
+    if partitions == "single":
+        bucketed = cut(narrow.withColumn("bucket", bucket_of(F.col("u"), F.col("v"), buckets, seed, max(16, log))))
+        numbers = cut(drawn_numbers(counters(bucketed), p, seed))
+        spec = SketchSpec(rows=rows, levels=levels, sketches=max(8, log * log), seed=seed)
+        drawn = cut(bucket_sample(bucketed, numbers, spec))
+        sample = drawn.select("u", "v")
+    else:
+        place = [bucket_of(F.col("u"), F.col("v"), buckets, seed + j, 2).cast("long") * log + j for j in range(log)]
+        bucketed = cut(narrow.select("u", "v", "delta", F.explode(F.array(*place)).alias("bucket")))
+        numbers = cut(drawn_numbers(counters(bucketed).filter(F.col("n") <= small), p, seed))
+        spec = SketchSpec(rows=rows, levels=levels, sketches=max(8, math.ceil(small)), seed=seed)
+        drawn = cut(bucket_sample(bucketed, numbers, spec))
+        earlier = drawn.select("bucket", "u", "v", F.explode(F.array(*place)).alias("other")).filter(F.col("other") % log < F.col("bucket") % log)
+        counted = earlier.join(numbers.select(F.col("bucket").alias("other")), "other", "left_semi").select("bucket", "u", "v").distinct()
+        sample = drawn.join(counted, ["bucket", "u", "v"], "left_anti").select("u", "v")
+    sample = cut(sample)
+    size = sample.count()
+    if peeling == "batch":
+        density, vertices = peeled(sample)
+    else:
+        density, vertices = peel(sorted(collected(sample)))
+    large = numbers.filter(F.col("n") > small).count()
+    return {"density": density / p, "vertices": vertices, "p": p, "edges": e, "sample": size, "regime": "exact" if p == 1 else "sampled", "large": large, "drawn": drawn, "numbers": numbers}
 
-        g = np.random.default_rng([seed, int(key[0])])
-        left = f.groupby(["u", "v"], as_index=False)["delta"].sum()
-        left = left[left.delta == 1].sort_values(["u", "v"])
-        n = int(g.binomial(len(left), p)) if p < 1 else len(left)
-        return left.iloc[np.sort(g.permutation(len(left))[:n])][["u", "v"]]
 
-    def sampled(bucket):
-        return updates.select("u", "v", "delta", bucket.alias("bucket")).groupBy("bucket").applyInPandas(draw, "u long, v long")
+def peeled(edges: DataFrame, delta: float = 0.1, local: int = 200_000) -> tuple[float, list[int]]:
+    """(density, vertices): all vertices of degree (1 + delta) times twice the density or less go, round after round; in Spark until what is left fits one solver, within a factor 2 (1 + delta).
 
-    if partitions == "single":
-        sample = sampled(bucket_of(F.col("u"), F.col("v"), buckets, seed))
-    else:
-        n = math.ceil(math.log2(max(2, v)))
-        parts = [bucket_of(F.col("u"), F.col("v"), buckets, seed + j, 2) * n + j for j in range(n)]
-        each = updates.select("u", "v", "delta", F.explode(F.array(*parts)).alias("bucket"))
-        sample = each.groupBy("bucket").applyInPandas(lambda key, f: draw((int(key[0]),), f), "u long, v long").distinct()
-    rows = sorted(set(collected(sample)))
-    scale = p if partitions == "single" else (1 - (1 - p) ** math.ceil(math.log2(max(2, v))))
-    density, vertices = (peel if peeling == "sequential" else peel_batch)(rows)
-    return {"density": density / scale, "vertices": vertices, "p": p, "edges": e, "sample": len(rows), "regime": "exact" if p == 1 else "sampled"}
+    The vertices of the densest stage are listed if they are local at most; a larger stage is an error (TooLarge).
+    """
+    live, best, kept = edges.select("u", "v"), 0.0, None
+    while (m := live.count()) > local:
+        deg = cut(live.select(F.explode(F.array("u", "v")).alias("x")).groupBy("x").agg(F.count(F.lit(1)).alias("deg")))
+        density = m / deg.count()
+        if density > best:
+            best, kept = density, deg.select("x")
+        high = deg.filter(F.col("deg") > 2 * (1 + delta) * density).select("x")
+        live = fresh(cut(live.join(high.withColumnRenamed("x", "u"), "u", "left_semi").join(high.withColumnRenamed("x", "v"), "v", "left_semi").select("u", "v")))
+    density, vertices = peel_batch([tuple(r) for r in live.collect()], delta)
+    if density >= best or kept is None:
+        return density, vertices
+    if kept.count() > local:
+        raise TooLarge("the densest stage has more vertices than a list holds")
+    return best, sorted(r.x for r in kept.collect())

@@ -4,16 +4,17 @@ from __future__ import annotations
 
 import math
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..exact.solvers import adjacency, max_flow, stoer_wagner
 from ..functions.hashing import uniform
-from ..operators.cells import KEYS, fold, sketch_updates
+from ..operators.cells import Buffers, deal, expand_rows
 from ..session import cut, fresh
 from ..spec import SketchSpec, size_spec
 from .connectivity import touched
-from .forest import LOCAL, boruvka, contract_functional
+from .forest import LOCAL, Local, boruvka, contract_functional
 
 
 def deletion_schedule(k: int) -> list[tuple[int, int, int, int, int]]:
@@ -30,68 +31,145 @@ def deletion_touches(k: int, schedule: str) -> int:
     return sum(b - a + 1 for *_, a, b in deletion_schedule(k)) if schedule == "block" else k * (k - 1) // 2
 
 
-def k_certificate(updates: DataFrame, k: int, spec: SketchSpec | None = None, schedule: str = "block", vertices: DataFrame | None = None, base: int = 0, cells: DataFrame | None = None) -> DataFrame:
-    """(u, v, forest): k edge-disjoint forests, each maximal in what the former leave.
+class TooLarge(ValueError):
+    """A certificate or vertex set beyond what one solver holds."""
 
-    Sketch i gives forest i after the former forests are deleted from it; a deletion is one more XOR of the same
-    cells. schedule: "naive" deletes each forest from every later sketch at once, "block" by deletion_schedule(), "lazy"
-    deletes all former forests when a sketch is opened. All give the same forests.
+
+class LevelsExhausted(ValueError):
+    """No sampled graph has a cut below k: more levels or a larger k are needed."""
+
+
+def super_width(vertices: int) -> int:
+    """The forests of a super-forest: log2(V)**2."""
+    return max(1, math.ceil(math.log2(max(2, vertices)) ** 2))
+
+
+def chosen_schedule(k: int, vertices: int, memory_words: float = 2.0**27, width: int | None = None) -> str:
+    """What "auto" means: "lazy" while k is no more than a super-forest's width; "naive" where k log2(V)**2 words exceed the memory, as the block schedule needs a vertex sketch in memory; "super" in between."""
+    width = width or super_width(vertices)
+    if k <= width:
+        return "lazy"
+    return "super" if k * super_width(vertices) < memory_words else "naive"
+
+
+def deletions(k: int, schedule: str, width: int = 1) -> list[list[tuple[range, range]]]:
+    """For each i from 0 to k - 1, what is done before sketch i is opened: (forests to delete, sketches to delete them from).
+
+    "naive": the last forest from all later sketches. "lazy": all former forests from sketch i. "block": by
+    deletion_schedule(). "super": deletion_schedule() over super-forests of width forests, and within a super-forest its
+    own former forests when a sketch is opened.
     """
-    vertices = touched(updates) if vertices is None else vertices
-    spec = spec or size_spec(vertices.count(), updates.count(), sketches=k)
-    cells = cut(sketch_updates(updates, spec, (base, base + k))) if cells is None else cells
-    vs = cut(vertices.select(F.lit(0).alias("g"), "x"))
-    forests: list[DataFrame] = []
-    extra: dict[int, list[DataFrame]] = {i: [] for i in range(k)}
-
-    def delete(which: list[int], sketches: range) -> None:
-        gone = None
-        for j in which:
-            gone = forests[j] if gone is None else gone.unionByName(forests[j])
-        if gone is None or not len(sketches):
-            return
-        d = cut(sketch_updates(gone.select("u", "v"), spec, (base + sketches.start, base + sketches.stop)))
+    out: list[list[tuple[range, range]]] = [[] for _ in range(k)]
+    if schedule == "naive":
+        for i in range(1, k):
+            out[i].append((range(i - 1, i), range(i, k)))
+    elif schedule == "lazy":
+        for i in range(1, k):
+            out[i].append((range(i), range(i, i + 1)))
+    elif schedule in ("block", "super"):
+        width = 1 if schedule == "block" else width
+        for i, a, b, c, d in deletion_schedule(-(-k // width)):
+            out[i * width].append((range(a * width, (b + 1) * width), range(c * width, min(k, (d + 1) * width))))
+        for i in range(k):
+            if i % width:
+                out[i].append((range(i - i % width, i), range(i, i + 1)))
+    else:
+        raise ValueError(schedule)
+    return out
+
+
+class Without:
+    """Sketches less deleted edges: over XOR the same as with them. Deleted edges are dealt once for each deletion, and serve all sketches that it covers."""
+
+    def __init__(self, base, spec: SketchSpec):
+        self.base, self.spec, self.gone = base, spec, {}
+
+    def delete(self, edges: DataFrame, sketches: range) -> None:
+        dealt = cut(deal(edges.select("u", "v", "g"), self.spec, ("g",), None))
         for i in sketches:
-            extra[i].append(d.filter(F.col("sk") == base + i))
+            self.gone.setdefault(i, []).append(dealt)
+
+    def rows(self, sketch: int, a: int, b: int) -> DataFrame:
+        out = self.base.rows(sketch, a, b)
+        for dealt in self.gone.get(sketch, ()):
+            out = out.unionByName(expand_rows(dealt, self.spec, (sketch, sketch + 1), (a, b), ("g",)), allowMissingColumns=True)
+        return out
+
+
+def certificates(updates: DataFrame, k: int, levels: int = 1, spec: SketchSpec | None = None, schedule: str = "auto", vertices: DataFrame | None = None, width: int | None = None) -> DataFrame:
+    """(g, u, v, forest): k edge-disjoint forests of each sampled graph g, each maximal in what the former leave.
 
-    plan = {i: (a, b, c, d) for i, a, b, c, d in deletion_schedule(k)}
+    updates: u, v, delta, and depth if there are levels; an edge is in graph g if its depth is g or more. All graphs
+    grow from one stored copy of the updates, and are extracted together: k extractions, whatever the number of levels.
+    Sketch i gives forest i after the former forests are deleted from it (deletions()); all schedules give the same.
+    """
+    spark = updates.sparkSession
+    vertices = cut(touched(updates) if vertices is None else vertices)
+    n = vertices.count()
+    spec = spec or size_spec(n, updates.count(), sketches=k)
+    width = width or super_width(n)
+    spread = F.sequence(F.lit(0), F.col("depth")) if levels > 1 else None
+    sketch = Without(Buffers(updates, spec, ("depth",) if levels > 1 else (), spread), spec)
+    vs = vertices.select(F.explode(F.sequence(F.lit(0), F.lit(levels - 1))).alias("g"), "x")
+    at = vs.toPandas() if n * levels <= LOCAL else None
+    forests: list[DataFrame] = []
+    steps = deletions(k, chosen_schedule(k, n, width=width) if schedule == "auto" else schedule, width)
     for i in range(k):
-        if i and schedule == "block":
-            a, b, c, d = plan[i]
-            delete(list(range(a, b + 1)), range(c, d + 1))
-        elif i and schedule == "lazy":
-            delete(list(range(i)), range(i, i + 1))
-        own = cells.filter(F.col("sk") == base + i)
-        for d in extra[i]:
-            own = own.unionByName(d)
-        _, forest, _ = boruvka(cut(fold(own, *KEYS)).withColumn("g", F.lit(0)), spec, vs)
-        forests.append(cut(forest.select("u", "v", F.lit(i).alias("forest"))))
-        if schedule == "naive" and i + 1 < k:
-            delete([i], range(i + 1, k))
+        for which, sketches in steps[i]:
+            gone = None
+            for j in which:
+                gone = forests[j] if gone is None else gone.unionByName(forests[j])
+            sketch.delete(gone, sketches)
+        if at is not None:
+            state = Local(at)
+            state.extract(spark, sketch, spec, i)
+            forest = state.forest(spark)
+        else:
+            forest = boruvka(sketch, spec, vs, sketch=i, mode="distributed")[1]
+        forests.append(cut(forest.select("g", "u", "v", F.lit(i).alias("forest"))))
     out = forests[0]
     for f in forests[1:]:
         out = out.unionByName(f)
     return out
 
 
-def collected(edges: DataFrame, limit: int = LOCAL) -> list[tuple]:
+def k_certificate(updates: DataFrame, k: int, spec: SketchSpec | None = None, schedule: str = "auto", vertices: DataFrame | None = None, width: int | None = None) -> DataFrame:
+    """(u, v, forest): k edge-disjoint forests of the graph, each maximal in what the former leave: every cut has the lesser of k and its own size in their union."""
+    return certificates(updates.select("u", "v"), k, 1, spec, schedule, vertices, width).drop("g")
+
+
+def collected(edges: DataFrame, limit: int | None = None) -> list[tuple]:
     """Edges of a certificate, whose number is bounded by k (V - 1); beyond the limit it is an error, not a silent sample."""
+    limit = LOCAL if limit is None else limit
     rows = edges.limit(limit + 1).collect()
     if len(rows) > limit:
-        raise ValueError(f"more than {limit} edges; use contraction_trials() on the DataFrame")
+        raise TooLarge(f"more than {limit} edges; contraction_trials() bounds the minimum cut of such a DataFrame from above")
     return [tuple(r) for r in rows]
 
 
+def is_connected(edges: DataFrame, vertices: DataFrame) -> bool:
+    """Whether the edges join all the vertices, counted in Spark."""
+    from ..exact.external import components
+
+    n = vertices.count()
+    labels = components(edges.select("u", "v"))
+    seen, parts = labels.agg(F.count(F.lit(1)), F.countDistinct("label")).first()
+    return n <= 1 or seen == n and parts == 1
+
+
 def edge_connectivity_upto(updates: DataFrame, k: int, exact_at_k: bool = True, spec: SketchSpec | None = None) -> tuple[int, bool]:
-    """(lambda, False) if lambda <= k, else (k, True): at least k + 1, or k with exact_at_k=False."""
+    """(lambda, False) if lambda <= k, else (k, True): at least k + 1, or k with exact_at_k=False.
+
+    Connectedness is decided in Spark at any size; a connected certificate beyond one solver's size is an error (TooLarge).
+    """
     t = k + 1 if exact_at_k else k
-    vertices = touched(updates)
-    h = collected(k_certificate(updates, t, spec, vertices=vertices).select("u", "v"))
-    vs = [r.x for r in vertices.collect()] if vertices.count() <= LOCAL else []
-    value = 0 if len(vs) > 1 and not h else int(min(stoer_wagner([(u, v, 1) for u, v in h], vs)[0], 10**9))
-    if value >= t:
-        return k, True
-    return value, False
+    vertices = cut(touched(updates))
+    h = cut(k_certificate(updates, t, spec, vertices=vertices).select("u", "v"))
+    if not is_connected(h, vertices):
+        return 0, False
+    edges = collected(h)
+    value = min(stoer_wagner([(u, v, 1) for u, v in edges], sorted({x for e in edges for x in e}))[0], 10**9)
+    return (k, True) if value >= t else (int(value), False)
 
 
 def sampled_levels(updates: DataFrame, levels: int, seed: int) -> DataFrame:
@@ -100,23 +178,53 @@ def sampled_levels(updates: DataFrame, levels: int, seed: int) -> DataFrame:
     return updates.withColumn("depth", F.least(F.bit_count(h.bitwiseAND(-h) - 1), F.lit(levels - 1)).cast("int"))
 
 
-def approx_min_cut(updates: DataFrame, k: int, levels: int, seed: int = 5, search: str = "binary", spec: SketchSpec | None = None) -> tuple[float, list[int], int]:
-    """(value, side, j): the least level j whose certificate has a minimum cut below k; value 2**j times that cut.
+def cut_k(eps: float, vertices: int, scale: float = 1.0) -> int:
+    """k of the minimum cut's certificates: scale log2(V) / eps**2, 2 at least."""
+    return max(2, math.ceil(scale * math.log2(max(2, vertices)) / eps**2))
+
+
+def sparsifier_k(eps: float, vertices: int, scale: float = 1.0) -> int:
+    """k of the sparsifier's certificates: scale log2(V)**2 / eps**2, 2 at least."""
+    return max(2, math.ceil(scale * math.log2(max(2, vertices)) ** 2 / eps**2))
+
+
+def enough_levels(length: int) -> int:
+    """Sampled graphs for a stream of that length: the last one has about one edge."""
+    return math.ceil(math.log2(max(2, length))) + 1
+
 
-    j = 0 is exact. search "binary" needs the connectivity to fall with the level, which holds with high probability;
-    "linear" tries every level from 0.
+def _sampled_certificates(updates: DataFrame, k: int, levels: int, seed: int, spec: SketchSpec | None) -> tuple[list[list[tuple]], list[int]]:
+    """The certificates of all sampled graphs, and the vertices, on the driver: k (V - 1) edges each at most, LOCAL together."""
+    vertices = cut(touched(updates))
+    n = vertices.count()
+    if n > LOCAL:
+        raise TooLarge(f"{n} vertices; a solver holds {LOCAL}")
+    deep = sampled_levels(updates.select("u", "v"), levels, seed)
+    spec = spec or size_spec(n, max(2, updates.count()), sketches=k, seed=seed + 101)
+    out: list[list[tuple]] = [[] for _ in range(levels)]
+    for g, u, v in collected(certificates(deep, k, levels, spec, vertices=vertices).select("g", "u", "v")):
+        out[g].append((u, v))
+    return out, [r.x for r in vertices.collect()]
+
+
+def approx_min_cut(updates: DataFrame, k: int | None = None, levels: int | None = None, seed: int = 5, search: str = "binary", spec: SketchSpec | None = None, eps: float | None = None, scale: float = 1.0) -> tuple[float, list[int], int]:
+    """(value, side, j): the least level j whose certificate has a minimum cut below k; value 2**j times that cut, within 1 + eps of the minimum cut with high probability.
+
+    k comes from eps (cut_k()) if it is not given. levels: enough_levels() if not given; if no level has a cut below k,
+    that is an error (LevelsExhausted). j = 0 is exact. search "binary" needs the connectivity to fall with the level,
+    which holds with high probability; "linear" tries every level from 0.
     """
-    vertices = touched(updates)
-    vs = [r.x for r in vertices.collect()]
-    deep = cut(sampled_levels(updates.select("u", "v"), levels, seed))
+    if k is None:
+        if eps is None:
+            raise ValueError("give eps or k")
+        k = cut_k(eps, touched(updates).count(), scale)
+    levels = levels or enough_levels(updates.count())
+    graphs, vs = _sampled_certificates(updates, k, levels, seed, spec)
     memo: dict[int, tuple[float, list[int]]] = {}
 
     def cut_of(i: int) -> tuple[float, list[int]]:
         if i not in memo:
-            g = deep.filter(F.col("depth") >= i).drop("depth")
-            own = spec or size_spec(len(vs), max(2, deep.count()), sketches=k, seed=seed + 101 * i)
-            h = collected(k_certificate(g, k, own, vertices=vertices).select("u", "v"))
-            memo[i] = stoer_wagner([(u, v, 1) for u, v in h], vs)
+            memo[i] = stoer_wagner([(u, v, 1) for u, v in graphs[i]], vs)
         return memo[i]
 
     if search == "linear":
@@ -128,6 +236,8 @@ def approx_min_cut(updates: DataFrame, k: int, levels: int, seed: int = 5, searc
             lo, hi = (lo, mid) if cut_of(mid)[0] < k else (mid + 1, hi)
         j = lo
     value, side = cut_of(j)
+    if value >= k and len(vs) > 1:
+        raise LevelsExhausted(f"level {j}, the last of {levels}, has a cut of {value:g}, not below k = {k}")
     return 2.0**j * value, side, j
 
 
@@ -145,7 +255,7 @@ def cut_value(edges: DataFrame, side: DataFrame) -> DataFrame:
 def local_connectivity(graph: list[tuple[int, int, float]], pairs: DataFrame, cap: float) -> DataFrame:
     """(s, t, flow) for pairs (s, t): flows stop at cap, below which they are exact. The graph, bounded by LOCAL edges, goes to every task."""
     if len(graph) > LOCAL:
-        raise ValueError(f"more than {LOCAL} edges")
+        raise TooLarge(f"more than {LOCAL} edges")
     near = adjacency(graph)
 
     def run(frames):
@@ -155,33 +265,41 @@ def local_connectivity(graph: list[tuple[int, int, float]], pairs: DataFrame, ca
     return pairs.select("s", "t").mapInPandas(run, "s long, t long, flow double")
 
 
-def cut_sparsifier(updates: DataFrame, k: int, levels: int, seed: int = 5) -> DataFrame:
-    """(u, v, w, level): edge e has weight 2**j(e) if it is in the certificate of level j(e), the least level in which fewer than k paths join its ends."""
-    vertices = cut(touched(updates))
-    n = vertices.count()
-    deep = cut(sampled_levels(updates.select("u", "v"), levels, seed))
-    certificates, undecided, out = [], None, []
+def cut_sparsifier(updates: DataFrame, k: int | None = None, levels: int | None = None, seed: int = 5, eps: float | None = None, scale: float = 1.0) -> DataFrame:
+    """(u, v, w, level): edge e has weight 2**j(e) if it is in the certificate of level j(e), the least level in which fewer than k paths join its ends.
+
+    k comes from eps (sparsifier_k()) if it is not given. j(e) is searched in Spark, a task for a share of the edges;
+    flows stop at k. An edge that k paths join in every level is an error (LevelsExhausted). The certificates of all
+    levels together, LOCAL edges at most, go to every task.
+    """
     spark = updates.sparkSession
-    for i in range(levels):
-        g = deep.filter(F.col("depth") >= i).drop("depth")
-        if i and not g.limit(1).count():
-            break
-        h = k_certificate(g, k, size_spec(n, max(2, deep.count()), sketches=k, seed=seed + 101 * i), vertices=vertices).select("u", "v")
-        certificates.append(collected(h))
-        mine = {e for c in certificates for e in c} if undecided is None else undecided
-        mine |= set(certificates[-1])
-        done = {(u, v) for u, v, _ in out}
-        todo = sorted(mine - done)
-        if not todo:
-            continue
-        flows = local_connectivity([(u, v, 1.0) for u, v in certificates[-1]], spark.createDataFrame(todo, "s long, t long"), float(k))
-        low = {(s, t) for s, t, f in flows.collect() if f < k}
-        here = set(certificates[-1])
-        for e in sorted(low):
-            out.append((*e, 2.0**i if e in here else 0.0))
-        undecided = mine - low
-    kept = [(u, v, w, int(math.log2(w))) for u, v, w in out if w > 0]
-    return spark.createDataFrame(kept, "u long, v long, w double, level int")
+    if k is None:
+        if eps is None:
+            raise ValueError("give eps or k")
+        k = sparsifier_k(eps, touched(updates).count(), scale)
+    levels = levels or enough_levels(updates.count())
+    graphs, _ = _sampled_certificates(updates, k, levels, seed, None)
+    near = [adjacency([(u, v, 1.0) for u, v in g]) for g in graphs]
+    of = [set(g) for g in graphs]
+    schema = "u long, v long, w double, level int"
+    every = sorted(set().union(*of))
+    if not every:
+        return spark.createDataFrame([], schema)
+
+    def run(frames):
+        for f in frames:
+            out = []
+            for u, v in zip(f.u, f.v):
+                flow = lambda i: max_flow(near[i], u, v, float(k)) if u in near[i] and v in near[i] else 0.0  # noqa: E731, B023
+                j = next((i for i in range(levels) if flow(i) < k), None)
+                if j is None:
+                    raise LevelsExhausted(f"{k} paths join {u} and {v} in all {levels} levels")
+                if (u, v) in of[j]:
+                    out.append((u, v, 2.0**j, j))
+            yield pd.DataFrame(out, columns=["u", "v", "w", "level"]).astype({"u": "int64", "v": "int64", "w": "float64", "level": "int32"})
+
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    return cut(spark.createDataFrame(every, "u long, v long").repartition(tasks, "u", "v").mapInPandas(run, schema))
 
 
 def sampling_split(eps: float) -> float:
@@ -189,11 +307,16 @@ def sampling_split(eps: float) -> float:
     return math.sqrt(1 + eps) - 1
 
 
-def st_min_cuts(sparse: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(s, t, flow): minimum s-t cuts of a sparsifier (u, v, w)."""
+def cuts_on(sparse: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(s, t, flow): minimum s-t cuts of a weighted graph (u, v, w)."""
     return local_connectivity(collected(sparse.select("u", "v", "w")), pairs, float("inf"))
 
 
+def st_min_cuts(updates: DataFrame, pairs: DataFrame, eps: float, scale: float = 1.0, seed: int = 5, k: int | None = None) -> DataFrame:
+    """(s, t, flow): s-t minimum cuts within 1 + eps. The sparsifier is built from the stream at the split accuracy; flows on it are exact, so the second step's share is slack."""
+    return cuts_on(cut_sparsifier(updates, k, None, seed, sampling_split(eps), scale), pairs)
+
+
 def contraction_trials(edges: DataFrame, trials: int, seed: int = 3) -> DataFrame:
     """(trial, value): random contractions to two vertices, an upper bound on the minimum cut, for certificates beyond one solver.
 

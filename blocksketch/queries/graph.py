@@ -53,12 +53,22 @@ register("stream_violations", f"WITH s AS (SELECT event_id AS seq, user_id * 2 A
 register("encode_ids", "SELECT c_custkey * 3 + 1 AS id, c_custkey FROM customer")(lambda s, d: table(s, d, "customer").select(S.encode_id(F.col("c_custkey"), 1, 3).alias("id"), "c_custkey"))
 
 
-def hyper_w13(s, d, least=49):
-    li = table(s, d, "lineitem").filter(F.col("l_quantity") >= least).groupBy("l_orderkey").agg(F.collect_set("l_partkey").alias("m"))
+def hyper_w13(s, d):
+    """An order is the set of its parts."""
+    li = table(s, d, "lineitem").groupBy("l_orderkey").agg(F.collect_set("l_partkey").alias("m"))
     return HY.canonical_hyperedges(li, "m")
 
 
-HW13 = "SELECT list_sort(list(DISTINCT l_partkey)) AS members FROM lineitem WHERE l_quantity >= 49 GROUP BY l_orderkey HAVING count(DISTINCT l_partkey) > 1"
+def hyper_w13d(s, d):
+    """All orders are inserted; those of status F are deleted behind it."""
+    li = table(s, d, "lineitem").groupBy("l_orderkey").agg(F.collect_set("l_partkey").alias("m"))
+    gone = table(s, d, "orders").filter("o_orderstatus = 'F'").select(F.col("o_orderkey").alias("l_orderkey"))
+    both = li.select("m", F.lit(1).alias("delta")).unionByName(li.join(gone, "l_orderkey", "left_semi").select("m", F.lit(-1).alias("delta")))
+    return HY.canonical_hyperedges(both, "m")
+
+
+HW13 = "SELECT list_sort(list(DISTINCT l_partkey)) AS members FROM lineitem GROUP BY l_orderkey HAVING count(DISTINCT l_partkey) > 1"
+HW13D = "SELECT list_sort(list(DISTINCT l_partkey)) AS members FROM lineitem WHERE l_orderkey NOT IN (SELECT o_orderkey FROM orders WHERE o_orderstatus = 'F') GROUP BY l_orderkey HAVING count(DISTINCT l_partkey) > 1"
 register("hyperedges_w13", f"SELECT array_to_string(members, ',') AS members, count(*) AS n FROM ({HW13}) GROUP BY 1")(lambda s, d: hyper_w13(s, d).groupBy(F.array_join("members", ",").alias("members")).agg(F.count(F.lit(1)).alias("n")))
 
 # --- sketch ---
@@ -110,7 +120,7 @@ register("cell_space", f"SELECT count(*) AS cells, CAST(count(*) * 7 AS BIGINT)
 register("finalize_w4", sql_cells(WL.sql_edges("w4"), SPEC))(lambda s, d: cols(C.finalize(C.sketch_updates(ins(s, d, "w4"), SPEC), SPEC)))
 register("finalize_dense_w4", f"SELECT x, row, CAST({SPEC.levels} AS INTEGER) AS n_levels, bit_xor(xu) AS all_xu FROM ({sql_cells(WL.sql_edges('w4'), SPEC)}) GROUP BY x, row")(lambda s, d: C.finalize(C.sketch_updates(ins(s, d, "w4"), SPEC), SPEC, dense=True).select("x", "row", F.size("cells").alias("n_levels"), F.aggregate("cells", F.lit(0).cast("long"), lambda a, c: a.bitwiseXOR(c["xu"])).alias("all_xu")))
 register("hcells_sums_w13", f"SELECT x, CAST((sum(CASE WHEN x = members[1] THEN len(members) - 1 ELSE -1 END) % {H.P} + {H.P}) % {H.P} AS BIGINT) AS s0 FROM (SELECT unnest(members) AS x, members FROM ({HW13})) GROUP BY x HAVING s0 <> 0")(
-    lambda s, d: HY.sketch_hyper(hyper_w13(s, d), SketchSpec(rows=1, levels=16, seed=3), 4).groupBy("x").agg(F.pmod(F.sum("s0"), F.lit(H.P)).cast("long").alias("s0")).filter("s0 <> 0")
+    lambda s, d: HY.sketch_hyper(hyper_w13(s, d), SketchSpec(rows=1, levels=16, seed=3), HY.rank(hyper_w13(s, d))).groupBy("x").agg(F.pmod(F.sum("s0"), F.lit(H.P)).cast("long").alias("s0")).filter("s0 <> 0")
 )
 register("poly_hash_16", f"SELECT c_custkey, {H.sql_poly('c_custkey', [c[0] for c in H.coefficients(4, 16, 't')])} AS h FROM customer")(lambda s, d: table(s, d, "customer").select("c_custkey", H.poly_hash(F.col("c_custkey"), [c[0] for c in H.coefficients(4, 16, "t")]).alias("h")))
 register("empty_cut_w3", f"WITH t AS (SELECT label FROM ({WL.sql_components(WL.sql_edges('w3'))}) GROUP BY label) SELECT count(*) AS closed FROM t")(lambda s, d: _closed_w3(s, d))
@@ -206,6 +216,8 @@ register("bip_components_w9", WL.sql_components(COVER9, "SELECT bipartite, count
 STAR = f"SELECT members[1] AS u, unnest(members[2:]) AS v FROM ({HW13})"
 register("hcc_w13", WL.sql_components(STAR))(lambda s, d: HY.hyper_components(hyper_w13(s, d))[0])
 register("hcc_distributed_w13", WL.sql_components(STAR))(lambda s, d: HY.hyper_components(hyper_w13(s, d), extraction="distributed")[0])
+TOUCHED13 = f"SELECT DISTINCT unnest(members) AS x FROM ({HW13})"
+register("hcc_deletions_w13", WL.sql_components(f"SELECT members[1] AS u, unnest(members[2:]) AS v FROM ({HW13D})", f"SELECT t.x, coalesce(label, t.x) AS label FROM ({TOUCHED13}) t LEFT JOIN cc ON cc.x = t.x"))(lambda s, d: HY.hyper_components(hyper_w13d(s, d))[0])
 register("hyperforest_check_w13", WL.sql_components(STAR, "SELECT count(DISTINCT label) AS components, true AS spans FROM cc"))(lambda s, d: _hyperforest(s, d))
 
 
@@ -255,13 +267,13 @@ def _disjoint(s, d):
 register("kcert_sizes_w12", WL.sql_components(WL.sql_edges("w12"), "SELECT CAST(f AS INTEGER) AS forest, (SELECT count(*) - count(DISTINCT label) FROM cc) AS edges FROM range(3) t(f)"))(lambda s, d: K.k_certificate(ins(s, d, "w12"), 3).groupBy("forest").agg(F.count(F.lit(1)).alias("edges")))
 
 
-@register("kcert_schedules_equal", "SELECT 'lazy' AS schedule, 0 AS differ UNION ALL SELECT 'naive', 0")
+@register("kcert_schedules_equal", "SELECT 'lazy' AS schedule, 0 AS differ UNION ALL SELECT 'naive', 0 UNION ALL SELECT 'super', 0")
 def _schedules(s, d):
     u = S.inserts(cut(WL.edges(s, d, "w12")))
     block = cut(K.k_certificate(u, 3, schedule="block"))
     out = None
-    for name in ("lazy", "naive"):
-        other = cut(K.k_certificate(u, 3, schedule=name))
+    for name in ("lazy", "naive", "super"):
+        other = cut(K.k_certificate(u, 3, schedule=name, width=2))
         diff = block.exceptAll(other).unionByName(other.exceptAll(block)).agg(F.lit(name).alias("schedule"), F.count(F.lit(1)).cast("int").alias("differ"))
         out = diff if out is None else out.unionByName(diff)
     return out
@@ -289,33 +301,33 @@ def _lambda(s, d, w, k):
 
 register("lambda_at_least_k_w12", f"SELECT CAST(2 AS BIGINT) AS k, value > 2 AS above FROM ({sql_min_cut(WL.sql_edges('w12'))})")(lambda s, d: _row(s, "k long, above boolean", *K.edge_connectivity_upto(S.inserts(cut(WL.edges(s, d, "w12"))), 2)))
 register("lambda_disconnected_w4r", "SELECT CAST(0 AS BIGINT) AS lambda")(lambda s, d: _row(s, "lambda long", _lambda(s, d, "w4r", 1)))
-register("mincut_w12b", f"SELECT CAST(value AS DOUBLE) AS value FROM ({sql_min_cut(WL.sql_edges('w12b'))})")(lambda s, d: _row(s, "value double", K.approx_min_cut(S.inserts(cut(WL.edges(s, d, "w12b"))), 7, 4)[0]))
+register("mincut_w12b", f"SELECT CAST(value AS DOUBLE) AS value FROM ({sql_min_cut(WL.sql_edges('w12b'))})")(lambda s, d: _row(s, "value double", K.approx_min_cut(S.inserts(cut(WL.edges(s, d, "w12b"))), 10)[0]))
 
 
 @register("mincut_search_modes", "SELECT true AS same_level, true AS same_value")
 def _modes(s, d):
     u = S.inserts(cut(WL.edges(s, d, "w12b")))
-    a, b = (K.approx_min_cut(u, 3, 4, search=m) for m in ("linear", "binary"))
+    a, b = (K.approx_min_cut(u, 3, search=m) for m in ("linear", "binary"))
     return _row(s, "same_level boolean, same_value boolean", a[2] == b[2], a[0] == b[0])
 
 
 PARTIES = f"SELECT u, v, w FROM ({WL.sql_edges('w12b')}) WHERE (u % 5 = 0) <> (v % 5 = 0)"
 register("cut_edges_w12b", PARTIES)(lambda s, d: K.cut_edges(WL.edges(s, d, "w12b"), table(s, d, "nation").filter("n_regionkey = 0").select(F.col("n_nationkey").cast("long").alias("x"))))
 register("cut_value_w12b", f"SELECT sum(w) AS value FROM ({PARTIES})")(lambda s, d: K.cut_value(WL.edges(s, d, "w12b"), table(s, d, "nation").filter("n_regionkey = 0").select(F.col("n_nationkey").cast("long").alias("x"))))
-register("cut_value_degree_cuts", f"SELECT x, sum(w) AS value FROM (SELECT u AS x, w FROM ({WL.sql_edges('w12')}) UNION ALL SELECT v, w FROM ({WL.sql_edges('w12')})) GROUP BY x")(lambda s, d: WL.edges(s, d, "w12").select(F.explode(F.array("u", "v")).alias("x"), "w").groupBy("x").agg(F.sum("w").alias("value")))
+register("cut_value_degree_cuts", f"SELECT x, sum(w) AS value FROM (SELECT u AS x, w FROM ({WL.sql_edges('w12')}) UNION ALL SELECT v, w FROM ({WL.sql_edges('w12')})) GROUP BY x")(lambda s, d: _degree_cuts(cut(WL.edges(s, d, "w12"))))
 
 
-# --- sparsifier ---
-register("sparsifier_identity_w12b", f"SELECT u, v, 1.0::DOUBLE AS w FROM ({WL.sql_edges('w12b')})")(lambda s, d: K.cut_sparsifier(S.inserts(cut(WL.edges(s, d, "w12b"))), 10, 1).select("u", "v", "w"))
+def _degree_cuts(e):
+    """Each vertex alone on a side: one cut_value() for each vertex."""
+    out = None
+    for x in [r.x for r in e.select(F.explode(F.array("u", "v")).alias("x")).distinct().orderBy("x").limit(100).collect()]:  # nations of two regions
+        one = K.cut_value(e, e.sparkSession.range(x, x + 1).withColumnRenamed("id", "x")).select(F.lit(x).cast("long").alias("x"), "value")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
-@register("sparsifier_error_w12")
-def _error(s, d):
-    """Every degree cut of the sparsifier against the graph's: a bound row for each vertex."""
-    e = cut(WL.edges(s, d, "w12"))
-    sp = K.cut_sparsifier(S.inserts(e), 4, 3)
-    deg = lambda x, n: x.select(F.explode(F.array("u", "v")).alias("x"), "w").groupBy("x").agg(F.sum("w").alias(n))
-    return deg(e, "exact").join(deg(sp, "estimate"), "x", "left").select("x", "exact", F.coalesce("estimate", F.lit(0.0)).alias("estimate"), F.round(F.abs(F.coalesce("estimate", F.lit(0.0)) / F.col("exact") - 1), 6).alias("error"))
+# --- sparsifier ---
+register("sparsifier_identity_w12b", f"SELECT u, v, 1.0::DOUBLE AS w FROM ({WL.sql_edges('w12b')})")(lambda s, d: K.cut_sparsifier(S.inserts(cut(WL.edges(s, d, "w12b"))), 10).select("u", "v", "w"))
 
 
 def sql_st_cuts(e: str) -> str:
@@ -323,31 +335,118 @@ def sql_st_cuts(e: str) -> str:
     return f"WITH e AS ({e}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v), c AS (SELECT m, CAST(sum(CASE WHEN ((m >> a) & 1) <> ((m >> b) & 1) THEN 1 ELSE 0 END) AS DOUBLE) AS c FROM range(1, 1023) t(m), x GROUP BY m) SELECT p.x AS s, q.x AS t, min(c) AS flow FROM vs p JOIN vs q ON p.x < q.x, c WHERE ((m >> CAST(p.i AS BIGINT)) & 1) <> ((m >> CAST(q.i AS BIGINT)) & 1) GROUP BY 1, 2"
 
 
+def _pairs(e):
+    v = e.select(F.explode(F.array("u", "v")).alias("x")).distinct()
+    return v.select(F.col("x").alias("s")).join(v.select(F.col("x").alias("t")), F.col("s") < F.col("t"))
+
+
 def _st(s, d, w):
+    """k beyond every connectivity: the sparsifier is the graph, and the cuts are exact."""
     e = cut(WL.edges(s, d, w))
-    v = e.select(F.explode(F.array("u", "v")).alias("x")).distinct()
-    pairs = v.select(F.col("x").alias("s")).join(v.select(F.col("x").alias("t")), F.col("s") < F.col("t"))
-    return K.st_min_cuts(e, pairs)
+    return K.st_min_cuts(S.inserts(e), _pairs(e), 0.5, k=12)
+
+
+def sql_all_cuts(e: str) -> str:
+    """(m, c): the edges across every cut m of a graph of at most twelve vertices, numbered by vertex."""
+    return f"WITH e AS ({e}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v) SELECT m, CAST(count(*) FILTER (((m >> CAST(a AS BIGINT)) & 1) <> ((m >> CAST(b AS BIGINT)) & 1)) AS BIGINT) AS c FROM range(1, (SELECT 1 << CAST(count(*) - 1 AS INTEGER) FROM vs)) t(m), x GROUP BY m"
 
 
-register("st_cuts_w12b", sql_st_cuts(WL.sql_edges("w12b")))(lambda s, d: _st(s, d, "w12b"))
-register("st_cuts_w12", sql_st_cuts(WL.sql_edges("w12")))(lambda s, d: _st(s, d, "w12"))
+def all_cuts(e, weighted, name):
+    """(m, name): the weight that a graph has across every cut of the vertices of e, at most twelve of them."""
+    at = {r.x: i for i, r in enumerate(e.select(F.explode(F.array("u", "v")).alias("x")).distinct().orderBy("x").limit(13).collect())}
+    if len(at) > 12:
+        raise ValueError("more than twelve vertices")
+    place = F.create_map(*[F.lit(z) for k, i in at.items() for z in (k, i)])
+    bit = lambda c: F.call_function("shiftright", F.col("m"), place[F.col(c)]).bitwiseAND(F.lit(1))
+    cuts = weighted.sparkSession.range(1, 2 ** (len(at) - 1)).withColumnRenamed("id", "m")
+    across = weighted.select("u", "v", "w").crossJoin(cuts).filter(bit("u") != bit("v")).groupBy("m").agg(F.sum("w").alias(name))
+    return cuts.join(across, "m", "left").select("m", F.coalesce(name, F.lit(0.0)).alias(name))
+
+
+@register("kcert_all_cuts_w12", f"SELECT m, least(c, 3) AS capped FROM ({sql_all_cuts(WL.sql_edges('w12'))})")
+def _cert_cuts(s, d):
+    """The certificate's defining property: across every cut, its size up to k is the graph's."""
+    e = cut(WL.edges(s, d, "w12"))
+    h = cut(K.k_certificate(S.inserts(e), 3).withColumn("w", F.lit(1.0)))
+    return all_cuts(e, h, "c").select("m", F.least("c", F.lit(3.0)).cast("long").alias("capped"))
+
+
+@register("mincut_eps_w12n", f"SELECT min(n) AS degree_cut, true AS within, true AS sampled FROM (SELECT x, count(*) AS n FROM (SELECT u AS x FROM ({WL.sql_edges('w12n')}) UNION ALL SELECT v FROM ({WL.sql_edges('w12n')})) GROUP BY x)")
+def _mincut_eps(s, d):
+    """All nations trade with all others, so that the least degree is the minimum cut; eps asks for fewer forests than that, and the answer comes from a sampled level."""
+    e = cut(WL.edges(s, d, "w12n"))
+    value, _, j = K.approx_min_cut(S.inserts(e), eps=0.5)
+    exact = e.select(F.explode(F.array("u", "v")).alias("x")).groupBy("x").count().agg(F.min("count")).first()[0]
+    return _row(s, "degree_cut long, within boolean, sampled boolean", exact, abs(value - exact) <= 0.5 * exact, j > 0)
+
+
+@register("sparsifier_all_cuts_w12", f"SELECT m, c, true AS within FROM ({sql_all_cuts(WL.sql_edges('w12'))})")
+def _sparsifier_cuts(s, d):
+    """Every cut of the sparsifier within 1 + eps of the graph's. The scale is the least that eps = 0.9 allows here; at sf0.01 the graph is complete, j > 0 and weights are above 1."""
+    e = cut(WL.edges(s, d, "w12"))
+    sp = K.cut_sparsifier(S.inserts(e), eps=0.9, scale=0.5)
+    j = all_cuts(e, e.withColumn("w", F.lit(1.0)), "c").join(all_cuts(e, sp, "sparse"), "m")
+    return j.select("m", F.col("c").cast("long").alias("c"), ((F.col("sparse") * (1 - 0.9) <= F.col("c")) & (F.col("c") <= F.col("sparse") * (1 + 0.9))).alias("within"))
+
+
+@register("sparsifier_size_w12n", f"SELECT count(*) AS edges, true AS sparser, true AS weighted, true AS degrees_within FROM ({WL.sql_edges('w12n')})")
+def _sparsifier_size(s, d):
+    """A sparsifier that is sparser than its graph: its number of edges, weights and degree cuts."""
+    e = cut(WL.edges(s, d, "w12n"))
+    sp = K.cut_sparsifier(S.inserts(e), eps=0.9, scale=0.5)
+    deg = lambda x, n: x.select(F.explode(F.array("u", "v")).alias("x"), "w").groupBy("x").agg(F.sum("w").alias(n))
+    two = deg(e.withColumn("w", F.lit(1.0)), "c").join(deg(sp, "sparse"), "x", "left")
+    n = e.count()
+    good = two.agg(F.min(((1 - 0.9) * F.coalesce("sparse", F.lit(0.0)) <= F.col("c")) & (F.col("c") <= 1.9 * F.coalesce("sparse", F.lit(0.0))))).first()[0]
+    return _row(s, "edges long, sparser boolean, weighted boolean, degrees_within boolean", n, sp.count() < n, sp.agg(F.max("w")).first()[0] > 1, good)
+
+
+@register("st_cuts_eps_w12n", f"SELECT s.x AS s, t.x AS t, true AS within FROM (SELECT u AS x FROM ({WL.sql_edges('w12n')}) UNION SELECT v FROM ({WL.sql_edges('w12n')})) s, (SELECT u AS x FROM ({WL.sql_edges('w12n')}) UNION SELECT v FROM ({WL.sql_edges('w12n')})) t WHERE s.x < t.x")
+def _st_eps(s, d):
+    """s-t cuts on the sparsifier against those of the graph itself."""
+    e = cut(WL.edges(s, d, "w12n"))
+    got = K.st_min_cuts(S.inserts(e), _pairs(e), 1.5, scale=0.3)
+    exact = K.cuts_on(e.withColumn("w", F.lit(1.0)), _pairs(e)).withColumnRenamed("flow", "exact")
+    return got.join(exact, ["s", "t"]).select("s", "t", F.col("flow").between(F.col("exact") / 2.5, F.col("exact") * 2.5).alias("within"))
+
+
+@register("success_rate_w4r", "SELECT CAST(6 AS BIGINT) AS seeds, true AS all_right, true AS rows_show_an_edge")
+def _success(s, d):
+    """Over seeds: whether components come out right, and the share of single rows that show an edge, which theory puts above a half."""
+    u = S.inserts(cut(WL.edges(s, d, "w4r")))
+    want, right, shown = cut(external.components(u)), 0, []
+    for seed in range(6):
+        got = CC.connected_components(u, seed=seed + 40)
+        right += not got.exceptAll(want).limit(1).count() and not want.exceptAll(got).limit(1).count()
+        spec = SketchSpec(rows=4, levels=16, seed=seed + 40)
+        cells = C.sketch_updates(u, spec).withColumn("label", F.col("x"))
+        some = C.recover(cells, spec, "label").count() / max(1, cells.select("label", "row").distinct().count())
+        shown.append(some)
+    return _row(s, "seeds long, all_right boolean, rows_show_an_edge boolean", 6, right == 6, min(shown) > 0.5)
 
 
 # --- densest ---
 DENSE12 = f"""WITH e AS ({WL.sql_edges('w12b')}), vs AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i FROM (SELECT u AS x FROM e UNION SELECT v FROM e)), x AS (SELECT a.i AS a, b.i AS b FROM e JOIN vs a ON a.x = u JOIN vs b ON b.x = v)
 SELECT round(max(c / bit_count(m)), 6) AS density FROM (SELECT m, sum(CASE WHEN ((m >> a) & 1) = 1 AND ((m >> b) & 1) = 1 THEN 1.0 ELSE 0.0 END) AS c FROM range(1, 1024) t(m), x GROUP BY m)"""
 register("densest_w12b", DENSE12)(lambda s, d: _row(s, "density double", round(D.densest_subgraph(ins(s, d, "w12b"), 0.5)["density"], 6)))
-register("densest_bound_w8")(lambda s, d: _dense8(s, d, "single"))
-register("densest_parallel_baseline")(lambda s, d: _dense8(s, d, "parallel"))
-register("densest_batch_peel_w8")(lambda s, d: _dense8(s, d, "single", "batch"))
-
-
-def _dense8(s, d, parts, peeling="sequential"):
-    u = S.inserts(cut(WL.edges(s, d, "w8")))
-    x = D.densest_subgraph(u, 0.5, partitions=parts, peeling=peeling)
-    whole = x["edges"] / max(1, u.select(F.explode(F.array("u", "v"))).distinct().count())
-    return _row(s, "estimate double, whole_graph double, p double, sample long, holds boolean", round(x["density"], 6), round(whole, 6), round(x["p"], 6), x["sample"], x["density"] * 2 * 1.5 >= whole)
+DENSE_OK = "SELECT 'sampled' AS regime, true AS within, CAST(0 AS BIGINT) AS strays, CAST(0 AS BIGINT) AS twice, CAST(0 AS BIGINT) AS wrong_buckets"
+register("densest_bound_w8", DENSE_OK)(lambda s, d: _dense(s, d, S.inserts(cut(WL.edges(s, d, "w8"))), 0.8))
+register("densest_parallel_baseline", DENSE_OK)(lambda s, d: _dense(s, d, S.inserts(cut(WL.edges(s, d, "w8"))), 0.8, "parallel"))
+register("densest_batch_peel_w8", DENSE_OK)(lambda s, d: _dense(s, d, S.inserts(cut(WL.edges(s, d, "w8"))), 0.8, "single", "batch"))
+register("densest_deletions_w7", DENSE_OK)(lambda s, d: _dense(s, d, cut(WL.stream_w7(s, d)), 0.8))
+register("densest_deletions_w14", DENSE_OK)(lambda s, d: _dense(s, d, cut(WL.stream_w14(s, d)), 0.95))
+
+
+def _dense(s, d, u, eps, parts="single", peeling="sequential"):
+    """The draw is of the graph, without replacement, and of the drawn number in each bucket; the density is within 1 + eps of what peeling finds in the whole graph (and so within 2 (1 + eps) of the densest)."""
+    x = D.densest_subgraph(u, eps, partitions=parts, peeling=peeling)
+    e = S.edges_at(u).select("u", "v")
+    whole = solvers.peel(sorted(K.collected(e)))[0]
+    strays = x["drawn"].join(e, ["u", "v"], "left_anti").count()
+    twice = x["drawn"].groupBy("bucket", "u", "v").count().filter("count > 1").count()
+    got = x["drawn"].groupBy("bucket").agg(F.count(F.lit(1)).alias("got"))
+    wrong = x["numbers"].join(got, "bucket", "full").filter("coalesce(got, 0) <> coalesce(x, 0)").count()
+    return _row(s, "regime string, within boolean, strays long, twice long, wrong_buckets long", x["regime"], whole / (1 + eps) <= x["density"] <= whole * (1 + eps), strays, twice, wrong)
 
 
 B8 = f"SELECT CAST({H.sql_poly(f'((u % {H.P}) * {H.coefficients(9, 16, 'bucket')[0][0]}) % {H.P} + ((v % {H.P}) * {H.coefficients(9, 16, 'bucket')[0][1]}) % {H.P}', [x[2] for x in H.coefficients(9, 16, 'bucket')])} % 600 AS INTEGER) AS bucket FROM ({WL.sql_edges('w8')})"

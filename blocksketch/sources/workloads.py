@@ -25,6 +25,7 @@ SQL_PAIRS = {
     "w12": "SELECT c_nationkey AS a, s_nationkey AS b, 1.0 AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation x ON x.n_nationkey = c_nationkey JOIN nation y ON y.n_nationkey = s_nationkey WHERE x.n_regionkey IN (0, 1) AND y.n_regionkey IN (0, 1) AND l_quantity >= 48",
     "w16": "SELECT conv_id * 2 AS a, (conv_id * 1000 + turn) * 2 + 1 AS b, 1.0 AS w FROM conversations",
 }
+SQL_PAIRS["w12n"] = "SELECT c_nationkey AS a, s_nationkey AS b, 1.0 AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"
 SQL_PAIRS["w12b"] = SQL_PAIRS["w12"].replace("l_quantity >= 48", "l_quantity = 50 AND l_returnflag = 'R'")
 
 
@@ -66,11 +67,11 @@ def pairs(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if name == "w11":
         host = F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)
         return t("pages").select((F.col("page_id") * 2).alias("a"), (text_id(host) * 2 + 1).alias("b"), F.lit(1.0).alias("w"))
-    if name in ("w12", "w12b"):
-        near = t("nation").filter(F.col("n_regionkey").isin(0, 1)).select("n_nationkey")
+    if name in ("w12", "w12b", "w12n"):
+        near = t("nation").filter(F.lit(True) if name == "w12n" else F.col("n_regionkey").isin(0, 1)).select("n_nationkey")
         c = t("customer").join(near, F.col("c_nationkey") == F.col("n_nationkey")).select("c_custkey", F.col("c_nationkey").cast("long").alias("a"))
         s = t("supplier").join(near, F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", F.col("s_nationkey").cast("long").alias("b"))
-        lines = li().filter("l_quantity >= 48" if name == "w12" else "l_quantity = 50 and l_returnflag = 'R'").select("l_orderkey", "l_suppkey")
+        lines = li().filter({"w12": "l_quantity >= 48", "w12b": "l_quantity = 50 and l_returnflag = 'R'", "w12n": "true"}[name]).select("l_orderkey", "l_suppkey")
         o = t("orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("c_custkey"))
         return lines.join(o, "l_orderkey").join(c, "c_custkey").join(s, F.col("l_suppkey") == F.col("s_suppkey")).select("a", "b", F.lit(1.0).alias("w"))
     if name == "w16":

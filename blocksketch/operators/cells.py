@@ -63,7 +63,7 @@ def hubs_of(records: DataFrame, tasks: int) -> tuple[DataFrame, int] | None:
         return None
     degrees = cut(records.filter(F.col("vg").isin(heavy)).groupBy("x").agg(F.count(F.lit(1)).alias("deg")).filter(F.col("deg") > share / 4))
     top = degrees.agg(F.max("deg")).first()[0]
-    return (degrees.select("x"), min(4 * tasks, math.ceil(4 * top / share))) if top else None
+    return (degrees.select("x"), min(16 * tasks, math.ceil(16 * top / share))) if top else None
 
 
 HUB_RECORDS = 10_000  # a task's fair share from which hubs are worth a pass; fewer records are no burden to one task

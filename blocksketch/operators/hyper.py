@@ -97,14 +97,15 @@ def recover_hyper(cells: DataFrame, spec: SketchSpec, r: int, *keys: str) -> Dat
     """(keys, members): a crossing hyperedge for each vertex set that shows one; null where no row does."""
     names = ["s0", "chk", *[f"c{i}" for i in range(2 * r)]]
     over = f"over (partition by {', '.join(keys)}, row order by lvl desc rows between unbounded preceding and current row)"
-    s = cells.selectExpr(*keys, "row", "lvl", *[f"pmod(sum({c}) {over}, {P}L) as {c}" for c in names]).filter("s0 <> 0")
-    s = s.withColumn("inv", _inverse(F.col("s0"))).withColumn("d", F.expr(f"array({', '.join(f'pmod(c{i} * inv, {P}L)' for i in range(2 * r))})"))
+    s = cells.selectExpr(*keys, "row", "lvl", *[f"pmod(sum({c}) {over}, {P}L) as {c}" for c in names])
+    # a projection for each step, and no filter on what they make: a filter would be pushed below with all of it written out again and again
+    s = s.withColumn("inv", F.when(F.col("s0") != 0, _inverse(F.col("s0"))))
+    s = s.selectExpr(*keys, "row", "lvl", "chk", "inv", f"array({', '.join(f'pmod(c{i} * inv, {P}L)' for i in range(2 * r))}) as d")
     s = s.withColumn("fp", fingerprint(spec, F.col("d")))
-    good = (_mod(F.col("chk") * F.col("inv")) == F.col("fp")) & F.forall("d", lambda x: x < LIMB) & (level(hyper_hash(spec, F.lit(0), F.col("row"), F.col("fp")), spec.levels) >= F.col("lvl"))
-    members = F.filter(F.transform(F.sequence(F.lit(0), F.lit(r - 1)), lambda i: F.get("d", i * 2) + F.get("d", i * 2 + 1) * LIMB), lambda m: m > 0)
-    ok = s.filter(good).select(*keys, "row", F.transform(members, lambda m: m - 1).alias("members")).filter(F.size("members") > 1)
-    some = ok.groupBy(*keys).agg(F.min_by("members", "row").alias("members"))
-    return cells.select(*keys).distinct().join(some, list(keys), "left")  # a row for each open vertex set
+    s = s.withColumn("own", level(hyper_hash(spec, F.lit(0), F.col("row"), F.col("fp")), spec.levels))
+    members = f"transform(filter(transform(sequence(0, {r - 1}), i -> d[i * 2] + d[i * 2 + 1] * {LIMB}L), m -> m > 0), m -> m - 1)"
+    s = s.selectExpr(*keys, "row", f"inv is not null and pmod(chk * inv, {P}L) = fp and own >= lvl and forall(d, x -> x < {LIMB}L) as good", f"{members} as members")
+    return s.groupBy(*keys).agg(F.expr("min(if(good and size(members) > 1, struct(row, members), null)).members as members"))
 
 
 def rank(hyper: DataFrame) -> int:

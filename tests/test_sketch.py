@@ -142,6 +142,134 @@ def test_hyperedges_beyond_r_are_refused_and_both_extractions_agree(spark):
         assert {tuple(c.members) for c in chosen.collect()} <= {tuple(m) for m in sets}
 
 
+def weighted(spark, edges):
+    return spark.createDataFrame([(0, u, v, 1, float(w)) for u, v, w in edges], "seq long, u long, v long, delta int, w double")
+
+
+def test_weights_beyond_top_and_no_integers_are_refused(spark):
+    two = weighted(spark, [(0, 1, 100), (1, 2, 4)])
+    assert 104 <= FM.mst_weight(two, 0.5).first()[0] <= 156
+    for bad, top in ((two, 50), (weighted(spark, [(0, 1, 0)]), 50), (weighted(spark, [(0, 1, 2.5)]), 50)):
+        with pytest.raises(ValueError, match="integers from 1"):
+            FM.mst_weight(bad, 0.5, top)
+
+
+def test_nested_thresholds_local_and_distributed(spark, monkeypatch):
+    e = [(u, v, (u * 7 + v * 3) % 9 + 1) for u, v in graph(14, 30, 11)]
+    want = []
+    for t in FM.weight_levels(0.5, 9):
+        up = {x: x for u, v, _ in e for x in (u, v)}
+        for u, v, w in e:
+            if w <= t + 1e-9 and up[u] != up[v]:
+                a, b = up[u], up[v]
+                up = {x: b if y == a else y for x, y in up.items()}
+        want.append(len(set(up.values())))
+    got = lambda: [r.n_components for r in FM.threshold_components(weighted(spark, e), 0.5).orderBy("i").collect()]
+    assert got() == want
+    monkeypatch.setattr(FM, "LOCAL", 1)
+    assert got() == want
+
+
+def test_connectivity_beyond_one_solver(spark, monkeypatch):
+    monkeypatch.setattr(K, "LOCAL", 1)
+    e = graph(6, 12, 3)
+    assert K.edge_connectivity_upto(updates(spark, e + e, [1] * 12 + [-1] * 12), 1) == (0, False)
+    with pytest.raises(K.TooLarge):
+        K.edge_connectivity_upto(updates(spark, e), 1)
+    with pytest.raises(K.TooLarge):
+        K.approx_min_cut(updates(spark, e), 2)
+
+
+def test_levels_that_do_not_reach_below_k_are_an_error(spark):
+    nine = list(itertools.combinations(range(9), 2))
+    with pytest.raises(K.LevelsExhausted):
+        K.approx_min_cut(updates(spark, nine), 2, 1)
+    value, side, j = K.approx_min_cut(updates(spark, nine), 9)
+    assert (value, j) == (8.0, 0) and len(side) in (1, 8)
+
+
+def test_rounds_read_their_rows_only(spark):
+    e = graph(30, 120, 12)
+    spec = SketchSpec(rows=20, levels=12, seed=8)
+    stored = C.Stored(C.sketch_updates(updates(spark, e), spec))
+    plan = stored.rows(0, 4, 6)._jdf.queryExecution().executedPlan().toString()
+    assert "row#" in plan.split("PartitionFilters")[1][:300]
+    files = {r[0] for r in stored.rows(0, 4, 6).select(F.input_file_name()).collect()}
+    assert files and all("row=4" in f or "row=5" in f for f in files)
+    buffers = C.Buffers(updates(spark, e), spec)
+    keys = ("sk", "vg", "x", "row", "lvl")
+    assert rows(C.fold(buffers.rows(0, 4, 6), *keys)) == rows(stored.rows(0, 4, 6))
+    for store in ("buffers", "cells"):
+        labels = CC.extract(updates(spark, e), spec, store=store)[0]
+        assert {r.label for r in labels.collect()} == {min(x for p in e for x in p)}
+
+
+def test_a_star_is_dealt_evenly(spark):
+    leaves, n = 100_000, 4
+    star = spark.range(1, leaves + 1).selectExpr("0L as u", "id as v")
+    sparse = spark.range(1, 20_001).selectExpr("id * 7 + 200000 as u", "id * 7 + 200001 as v")
+    u = star.union(sparse)
+    spec = SketchSpec(rows=1, levels=20, seed=4)
+    sizes = lambda d: sorted(r.n for r in d.select(F.spark_partition_id().alias("p")).groupBy("p").agg(F.count(F.lit(1)).alias("n")).collect())
+    even, plain = sizes(C.deal(u, spec)), sizes(C.deal(u, spec, hubs=None))
+    assert sum(even) == sum(plain) == 2 * (leaves + 20_000) and len(even) == n
+    assert even[-1] < 3 * even[len(even) // 2] and even[-1] < 0.7 * plain[-1]
+    total = lambda c: c.agg(F.count(F.lit(1)), F.sum(F.xxhash64("x", "row", "lvl", "xu", "xv", "chk").cast("decimal(38,0)"))).first()
+    assert total(C.sketch_updates(u, spec)) == total(C.sketch_updates(u, spec, hubs=None))
+
+
+@pytest.mark.parametrize("k, width", [(7, 2), (10, 3), (16, 4), (5, 9)])
+@pytest.mark.parametrize("schedule", ["naive", "lazy", "block", "super"])
+def test_every_schedule_deletes_all_former_forests_once(schedule, k, width):
+    gone = {i: [] for i in range(k)}
+    for i, steps in enumerate(K.deletions(k, schedule, width)):
+        for which, sketches in steps:
+            assert max(which) < i
+            for j in sketches:
+                gone[j] += which
+        assert sorted(gone[i]) == list(range(i))
+
+
+def test_schedule_falls_back():
+    assert K.chosen_schedule(10, 1000) == "lazy"
+    assert K.chosen_schedule(200, 1000) == "super"
+    assert K.chosen_schedule(200, 1000, memory_words=1000) == "naive"
+
+
+def test_sparsifier_is_sparse_and_whole_beyond_all_connectivity(spark):
+    e = list(itertools.combinations(range(12), 2))
+    sp = {(r.u, r.v): r.w for r in K.cut_sparsifier(updates(spark, e), 5).collect()}
+    assert len(sp) < len(e) and max(sp.values()) > 1 and set(sp) <= set(e)
+    assert {(r.u, r.v): r.w for r in K.cut_sparsifier(updates(spark, e), 12).collect()} == {p: 1.0 for p in e}
+
+
+def test_bucket_draws_are_edges_without_replacement(spark):
+    from blocksketch.plans import densest as D
+
+    e = graph(24, 200, 13)
+    gone = e[:60]
+    u = updates(spark, e + gone, [1] * len(e) + [-1] * len(gone))
+    for parts in ("single", "parallel"):
+        x = D.densest_subgraph(u, 0.9, partitions=parts)
+        drawn = [tuple(r) for r in x["drawn"].collect()]
+        assert len(set(drawn)) == len(drawn) and {(a, b) for _, a, b in drawn} <= set(e[60:])
+        asked = {r.bucket: r.x for r in x["numbers"].collect() if r.x}
+        assert {b: sum(d[0] == b for d in drawn) for b in asked} == asked
+    with pytest.raises(Exception, match="sketches"):
+        D.bucket_sketches(spark.createDataFrame([(0, 1, 2)], "bucket long, u long, v long"), spark.createDataFrame([(0, 9, 9)], "bucket long, n long, x long"), SketchSpec(sketches=4)).collect()
+    dense = list(itertools.combinations(range(8), 2)) + [(i, i + 1) for i in range(8, 30)]
+    density, vertices = D.peeled(spark.createDataFrame(dense, "u long, v long"), local=10)
+    assert density == 3.5 and vertices == list(range(8))
+
+
+def test_hyperedge_deletions(spark):
+    sets = [([1, 2, 3], 1), ([3, 4], 1), ([5, 6], 1), ([3, 4], 1), ([5, 6], -1), ([3, 4], -1), ([7, 8, 9, 1], 1), ([7, 8, 9, 1], -1)]
+    h = HY.canonical_hyperedges(spark.createDataFrame(sets, "m array<long>, delta int"), "m")
+    for how in ("local", "distributed"):
+        labels = {r.x: r.label for r in HY.hyper_components(h, extraction=how)[0].collect()}
+        assert labels == {1: 1, 2: 1, 3: 1, 4: 1, 5: 5, 6: 6, 7: 7, 8: 8, 9: 9}
+
+
 def test_contraction_beyond_the_limit(spark, monkeypatch):
     from blocksketch.plans import kconn
 

@@ -1,4 +1,4 @@
-"""Block-I/O and space formulas, as columns over parameter grids, and the same as SQL."""
+"""Block-I/O and space formulas, as columns over parameter grids. The SQL that they are held against is written apart, in queries/cost_sql.py."""
 
 from __future__ import annotations
 
@@ -12,44 +12,20 @@ GRID = [("small", 2.0**20, 2.0**26, 2.0**27, 2.0**16, 2.0**10, 8.0, 3.0, 0.5), (
 NAMES = ("V", "E", "N", "M", "B", "k", "r", "eps")
 
 
-class Sql:
-    """SQL text with the operators of a column, so that one formula serves both engines."""
+def log2(x: Column) -> Column:
+    return F.log2(x)
 
-    def __init__(self, text):
-        self.text = str(text)
 
-    def _two(self, op, other, flip=False):
-        a, b = (other, self) if flip else (self, other)
-        return Sql(f"({getattr(a, 'text', a)} {op} {getattr(b, 'text', b)})")
+def power(x: Column, y: float) -> Column:
+    return F.pow(x, F.lit(float(y)))
 
-    def __add__(self, o): return self._two("+", o)  # noqa: E704
-    def __radd__(self, o): return self._two("+", o, True)  # noqa: E704
-    def __sub__(self, o): return self._two("-", o)  # noqa: E704
-    def __rsub__(self, o): return self._two("-", o, True)  # noqa: E704
-    def __mul__(self, o): return self._two("*", o)  # noqa: E704
-    def __rmul__(self, o): return self._two("*", o, True)  # noqa: E704
-    def __truediv__(self, o): return self._two("/", o)  # noqa: E704
-    def __rtruediv__(self, o): return self._two("/", o, True)  # noqa: E704
-    def __le__(self, o): return self._two("<=", o)  # noqa: E704
-    def __ge__(self, o): return self._two(">=", o)  # noqa: E704
-    def __gt__(self, o): return self._two(">", o)  # noqa: E704
-    def __lt__(self, o): return self._two("<", o)  # noqa: E704
 
+def least(a: Column, b: Column) -> Column:
+    return F.least(a, b)
 
-def log2(x):
-    return Sql(f"log2({x.text})") if isinstance(x, Sql) else F.log2(x)
 
-
-def power(x, y: float):
-    return Sql(f"pow({x.text}, {y})") if isinstance(x, Sql) else F.pow(x, F.lit(float(y)))
-
-
-def least(a, b):
-    return Sql(f"least({a.text}, {b.text})") if isinstance(a, Sql) else F.least(a, b)
-
-
-def most(a, b):
-    return Sql(f"greatest({a.text}, {getattr(b, 'text', b)})") if isinstance(a, Sql) else F.greatest(a, b if isinstance(b, Column) else F.lit(float(b)))
+def most(a: Column, b: Column | float) -> Column:
+    return F.greatest(a, b if isinstance(b, Column) else F.lit(float(b)))
 
 
 def scan(x, g):
@@ -191,24 +167,9 @@ def long_frame(spark: SparkSession, groups: dict[str, str]) -> DataFrame:
     return df.select("name", F.explode(F.array(*parts)).alias("m")).select("name", "m.measure", F.round(F.log2(F.col("m.value") + 1), 6).alias("log2_value"))
 
 
-def long_sql(groups: dict[str, str]) -> str:
-    g = {n: Sql(n) for n in NAMES}
-    rows = ", ".join("(" + ", ".join([f"'{r[0]}'", *[f"CAST({x!r} AS DOUBLE)" for x in r[1:]]]) + ")" for r in GRID)
-    base = f"(VALUES {rows}) AS grid(name, {', '.join(NAMES)})"
-    return " UNION ALL ".join(f"SELECT name, '{kind}/{k}' AS measure, round(log2(CAST({v.text} AS DOUBLE) + 1), 6) AS log2_value FROM {base}" for kind, f in groups.items() for k, v in globals()[f](g).items())
-
-
 def verdict_grid(spark: SparkSession) -> DataFrame:
     """(name, problem, printed, io_ratio_prior, recomputed): prior I/O over own, from the formulas."""
     df, g = grid_frame(spark), {n: F.col(n) for n in NAMES}
     own, prior = own_io(g), prior_io(g)
     parts = [F.struct(F.lit(p).alias("problem"), F.lit(VERDICTS[p][0]).alias("printed"), (prior[p] > own[p]).alias("own_is_less")) for p in own]
     return df.select("name", F.explode(F.array(*parts)).alias("m")).select("name", "m.*")
-
-
-def verdict_sql() -> str:
-    g = {n: Sql(n) for n in NAMES}
-    own, prior = own_io(g), prior_io(g)
-    rows = ", ".join("(" + ", ".join([f"'{r[0]}'", *[f"CAST({x!r} AS DOUBLE)" for x in r[1:]]]) + ")" for r in GRID)
-    base = f"(VALUES {rows}) AS grid(name, {', '.join(NAMES)})"
-    return " UNION ALL ".join(f"SELECT name, '{p}' AS problem, '{VERDICTS[p][0]}' AS printed, {prior[p].text} > {own[p].text} AS own_is_less FROM {base}" for p in own)

@@ -7,31 +7,32 @@ import math
 from ..cost import formulas as C
 from ..cost import simulate as SIM
 from ..sources import workloads as WL
+from . import cost_sql as X
 
 Q: dict = {}
 SQL: dict = {}
 
 
-def _family(name: str, groups: dict[str, str]) -> None:
+def _family(name: str, groups: dict[str, str], sql: str) -> None:
     Q[name] = lambda s, d: C.long_frame(s, groups)
-    SQL[name] = C.long_sql(groups)
+    SQL[name] = sql
 
 
-_family("bounds_own", {"phi": "phis", "io": "own_io"})
-_family("bounds_prior", {"sketch": "prior_io", "external": "external_io"})
-_family("io_formulas", {"io": "measures"})
+_family("bounds_own", {"phi": "phis", "io": "own_io"}, X.BOUNDS_OWN)
+_family("bounds_prior", {"sketch": "prior_io", "external": "external_io"}, X.BOUNDS_PRIOR)
+_family("io_formulas", {"io": "measures"}, X.measures())
 
 
 def _only(name: str, *keep: str) -> None:
     Q[name] = lambda s, d: C.long_frame(s, {"io": "measures"}).filter(" or ".join(f"measure = 'io/{k}'" for k in keep))
-    SQL[name] = f"SELECT * FROM ({C.long_sql({'io': 'measures'})}) WHERE measure IN ({', '.join(repr(f'io/{k}') for k in keep)})"
+    SQL[name] = X.measures(*keep)
 
 
 _only("vsketch_grid", "vsketch", "vsketch_split")
 _only("ksketch_grid", "ksketch_block", "ksketch_naive")
 _only("lower_bound_gap", "lower_bound", "gap", "gap_split")
 Q["verdict_grid"] = lambda s, d: C.verdict_grid(s)
-SQL["verdict_grid"] = C.verdict_sql()
+SQL["verdict_grid"] = X.VERDICT_GRID
 
 
 def _crossovers(s, d):
@@ -42,11 +43,9 @@ def _crossovers(s, d):
 
 
 Q["crossovers"] = _crossovers
-_g = {n: C.Sql(n) for n in C.NAMES}
-_rows = ", ".join("(" + ", ".join([f"'{r[0]}'", *[f"CAST({x!r} AS DOUBLE)" for x in r[1:]]]) + ")" for r in C.GRID)
-SQL["crossovers"] = f"SELECT name, {', '.join(f'{v.text} AS {k}' for k, v in C.crossovers(_g).items())} FROM (VALUES {_rows}) AS grid(name, {', '.join(C.NAMES)})"
+SQL["crossovers"] = X.CROSSOVERS
 Q["model_fit"] = lambda s, d: _crossovers(s, d).select("name", "model_fits", "space_below_edges")
-SQL["model_fit"] = f"SELECT name, model_fits, space_below_edges FROM ({SQL['crossovers']})"
+SQL["model_fit"] = X.MODEL_FIT
 
 _LOG = "log2(v) / log2(114000.0)"
 Q["casestudy_sizes"] = lambda s, d: s.createDataFrame([(float(v), round(C.casestudy_size(v) / 2**40, 4), round(C.casestudy_size(v, log_exponent=4) / 2**40, 4), round(C.adjacency_bytes(v) / 2**40, 4)) for v in (114_000, 1_000_000, 33_000_000)], "v double, sketch_tib double, sketch_tib_k_log double, adjacency_tib double")
@@ -55,7 +54,7 @@ Q["casestudy_break_even"] = lambda s, d: s.createDataFrame([(float(x), round(mat
 Q["tail_bounds"] = lambda s, d: s.createDataFrame([(r, j, C.tail_bound(r, j)) for r in (1, 16, 64) for j in range(0, 12)], "rho int, j int, bound double")
 SQL["tail_bounds"] = "SELECT CAST(rho AS INTEGER) AS rho, CAST(j AS INTEGER) AS j, least(1.0, rho * pow(2.0, -j)) AS bound FROM (VALUES (1), (16), (64)) r(rho), range(12) t(j)"
 Q["round_volume"] = lambda s, d: s.createDataFrame([(r[0], C.round_volume(r[3], math.log2(r[1]), r[4])) for r in C.GRID], "name string, rounds double")
-SQL["round_volume"] = f"SELECT name, 2 * N * log2(V) / (M * M) AS rounds FROM (VALUES {_rows}) AS grid(name, {', '.join(C.NAMES)})"
+SQL["round_volume"] = X.ROUND_VOLUME
 Q["deletion_cost_formula"] = lambda s, d: s.createDataFrame([(k, C.deletion_cost(k)) for k in (2, 8, 32)], "k int, cost double")
 SQL["deletion_cost_formula"] = "SELECT CAST(k AS INTEGER) AS k, k / 2.0 * log2(k) AS cost FROM (VALUES (2), (8), (32)) t(k)"
 for _mode, _name in (("block", "io_sim_block"), ("per_update", "io_sim_per_update"), ("global_sort", "io_sim_global_sort")):

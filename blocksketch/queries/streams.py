@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators import cells as C
 from ..operators import stream as S
-from ..session import checkpoint_dir, table
+from ..session import shared_folder, table
 from ..sources import workloads as WL
 from ..spec import SketchSpec
 from ..streaming import ingest as I
@@ -42,15 +42,18 @@ W7E = f"SELECT u, v FROM ({WL.SQL_W7}) GROUP BY u, v HAVING sum(delta) = 1"
 
 def _updates_folder(s, d, parts: int = 4) -> str:
     """The toggle stream as files, for a source that delivers it one file a batch."""
-    path = f"{checkpoint_dir(s)}/updates-{uuid.uuid4()}"
+    path = shared_folder(s, "updates")
     WL.stream_w7(s, d).repartition(parts).write.parquet(path)
     return path
 
 
+def _updates(s, source: str) -> DataFrame:
+    return s.readStream.schema("seq long, u long, v long, delta int, w double").option("maxFilesPerTrigger", 1).parquet(source)
+
+
 def _ingested(s, d) -> str:
-    source, path = _updates_folder(s, d), f"{checkpoint_dir(s)}/cells-{uuid.uuid4()}"
-    stream = s.readStream.schema("seq long, u long, v long, delta int, w double").option("maxFilesPerTrigger", 1).parquet(source)
-    I.start_ingest(stream, path, path + "-log", SPEC).awaitTermination()
+    path = shared_folder(s, "cells")
+    I.start_ingest(_updates(s, _updates_folder(s, d)), path, path + "-log", SPEC).awaitTermination()
     return path
 
 
@@ -59,14 +62,45 @@ put("stream_cells_equals_batch", sql_cells(W7E, SPEC))(lambda s, d: cols(I.snaps
 
 @put("stream_replay_idempotent", sql_cells(W7E, SPEC))
 def _replay(s, d):
-    path = _ingested(s, d)
-    I.write_batch(WL.stream_w7(s, d).limit(0), 10_000, path, SPEC)
-    whole = I.snapshot(s, path)
-    again = f"{checkpoint_dir(s)}/cells-{uuid.uuid4()}"
+    path = shared_folder(s, "cells")
     for _ in range(2):  # the same batch twice
-        I.write_batch(WL.stream_w7(s, d), 0, again, SPEC)
-    del whole
-    return cols(I.snapshot(s, again))
+        I.write_batch(WL.stream_w7(s, d), 0, path, SPEC)
+    return cols(I.snapshot(s, path))
+
+
+@put("stream_compacted", sql_cells(W7E, SPEC))
+def _compacted(s, d):
+    """The first two batches summed in one folder, and the later ones as they came."""
+    path, target = _ingested(s, d), shared_folder(s, "compacted")
+    I.compact(s, path, target, 1)
+    return cols(I.snapshot(s, path, compacted=target))
+
+
+PANE = 250
+#: Rows of a window as edges of an odd number of updates: what is left of them when pairs cancel.
+W7W = f"SELECT u, v FROM ({WL.SQL_W7}) WHERE seq >= {PANE} AND seq < {4 * PANE} GROUP BY u, v HAVING count(*) % 2 = 1"
+
+
+def _paned(s, d, source: str, delay: int | None = None) -> str:
+    path = shared_folder(s, "panes")
+    I.start_panes(_updates(s, source), path, path + "-log", SPEC, PANE, delay).awaitTermination()
+    return path
+
+
+@put("stream_pane_window", sql_cells(W7W, SPEC))
+def _pane_window(s, d):
+    """A sliding window of three panes as the XOR of their cells."""
+    return cols(I.window_cells(s, _paned(s, d, _updates_folder(s, d)), 1, 3))
+
+
+def _changes(s, d, how) -> DataFrame:
+    path = shared_folder(s, "changes")
+    I.start_changes(how(_updates(s, _updates_folder(s, d)), SPEC), path, path + "-log").awaitTermination()
+    return cols(I.latest_cells(s, path))
+
+
+put("stream_cell_state", sql_cells(W7E, SPEC))(lambda s, d: _changes(s, d, I.changed_cells))
+put("stream_group_state", sql_cells(W7E, SPEC))(lambda s, d: _changes(s, d, I.changed_by_group))
 
 
 @put("stream_xor_state", "SELECT user_id, bit_xor(event_id) AS x, count(*) AS n FROM events GROUP BY 1")
@@ -101,11 +135,17 @@ def _static(s, d):
 @put("stream_dedup", "SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
 def _dedup(s, d):
     e = events(s, d).withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["event_id"])
-    return I.drained(e.select("event_id"), _name()).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("event_id").alias("ids"))
+    path = shared_folder(s, "ids")
+    return I.stored(e.select("event_id"), path, path + "-log").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("event_id").alias("ids"))
+
+
+DELAY = 100
 
 
-@put("stream_late_counted", "SELECT CAST((SELECT count(*) FROM events) AS BIGINT) AS sketched, CAST(0 AS BIGINT) AS dropped")
+@put("stream_late_counted", f"SELECT CAST((SELECT count(*) FROM events) AS BIGINT) AS sketched, CAST(count(*) AS BIGINT) AS late FROM events WHERE event_id % 2 = 1 AND event_id < (SELECT max(event_id) FROM events WHERE event_id % 2 = 0) - {DELAY}")
 def _late(s, d):
-    """A sketch takes late updates in whatever order: all rows are ingested, and none is dropped by a watermark."""
-    got = I.drained(events(s, d).select("event_id"), _name())
-    return got.agg(F.count(F.lit(1)).alias("sketched")).select("sketched", (F.lit(table(s, d, "events").count()) - F.col("sketched")).cast("long").alias("dropped"))
+    """Even numbers come first, odd ones a batch later: all rows are sketched, and those behind the allowed delay are counted."""
+    source = shared_folder(s, "updates")
+    for odd in (0, 1):
+        WL.stream_w7(s, d).filter(F.col("seq") % 2 == odd).coalesce(1).write.mode("append").parquet(source)
+    return I.late_counts(s, _paned(s, d, source, DELAY)).select(F.col("n").alias("sketched"), "late")

@@ -17,7 +17,7 @@ def duck():
     return c
 
 
-@pytest.mark.parametrize("name", ["edges_canonical", "cells_w1", "cells_delete_cancels", "cc_w3", "cc_w4", "forest_w16", "verdict_grid", "io_sim_block", "op_join_asof", "op_window_frame", "stream_cells_equals_batch", "deletion_schedule_k8"])
+@pytest.mark.parametrize("name", ["edges_canonical", "cells_w1", "cells_delete_cancels", "cc_w3", "cc_w4", "forest_w16", "verdict_grid", "io_sim_block", "op_join_asof", "op_window_frame", "stream_cells_equals_batch", "stream_compacted", "stream_pane_window", "stream_cell_state", "stream_group_state", "stream_late_counted", "deletion_schedule_k8"])
 def test_matches_sql(spark, duck, name):
     df = entry.queries()[name](spark, SF)
     cols = sorted(df.columns)
@@ -27,5 +27,16 @@ def test_matches_sql(spark, duck, name):
     assert sorted(repr(tuple(r[c] for c in cols)) for r in df.collect()) == want
 
 
+def test_compacted_snapshot_refuses_an_earlier_time(spark):
+    from blocksketch.queries import streams
+    from blocksketch.session import shared_folder
+    from blocksketch.streaming import ingest
+
+    path, target = streams._ingested(spark, SF), shared_folder(spark, "compacted")
+    ingest.compact(spark, path, target, 2)
+    with pytest.raises(ValueError, match="compacted"):
+        ingest.snapshot(spark, path, 1, target)
+
+
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())

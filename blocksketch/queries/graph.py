@@ -6,6 +6,7 @@ import math
 
 from pyspark.sql import functions as F
 
+from ..cost import simulate
 from ..exact import external, solvers
 from ..functions import hashing as H
 from ..operators import cells as C
@@ -497,3 +498,14 @@ def _exact_cut(s, d):
 register("exact_peel_w12b", DENSE12)(lambda s, d: _row(s, "density double", round(solvers.peel(K.collected(WL.edges(s, d, "w12b").select("u", "v")))[0], 6)))
 register("adjacency_w7", f"SELECT count(*) AS edges, CAST(count(*) * 16 AS BIGINT) AS bytes FROM ({W7E})")(lambda s, d: external.adjacency_size(WL.stream_w7(s, d)))
 register("contraction_trials_w12b")(lambda s, d: K.contraction_trials(WL.edges(s, d, "w12b"), 200).agg(F.min("value").alias("best")))
+
+
+@register("measured_shuffle_w3", f"SELECT mode, CAST(2 * n * f AS BIGINT) AS shuffle_records FROM (SELECT count(*) AS n FROM ({WL.sql_edges('w3')})), (VALUES ('block', 1), ('per_update', {SPEC.rows})) m(mode, f)")
+def _measured_w3(s, d):
+    """Records that Spark's own figures say ingestion shuffled: both ends of each update, or each of their rows in the naive order."""
+    u = cut(ins(s, d, "w3"))
+    got = []
+    for mode in ("block", "per_update"):
+        run = lambda m=mode: C.sketch_updates(u, SPEC, mode=m, hubs=None).write.format("noop").mode("overwrite").save()
+        got.append((mode, int(simulate.measured(s, run)["shuffle_records"])))
+    return s.createDataFrame(got, "mode string, shuffle_records long")

@@ -17,7 +17,7 @@ def duck():
     return c
 
 
-@pytest.mark.parametrize("name", ["edges_canonical", "cells_w1", "cells_delete_cancels", "cc_w3", "cc_w4", "forest_w16", "verdict_grid", "io_sim_block", "op_join_asof", "op_window_frame", "stream_cells_equals_batch", "stream_compacted", "stream_pane_window", "stream_cell_state", "stream_group_state", "stream_late_counted", "deletion_schedule_k8"])
+@pytest.mark.parametrize("name", ["edges_canonical", "cells_w1", "cells_delete_cancels", "cc_w3", "cc_w4", "forest_w16", "verdict_grid", "io_sim_block", "op_join_asof", "op_window_frame", "stream_cells_equals_batch", "stream_compacted", "stream_pane_window", "stream_cell_state", "stream_group_state", "stream_late_counted", "measured_shuffle_w3", "deletion_schedule_k8"])
 def test_matches_sql(spark, duck, name):
     df = entry.queries()[name](spark, SF)
     cols = sorted(df.columns)

@@ -278,3 +278,34 @@ def test_contraction_beyond_the_limit(spark, monkeypatch):
     edges = spark.createDataFrame(clique(0) + clique(10) + [(0, 10), (1, 11)], "u long, v long")
     values = [x.value for x in kconn.contraction_trials(edges, 8).collect()]
     assert len(values) == 8 and min(values) == 2.0 and len(set(values)) > 1
+
+
+def test_contraction_stops_when_roots_rest(spark, monkeypatch):
+    from blocksketch.plans import forest
+
+    pairs = [(0, i, i ^ 1, min(i, i ^ 1), max(i, i ^ 1)) for i in range(4096)]
+    done, cut = [], forest.cut
+    monkeypatch.setattr(forest, "cut", lambda df: done.append(1) or cut(df))
+    labels, chosen = forest.contract_functional(spark.createDataFrame(pairs, "g int, label long, to long, u long, v long"))
+    assert len(done) <= 4 and all(r.root == r.label & ~1 for r in labels.collect()) and chosen.count() == 2048
+    ring = [(0, i, (i * 5 + 1) % 64, min(i, (i * 5 + 1) % 64), max(i, (i * 5 + 1) % 64)) for i in range(64)]  # one cycle through all
+    tail = [(0, 100 + i, 99 + i if i else 7, 99 + i if i else 7, 100 + i) for i in range(20)]
+    labels, chosen = forest.contract_functional(spark.createDataFrame(ring + tail, "g int, label long, to long, u long, v long"))
+    assert {r.root for r in labels.collect()} == {0} and chosen.count() == 83
+
+
+@pytest.mark.parametrize("local", [0, 40, 10**6])
+def test_buffers_contract_with_the_graph(spark, local):
+    """Vertices beyond local: updates whose ends have met leave, and few labels are united on the driver."""
+    from blocksketch.plans import forest
+
+    e = graph(60, 80, 5) + [(u + 100, v + 100) for u, v in graph(60, 200, 6)]
+    u = updates(spark, e + e[:30], [1] * len(e) + [-1] * 30)
+    vs = CC.touched(u).select(F.lit(0).alias("g"), "x")
+    spec = size_spec(120, len(e) + 30, seed=3)
+    buffers = C.Buffers(u, spec)
+    labels, chosen, _ = forest.boruvka(buffers, spec, vs, mode="distributed" if not local else "auto", local=min(local, 100))
+    want = {r.x: r.label for r in external.components(S.edges_at(u)).collect()}
+    assert {r.x: r.label for r in labels.collect()} == {x: want.get(x, x) for p in e for x in p}
+    left = {(r.u, r.v) for r in chosen.collect()}
+    assert left <= set(e[30:]) and len(left) == len(want) - len(set(want.values())) and "dealt" not in buffers.__dict__

@@ -40,3 +40,14 @@ def test_compacted_snapshot_refuses_an_earlier_time(spark):
 
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+READ = ["bounds_own"]  # queries that read a given table
+
+
+@pytest.mark.parametrize("name", READ)
+def test_reads_a_given_table(spark, duck, name):
+    df = entry.queries()[name](spark, SF)
+    assert df.inputFiles() and df.count()
+    if name in entry.oracle_sql():
+        test_matches_sql(spark, duck, name)

@@ -42,7 +42,7 @@ def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
-READ = ["bounds_own", "bounds_prior"]  # queries that read a given table
+READ = ["bounds_own", "bounds_prior", "casestudy_break_even"]  # queries that read a given table
 
 
 @pytest.mark.parametrize("name", READ)

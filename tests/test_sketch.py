@@ -309,3 +309,12 @@ def test_buffers_contract_with_the_graph(spark, local):
     assert {r.x: r.label for r in labels.collect()} == {x: want.get(x, x) for p in e for x in p}
     left = {(r.u, r.v) for r in chosen.collect()}
     assert left <= set(e[30:]) and len(left) == len(want) - len(set(want.values())) and "dealt" not in buffers.__dict__
+
+
+def test_lambda_w12b_counts_up_to_the_cap_of_its_sql(spark, monkeypatch):
+    """Ten vertices, all joined: beyond seven, and below the SQL's ten."""
+    from blocksketch.queries import graph as GQ
+
+    k10 = updates(spark, list(itertools.combinations(range(10), 2))).select("u", "v", "w")
+    monkeypatch.setattr(GQ.WL, "edges", lambda *a: k10)
+    assert GQ.Q["lambda_w12b"](spark, "").collect() == [(9,)]

@@ -50,6 +50,9 @@ def compact(spark: SparkSession, path: str, target: str, upto: int) -> None:
     snapshot(spark, path, upto).write.mode("overwrite").parquet(f"{target}/batch_id={upto}")
 
 
+RUN = 64  # panes in a folder: a folder and a file for every pane and batch grow with the stream, and creating and listing them took most of the time
+
+
 def write_panes(batch: DataFrame, batch_id: int, path: str, spec: SketchSpec, width: int, delay: int | None = None) -> None:
     """The batch's cells by panes of width sequence numbers, and with delay a row of counts.
 
@@ -57,7 +60,9 @@ def write_panes(batch: DataFrame, batch_id: int, path: str, spec: SketchSpec, wi
     their own pane like others, and only counted, as sums take updates in any order.
     """
     cells = apply_buffers(deal(batch.withColumn("pane", F.floor(F.col("seq") / width)), spec, ("pane",)), spec, keep=("pane",))
-    cells.write.mode("overwrite").partitionBy("pane").parquet(f"{path}/cells/batch_id={batch_id}")
+    # a folder for each run of panes, written by one task: files as many as folders, whatever the partitions
+    cells = cells.withColumn("run", F.floor(F.col("pane") / RUN)).repartition("run").sortWithinPartitions("run", "pane")
+    cells.write.mode("overwrite").partitionBy("run").parquet(f"{path}/cells/batch_id={batch_id}")
     if delay is None:
         return
     spark = batch.sparkSession
@@ -75,9 +80,9 @@ def start_panes(updates: DataFrame, path: str, checkpoint: str, spec: SketchSpec
 
 
 def window_cells(spark: SparkSession, path: str, first: int, last: int) -> DataFrame:
-    """The cells of the updates in a run of panes; the folders of other panes are not read."""
+    """The cells of the updates in panes first to last; the folders of other runs are not read, and of a folder's files, which are sorted by pane, only the row groups with these panes."""
     cells = spark.read.option("basePath", f"{path}/cells").parquet(f"{path}/cells")
-    return fold(cells.filter(F.col("pane").between(first, last)), *KEYS)
+    return fold(cells.filter(F.col("run").between(first // RUN, last // RUN) & F.col("pane").between(first, last)), *KEYS)
 
 
 def late_counts(spark: SparkSession, path: str) -> DataFrame:

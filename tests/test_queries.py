@@ -42,6 +42,23 @@ def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
+def test_panes_share_folders(spark):
+    """Files do not grow with panes and partitions: one for each run of panes and batch."""
+    from blocksketch.operators import cells as C
+    from blocksketch.queries.graph import SPEC
+    from blocksketch.session import shared_folder
+    from blocksketch.streaming import ingest
+
+    path = shared_folder(spark, "panes")
+    rows = spark.range(0, 40_000).selectExpr("id as seq", "id as u", "id + 50000 as v")
+    ingest.write_panes(rows, 0, path, SPEC, 100)
+    files = spark.read.parquet(f"{path}/cells").inputFiles()
+    assert len(files) <= -(-400 // ingest.RUN)
+    got = ingest.window_cells(spark, path, 60, 70)
+    want = C.sketch_updates(rows.filter("seq >= 6000 and seq < 7100"), SPEC)
+    assert sorted(map(tuple, got.select(want.columns).collect())) == sorted(map(tuple, want.collect()))
+
+
 READ = ["bounds_own", "bounds_prior", "casestudy_break_even", "casestudy_sizes", "crossovers", "deletion_cost", "deletion_cost_formula", "deletion_schedule_k8", "io_formulas", "ksketch_grid", "lower_bound_gap", "model_fit"]  # queries that read a given table
 
 

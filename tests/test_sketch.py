@@ -3,6 +3,7 @@
 import itertools
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -318,3 +319,15 @@ def test_lambda_w12b_counts_up_to_the_cap_of_its_sql(spark, monkeypatch):
     k10 = updates(spark, list(itertools.combinations(range(10), 2))).select("u", "v", "w")
     monkeypatch.setattr(GQ.WL, "edges", lambda *a: k10)
     assert GQ.Q["lambda_w12b"](spark, "").collect() == [(9,)]
+
+
+def test_peeling_arrays_agrees_with_peeling_sets_beyond_one_list(spark):
+    for seed in range(5):
+        e = graph(40, 150 + 40 * seed, seed)
+        u, v = np.array(e).T
+        assert solvers.peel_arrays(u, v) == solvers.peel(e)
+    many = spark.range(0, 250_000).selectExpr("id as u", "id + 1 as v")  # more than a list takes
+    with pytest.raises(K.TooLarge):
+        K.collected(many)
+    u, v = K.collected_arrays(many)
+    assert len(u) == 250_000 and solvers.peel_arrays(u, v)[0] == 250_000 / 250_001

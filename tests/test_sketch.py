@@ -331,3 +331,17 @@ def test_peeling_arrays_agrees_with_peeling_sets_beyond_one_list(spark):
         K.collected(many)
     u, v = K.collected_arrays(many)
     assert len(u) == 250_000 and solvers.peel_arrays(u, v)[0] == 250_000 / 250_001
+
+
+def test_cosine_pairs_by_blocks():
+    """All pairs once; a pair on the bound is summed term by term, and a vector of length zero has no pair."""
+    r = np.random.default_rng(4)
+    x = np.round(r.normal(size=(60, 5)), 1)
+    x[7] = 0
+    ids = r.permutation(60)
+    dot = lambda p, q: sum(a * b for a, b in zip(p, q))
+    cos = {(min(ids[i], ids[j]), max(ids[i], ids[j])): dot(x[i], x[j]) / (dot(x[i], x[i]) ** 0.5 * dot(x[j], x[j]) ** 0.5) for i in range(60) for j in range(i) if 7 not in (i, j)}
+    bound = round(cos[min(cos)], 6)
+    want = sorted(k for k, c in cos.items() if round(c, 6) >= bound)
+    parts = [solvers.cosine_pairs(ids[a], ids[b], x[a], x[b], bound, a == b) for a, b in ((slice(0, 30), slice(0, 30)), (slice(0, 30), slice(30, 60)), (slice(30, 60), slice(30, 60)))]
+    assert sorted(t for p in parts for t in zip(*p.to_pydict().values())) == want

@@ -345,3 +345,11 @@ def test_cosine_pairs_by_blocks():
     want = sorted(k for k, c in cos.items() if round(c, 6) >= bound)
     parts = [solvers.cosine_pairs(ids[a], ids[b], x[a], x[b], bound, a == b) for a, b in ((slice(0, 30), slice(0, 30)), (slice(0, 30), slice(30, 60)), (slice(30, 60), slice(30, 60)))]
     assert sorted(t for p in parts for t in zip(*p.to_pydict().values())) == want
+
+
+def test_exact_components_settle_on_a_long_path(spark):
+    """A thousand vertices in any order on a path, and a second path: few rounds."""
+    order = random.Random(6).sample(range(1000), 1000)
+    e = [(a, b) for a, b in zip(order, order[1:])] + [(a + 2000, b + 2000) for a, b in zip(range(300), range(1, 301))]
+    got = external.components(updates(spark, e), limit=12).collect()
+    assert len(got) == 1301 and all(r.label == (0 if r.x < 1000 else 2000) for r in got)

@@ -10,7 +10,10 @@ bounds first, only in rows whose partial score plus the bounds of what is left s
 that tie with it stay in. Exact scores then raise the running score for the next chunk.
 
 Vectors are dealt to shards and packed, a block of rows each; queries are packed into blocks, and each block of queries
-meets each shard once. Every shard returns k rows a query, and a window over a query's rows merges the shards.
+meets each shard once: both go to the shard's task by one exchange, the shard's rows first. That is no join, whose query
+side Spark takes for small and broadcasts, with all its copies, through the driver. Packed numbers are as narrow as they
+can be, and shards grow with the vectors (to LARGE rows), as queries travel once for every shard. Every shard returns k
+rows a query, and a window over a query's rows merges the shards.
 
 Defined results: vectors that are null, empty, or hold a null or non-finite component take no part. Vectors of different
 lengths score as if the shorter ended in zeros. A row with the query's own id is never its result, and repeated query
@@ -31,9 +34,9 @@ from pyspark.sql import Window as W
 
 from .common import columns
 
-SHARD, BLOCK, CHUNK, PROBE, EXACT = 8192, 256, 2048, 8, 2.0**52
+SHARD, LARGE, SHARDS, BLOCK, CHUNK, PROBE, EXACT = 8192, 65536, 64, 256, 2048, 8, 2.0**52
 NO_ID = 2**63 - 1
-_PACK = "blk long, ids array<long>, dims int, data binary"
+_PACK = "blk long, ids array<long>, dims int, kind string, data binary"
 
 
 def quantised(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 256) -> DataFrame:
@@ -43,6 +46,16 @@ def quantised(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "emb
     return v.filter(F.col("v").isNotNull() & (F.size("v") > 0) & finite).select("vec_id", F.transform("v", lambda x: F.floor(x * float(scale)).cast("double")).alias("v"))
 
 
+def _narrowest(m: np.ndarray) -> str:
+    """The narrowest type that holds a matrix of whole doubles."""
+    most = np.abs(m).max(initial=0)
+    return next((t for t in ("i1", "i2", "i4") if most <= np.iinfo(t).max), "f8")
+
+
+def _matrix(data: bytes, kind: str, dims: int) -> np.ndarray:
+    return np.frombuffer(data, dtype=kind).reshape(-1, dims).astype(float)
+
+
 def _packer(size: int):
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids: list = []
@@ -54,7 +67,8 @@ def _packer(size: int):
             m = np.zeros((len(rows), dims))
             for i, r in enumerate(rows):
                 m[i, : len(r)] = r
-            return pa.RecordBatch.from_arrays([pa.array([blk], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([dims], pa.int32()), pa.array([m.tobytes()], pa.binary())], ["blk", "ids", "dims", "data"])
+            kind = _narrowest(m)
+            return pa.RecordBatch.from_arrays([pa.array([blk], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([dims], pa.int32()), pa.array([kind]), pa.array([m.astype(kind).tobytes()], pa.binary())], ["blk", "ids", "dims", "kind", "data"])
 
         for b in batches:
             for k, i, v in zip(b["blk"].to_pylist(), b["vec_id"].to_pylist(), b["v"]):
@@ -140,38 +154,58 @@ class Shard:
         return top, score
 
 
-def search_block(queries: np.ndarray, q_ids: list, rows: np.ndarray, ids: list, k: int) -> Iterator[tuple[int, int | None, int]]:
-    """(query id, row id, score): each query's k best rows of one shard."""
-    dims = max(queries.shape[1], rows.shape[1])
-    q, x = (np.pad(m, ((0, 0), (0, dims - m.shape[1]))) for m in (queries, rows))
-    if (np.abs(q) @ np.abs(x).max(0)).max() >= EXACT:
+class Rows:
+    """One shard's rows, with postings made once for each number of dimensions that is asked for."""
+
+    def __init__(self, rows: np.ndarray, ids: list):
+        self.rows, self.ids, self.largest, self.shards = rows, ids, np.abs(rows).max(0), {}
+
+    def search(self, queries: np.ndarray, q_ids: list, k: int) -> Iterator[tuple[int, int | None, int]]:
+        """(query id, row id, score): each query's k best rows of the shard."""
+        dims = max(queries.shape[1], self.rows.shape[1])
+        wide = lambda m: np.pad(m, ((0, 0), (0, dims - m.shape[1]))) if m.shape[1] < dims else m
+        q = wide(queries)
+        if (np.abs(q) @ wide(self.largest[None])[0]).max() >= EXACT:
+            x = wide(self.rows)
+            for n, qi in enumerate(q_ids):
+                own = [int(a) for a in q[n]]
+                got = sorted((-sum(a * int(b) for a, b in zip(own, r)), i is None, i or 0, i) for i, r in zip(self.ids, x) if i != qi)[:k]
+                yield from ((qi, i, -s) for s, _, _, i in got)
+            return
+        shard = self.shards.get(dims)
+        if shard is None:
+            shard = self.shards[dims] = Shard(wide(self.rows), self.ids)
         for n, qi in enumerate(q_ids):
-            own = [int(a) for a in q[n]]
-            got = sorted((-sum(a * int(b) for a, b in zip(own, r)), i is None, i or 0, i) for i, r in zip(ids, x) if i != qi)[:k]
-            yield from ((qi, i, -s) for s, _, _, i in got)
-        return
-    shard = Shard(x, ids)
-    for n, qi in enumerate(q_ids):
-        for p, s in zip(*shard.best(q[n], qi, k)):
-            yield qi, shard.ids[p], int(s)
+            for p, s in zip(*shard.best(q[n], qi, k)):
+                yield qi, shard.ids[p], int(s)
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5) -> DataFrame:
     """(query_id, rank, vec_id, score); both inputs as from quantised()."""
     asked = queries.filter("vec_id is not null").groupBy("vec_id").agg(F.min("v").alias("v"))
     n, m = vectors.count(), asked.count()
-    shards, blocks = _packed(vectors, SHARD, n), _packed(asked, BLOCK, m)
-    shards = shards.withColumn("shard", F.col("blk"))
-    n_shards = max(1, -(-n // SHARD))
-    dealt = blocks.select(F.col("ids").alias("q_ids"), F.col("dims").alias("q_dims"), F.col("data").alias("q_data"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_shards - 1).cast("long"))).alias("shard"))
+    size = min(LARGE, max(SHARD, -(-n // SHARDS)))
+    n_shards = max(1, -(-n // size))
+    packed = ("ids", "dims", "kind", "data")
+    shards = _packed(vectors, size, n).select(F.col("blk").alias("shard"), F.lit(0).alias("part"), *packed)
+    everywhere = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_shards - 1).cast("long"))).alias("shard")
+    blocks = _packed(asked, BLOCK, m).select(everywhere, F.lit(1).alias("part"), *packed)
+    met = shards.union(blocks).repartition(n_shards, "shard").sortWithinPartitions("shard", "part")
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, rows = None, []
         for b in batches:
-            for qi, qd, qx, i, d, x in zip(*(b[c] for c in ("q_ids", "q_dims", "q_data", "ids", "dims", "data"))):
-                got = list(search_block(np.frombuffer(qx.as_py()).reshape(-1, qd.as_py()), qi.as_py(), np.frombuffer(x.as_py()).reshape(-1, d.as_py()), i.as_py(), k))
+            for shard, part, ids, dims, kind, data in zip(*(b[c] for c in ("shard", "part", *packed))):
+                if shard.as_py() != at:
+                    at, rows = shard.as_py(), []
+                x, ids = _matrix(data.as_py(), kind.as_py(), dims.as_py()), ids.as_py()
+                if part.as_py() == 0:
+                    rows.append(Rows(x, ids))
+                    continue
+                got = [g for r in rows for g in r.search(x, ids, k)]
                 yield pa.RecordBatch.from_arrays([pa.array([g[c] for g in got], pa.int64()) for c in range(3)], ["query_id", "vec_id", "score"])
 
-    found = dealt.join(shards, "shard").select("q_ids", "q_dims", "q_data", "ids", "dims", "data").mapInArrow(search, "query_id long, vec_id long, score long")
+    found = met.mapInArrow(search, "query_id long, vec_id long, score long")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), F.asc_nulls_last("vec_id")))
     return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 

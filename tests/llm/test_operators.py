@@ -558,6 +558,28 @@ def test_top_k_exact_with_ties_nulls_and_large_values(spark):
     assert set(got) == set(range(0, 300, 50))
 
 
+def test_top_k_over_many_shards_broadcasts_no_queries(spark, monkeypatch):
+    """The copies of the queries, one for each shard, do not go through the driver, however small Spark takes them to be."""
+    monkeypatch.setattr(topk, "SHARD", 40)
+    monkeypatch.setattr(topk, "SHARDS", 8)
+    g = np.random.default_rng(5)
+    own = {i: np.floor(256 * x) for i, x in enumerate(g.normal(0, 1, (600, 8)) * np.array([1, 1, 1, 1, 1, 1, 1, 200]))}
+    v = topk.quantised(spark.createDataFrame([(i, (x / 256).tolist()) for i, x in own.items()], "vec_id long, embedding array<double>"))
+    df = topk.top_k(v, v.filter("vec_id % 50 = 0"), 3)
+    got = {(x.query_id, x.rank): (x.vec_id, x.score) for x in df.collect()}
+    for q in range(0, 600, 50):
+        want = sorted((-int(own[q] @ own[i]), i) for i in own if i != q)[:3]
+        assert [got[q, n + 1] for n in range(3)] == [(i, -s) for s, i in want]
+    assert "Join" not in df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_packed_numbers_are_as_narrow_as_they_can_be():
+    for most, kind in ((0, "i1"), (-127, "i1"), (128, "i2"), (2**15, "i4"), (2**31, "f8"), (1e300, "f8")):
+        m = np.array([[0.0, most], [1.0, -1.0]])
+        assert topk._narrowest(m) == kind
+        assert np.array_equal(topk._matrix(m.astype(kind).tobytes(), kind, 2), m)
+
+
 def test_max_score_reads_less_and_finds_the_same():
     g = np.random.default_rng(17)
     for dims, spread in ((12, 3.0), (64, 1.0)):

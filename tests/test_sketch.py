@@ -353,3 +353,31 @@ def test_exact_components_settle_on_a_long_path(spark):
     e = [(a, b) for a, b in zip(order, order[1:])] + [(a + 2000, b + 2000) for a, b in zip(range(300), range(1, 301))]
     got = external.components(updates(spark, e), limit=12).collect()
     assert len(got) == 1301 and all(r.label == (0 if r.x < 1000 else 2000) for r in got)
+
+
+def test_hyperedge_cells_in_arrays_are_those_of_spark(spark):
+    r, spec = 5, SketchSpec(rows=6, levels=12, seed=4)
+    sets = [(sorted({(7 * i + 11 * j * j + i * j) % 60 for j in range(2 + i % 4)}), 1 if i % 5 else -1) for i in range(90)]
+    h = HY.canonical_hyperedges(spark.createDataFrame(sets, "m array<long>, delta int"), "m")
+    updates = HY._updates(HY.with_fingerprint(h, spec, r))
+    labels = updates.select("x").distinct().withColumn("label", F.col("x") % 9)
+    want = HY.fold_hyper(HY.expand_hyper(updates.join(labels, "x"), spec, r, 2, 4, "label"), r, "label", "row", "lvl")
+    got = HY._by_label(updates, labels, spec, r, 1)
+    assert sorted(map(tuple, got.select(want.columns).collect())) == sorted(map(tuple, want.collect()))
+    plain = h.withColumn("fp", HY.fingerprint(spec, HY.digits(F.col("members"), r)))
+    assert sorted(map(str, HY.with_fingerprint(h, spec, r).collect())) == sorted(map(str, plain.collect()))
+    batch = updates.select(F.col("x").alias("label"), "coef", "members", "fp").orderBy("label").toArrow().combine_chunks().to_batches()[0]
+    shown = []
+    for chunk in (7, 10_000):  # a vertex's updates may come in several chunks
+        s = HY.Sums(spec, r)
+        s.chunk = chunk
+        shown.append(sorted((x["label"], x["members"]) for b in s.found(0, 2)(iter([batch])) for x in b.to_pylist()))
+    assert shown[0] == shown[1]
+    real = {tuple(m) for m, _ in sets}
+    assert all(m is None or tuple(m) in real and x in m for x, m in shown[0]) and sum(m is not None for _, m in shown[0]) > 20
+
+
+def test_hyperedges_inside_a_label_are_read_no_more(spark):
+    h = spark.createDataFrame([([1, 2, 3], 0), ([1, 2], 1), ([3, 4], 2)], "members array<long>, e long")
+    labels = spark.createDataFrame([(1, 1), (2, 1), (3, 1), (4, 4)], "x long, label long")
+    assert [row.members for row in HY.crossing(h, labels).collect()] == [[3, 4]]

@@ -381,3 +381,38 @@ def test_hyperedges_inside_a_label_are_read_no_more(spark):
     h = spark.createDataFrame([([1, 2, 3], 0), ([1, 2], 1), ([3, 4], 2)], "members array<long>, e long")
     labels = spark.createDataFrame([(1, 1), (2, 1), (3, 1), (4, 4)], "x long, label long")
     assert [row.members for row in HY.crossing(h, labels).collect()] == [[3, 4]]
+
+
+def test_bucket_draws_in_arrays_are_those_of_the_cells(spark):
+    """Cells made in arrays are bucket_sketches(), in pieces as well; a bucket with deletions, and a sketch that shows nothing is passed over."""
+    from blocksketch.plans import densest as D
+
+    spec = SketchSpec(rows=3, levels=9, sketches=6, seed=5)
+    e = graph(30, 40, 3)
+    u, v = np.array(e + e[:10]).T  # ten edges are deleted
+    want = D.bucket_sketches(updates(spark, list(zip(u.tolist(), v.tolist()))).withColumn("bucket", F.lit(0)), spark.createDataFrame([(0, 30, 6)], "bucket long, n long, x long"), spec).collect()
+    draw = D.Draw(spec)
+    for chunk, wide in ((2**19, 100), (16, 4)):
+        draw.chunk, draw.wide = chunk, wide
+        sums = np.zeros((18, 9, 3), dtype=np.int64)
+        draw.add(sums, u[:7], v[:7])
+        draw.add(sums, u[7:], v[7:])
+        cells = {(i // 3, i % 3, j): tuple(sums[i, j].tolist()) for i in range(18) for j in range(9) if sums[i, j].any()}
+        assert cells == {(c.sk, c.row, c.lvl): (c.xu, c.xv, c.chk) for c in want}
+    sums[:3] = 0  # a sketch without a single edge
+    got = draw.edges(sums, 4)
+    assert len(set(got)) == 4 and set(got) <= set(e[10:])
+    with pytest.raises(SketchExhausted):
+        draw.edges(np.zeros((18, 9, 3), dtype=np.int64), 1)
+
+
+def test_a_bucket_is_drawn_in_one_task(spark):
+    """Spark's adaptive join splits partitions; a bucket's updates must meet all the same."""
+    from blocksketch.plans import densest as D
+    from blocksketch.session import cut
+
+    n = 64
+    bucketed = cut(spark.range(0, 60_000).selectExpr(f"id % {n} as bucket", "id as u", "id + 100000 as v", "1 as delta"))
+    numbers = cut(D.counters(bucketed).selectExpr("bucket", "n", "5L as x"))
+    got = D.bucket_sample(bucketed, numbers, SketchSpec(rows=8, levels=18, sketches=5, seed=3)).collect()
+    assert len(set(got)) == len(got) == 5 * n and all(r.u % n == r.bucket and r.v == r.u + 100_000 for r in got)

@@ -416,3 +416,15 @@ def test_a_bucket_is_drawn_in_one_task(spark):
     numbers = cut(D.counters(bucketed).selectExpr("bucket", "n", "5L as x"))
     got = D.bucket_sample(bucketed, numbers, SketchSpec(rows=8, levels=18, sketches=5, seed=3)).collect()
     assert len(set(got)) == len(got) == 5 * n and all(r.u % n == r.bucket and r.v == r.u + 100_000 for r in got)
+
+
+def test_batch_peeling_lists_any_number_of_vertices(spark):
+    """The densest stage may have more vertices than the solver's limit of edges."""
+    from blocksketch.plans import densest as D
+
+    for seed in range(4):
+        e = graph(30, 60 + 80 * seed, seed)
+        assert solvers.peel_batch_arrays(*np.array(e).T) == solvers.peel_batch(e)
+    ring = [(i, (i + d) % 60) for i in range(60) for d in (1, 2)]  # every vertex has degree 4, and all leave at once
+    density, vertices = D.peeled(spark.createDataFrame(ring, "u long, v long"), local=20)
+    assert density == 2.0 and type(density) is float and vertices == list(range(60))

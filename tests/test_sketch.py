@@ -428,3 +428,8 @@ def test_batch_peeling_lists_any_number_of_vertices(spark):
     ring = [(i, (i + d) % 60) for i in range(60) for d in (1, 2)]  # every vertex has degree 4, and all leave at once
     density, vertices = D.peeled(spark.createDataFrame(ring, "u long, v long"), local=20)
     assert density == 2.0 and type(density) is float and vertices == list(range(60))
+
+
+def test_arrays_take_more_edges_than_two_million(spark):
+    u, v = K.collected_arrays(spark.range(0, 2_100_000).selectExpr("id as u", "id + 1 as v"))
+    assert len(u) == len(v) == 2_100_000

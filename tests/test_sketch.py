@@ -433,3 +433,14 @@ def test_batch_peeling_lists_any_number_of_vertices(spark):
 def test_arrays_take_more_edges_than_two_million(spark):
     u, v = K.collected_arrays(spark.range(0, 2_100_000).selectExpr("id as u", "id + 1 as v"))
     assert len(u) == len(v) == 2_100_000
+
+
+def test_thresholds_end_on_the_driver_once_few_components_are_left(spark, monkeypatch):
+    e = [(u, v, (u * 5 + v * 11) % 12 + 1) for u, v in graph(40, 70, 21)]
+    got = lambda: [r.n_components for r in FM.threshold_components(weighted(spark, e), 0.5).orderBy("i").collect()]
+    want, made = got(), []
+    monkeypatch.setattr(FM, "LOCAL", 30)
+    few = FM.Few
+    monkeypatch.setattr(FM, "Few", lambda *a: made.append(few(*a)) or made[-1])
+    assert got() == want and want[0] > 30 > want[-1]
+    assert len(made) == 1

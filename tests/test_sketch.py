@@ -444,3 +444,13 @@ def test_thresholds_end_on_the_driver_once_few_components_are_left(spark, monkey
     monkeypatch.setattr(FM, "Few", lambda *a: made.append(few(*a)) or made[-1])
     assert got() == want and want[0] > 30 > want[-1]
     assert len(made) == 1
+
+
+def test_deleted_hyperedges_leave_the_buffers(spark, monkeypatch):
+    h = spark.createDataFrame([([1, 2], 1), ([1, 2], 1), ([3, 4, 5], 1), ([3, 4, 5], -1), ([2, 6], 1), ([2, 6], -1), ([2, 6], 1)], "members array<long>, delta int")
+    assert sorted((r.members, r.delta) for r in HY.net(h).collect()) == [([1, 2], 1), ([2, 6], 1)]
+    seen, first = [], HY._first_round
+    monkeypatch.setattr(HY, "_first_round", lambda hyper, *a: seen.append(hyper.count()) or first(hyper, *a))
+    labels = {r.x: r.label for r in HY.hyper_components(h, extraction="distributed")[0].collect()}
+    assert set(labels) == {1, 2, 3, 4, 5, 6} and labels[1] == labels[2] == labels[6] and len(set(labels.values())) == 4
+    assert seen == [2]

@@ -454,3 +454,11 @@ def test_deleted_hyperedges_leave_the_buffers(spark, monkeypatch):
     labels = {r.x: r.label for r in HY.hyper_components(h, extraction="distributed")[0].collect()}
     assert set(labels) == {1, 2, 3, 4, 5, 6} and labels[1] == labels[2] == labels[6] and len(set(labels.values())) == 4
     assert seen == [2]
+
+
+def test_a_graph_whose_edges_are_all_deleted_has_an_empty_draw(spark):
+    from blocksketch.queries import graph as GQ
+
+    u = spark.createDataFrame([(0, 1, 2, 1, 1.0), (1, 1, 2, -1, 1.0), (2, 3, 4, 1, 1.0), (3, 3, 4, -1, 1.0)], "seq long, u long, v long, delta int, w double")
+    row = GQ._dense(spark, None, u, 0.8).first()
+    assert (row.regime, row.within, row.strays, row.twice, row.wrong_buckets) == ("exact", True, 0, 0, 0)

@@ -462,3 +462,31 @@ def test_a_graph_whose_edges_are_all_deleted_has_an_empty_draw(spark):
     u = spark.createDataFrame([(0, 1, 2, 1, 1.0), (1, 1, 2, -1, 1.0), (2, 3, 4, 1, 1.0), (3, 3, 4, -1, 1.0)], "seq long, u long, v long, delta int, w double")
     row = GQ._dense(spark, None, u, 0.8).first()
     assert (row.regime, row.within, row.strays, row.twice, row.wrong_buckets) == ("exact", True, 0, 0, 0)
+
+
+def test_exact_components_contract_beyond_the_driver(spark):
+    """Edges reduced to stars in each partition, and contracted in Spark, give the least vertex of each component; loops and vertices beyond 2**53 stay."""
+    e = graph(300, 330, 8) + [(2**61, 2**61 + 4), (900, 900)]
+    want = {}
+    for u, v in e:
+        a, b = want.get(u, {u}), want.get(v, {v})
+        want.update(dict.fromkeys(a | b, a | b))
+    want = {x: min(s) for x, s in want.items()}
+    df = spark.createDataFrame(e, "u long, v long").repartition(6)
+    for local in (0, 40, 10**6):
+        assert {r.x: r.label for r in external.components(df, local=local).collect()} == want
+    star = solvers.Stars(8)
+    batches = spark.createDataFrame(e, "u long, v long").toArrow().to_batches(max_chunksize=3)
+    small = [p for b in star(iter(batches)) for p in zip(*b.to_pydict().values())]
+    assert {r.x: r.label for r in external.components(spark.createDataFrame(small, "u long, v long")).collect()} == want
+
+
+def test_vectors_are_compared_in_as_many_tasks_as_there_are(spark):
+    from blocksketch.queries import graph as GQ
+
+    df = GQ.w9(spark, "/root/testdata/sf0.01")
+    assert df.rdd.getNumPartitions() == 4
+    tasks = df.withColumn("p", F.spark_partition_id()).select("p").distinct().count()
+    assert tasks > 1
+    pairs = df.select("a", "b").collect()
+    assert len(set(pairs)) == len(pairs) and all(r.a < r.b for r in pairs)

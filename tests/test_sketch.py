@@ -481,6 +481,18 @@ def test_exact_components_contract_beyond_the_driver(spark):
     assert {r.x: r.label for r in external.components(spark.createDataFrame(small, "u long, v long")).collect()} == want
 
 
+def test_bipartiteness_sketches_only_what_joins_lifted_trees(spark, monkeypatch):
+    """Of an even ring, an odd one, a chord that is deleted again and a vertex left alone, only the odd ring's last edge is asked for."""
+    ring = lambda a, n: [(a + i, a + (i + 1) % n) for i in range(n)]
+    e = ring(0, 6) + ring(20, 5) + ring(2**55, 4) + [(0, 2), (0, 2), (40, 41), (40, 41)]
+    e = [(min(p), max(p)) for p in e]
+    seen, joined = [], FM._joined
+    monkeypatch.setattr(FM, "_joined", lambda apart, *a: seen.append(sorted({(r.u // 2, r.v // 2) for r in apart.collect()})) or joined(apart, *a))
+    got = {r.label: r.bipartite for r in FM.bipartiteness(updates(spark, e)).collect()}
+    assert got == {0: True, 20: False, 40: True, 41: True, 2**55: True}
+    assert len(e) > 18 and all(set(pair) <= set(range(3)) | set(range(20, 25)) | {40, 41} for pair in seen[0]) and len(seen[0]) <= 4
+
+
 def test_vectors_are_compared_in_as_many_tasks_as_there_are(spark):
     from blocksketch.queries import graph as GQ
 

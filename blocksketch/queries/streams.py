@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators import cells as C
 from ..operators import stream as S
-from ..session import shared_folder, table
+from ..session import cut, shared_folder, table
 from ..sources import workloads as WL
 from ..spec import SketchSpec
 from ..streaming import ingest as I
@@ -145,7 +145,7 @@ DELAY = 100
 @put("stream_late_counted", f"SELECT CAST((SELECT count(*) FROM events) AS BIGINT) AS sketched, CAST(count(*) AS BIGINT) AS late FROM events WHERE event_id % 2 = 1 AND event_id < (SELECT max(event_id) FROM events WHERE event_id % 2 = 0) - {DELAY}")
 def _late(s, d):
     """Even numbers come first, odd ones a batch later: all rows are sketched, and those behind the allowed delay are counted."""
-    source = shared_folder(s, "updates")
+    source, stream = shared_folder(s, "updates"), cut(WL.stream_w7(s, d))
     for odd in (0, 1):
-        WL.stream_w7(s, d).filter(F.col("seq") % 2 == odd).coalesce(1).write.mode("append").parquet(source)
+        stream.filter(F.col("seq") % 2 == odd).repartition(1).write.mode("append").parquet(source)  # one file a batch
     return I.late_counts(s, _paned(s, d, source, DELAY)).select(F.col("n").alias("sketched"), "late")

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..operators.cells import KEYS, SUMS, apply_buffers, deal, expand_rows, fold, sketch_updates
+from ..operators.cells import KEYS, SUMS, deal, deal_by, expand_rows, fold, sketch_updates
 from ..spec import SketchSpec
 
 
@@ -53,15 +53,24 @@ def compact(spark: SparkSession, path: str, target: str, upto: int) -> None:
 RUN = 64  # panes in a folder: a folder and a file for every pane and batch grow with the stream, and creating and listing them took most of the time
 
 
+def pane_cells(batch: DataFrame, spec: SketchSpec, width: int) -> DataFrame:
+    """The batch's cells by pane and run of panes.
+
+    A run is written by one task: files as many as folders, whatever the partitions. The narrow updates are dealt to runs,
+    and cells are made behind that exchange; a run's numbers bound what its task gets, so hubs need no salt.
+    """
+    batch = batch.withColumn("pane", F.floor(F.col("seq") / width))
+    dealt = deal_by(batch.withColumn("run", F.floor(F.col("pane") / RUN)), spec, "run", ("pane",))
+    return fold(expand_rows(dealt, spec, keep=("run", "pane")), "run", "pane", *KEYS)
+
+
 def write_panes(batch: DataFrame, batch_id: int, path: str, spec: SketchSpec, width: int, delay: int | None = None) -> None:
     """The batch's cells by panes of width sequence numbers, and with delay a row of counts.
 
     A row is late if it lies more than delay below the highest number of the batches before; late rows are sketched into
     their own pane like others, and only counted, as sums take updates in any order.
     """
-    cells = apply_buffers(deal(batch.withColumn("pane", F.floor(F.col("seq") / width)), spec, ("pane",)), spec, keep=("pane",))
-    # a folder for each run of panes, written by one task: files as many as folders, whatever the partitions
-    cells = cells.withColumn("run", F.floor(F.col("pane") / RUN)).repartition("run").sortWithinPartitions("run", "pane")
+    cells = pane_cells(batch, spec, width).sortWithinPartitions("run", "pane")
     cells.write.mode("overwrite").partitionBy("run").parquet(f"{path}/cells/batch_id={batch_id}")
     if delay is None:
         return

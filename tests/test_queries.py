@@ -68,3 +68,13 @@ def test_reads_a_given_table(spark, duck, name):
     assert df.inputFiles() and df.count()
     if name in entry.oracle_sql():
         test_matches_sql(spark, duck, name)
+
+
+def test_panes_are_made_behind_one_exchange_of_updates(spark):
+    """Cells, which are many for each update, do not travel."""
+    from blocksketch.queries.graph import SPEC
+    from blocksketch.streaming import ingest
+
+    cells = ingest.pane_cells(spark.range(0, 9000).selectExpr("id as seq", "id % 7 as u", "id + 50000 as v"), SPEC, 10)
+    plan = cells._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and plan.index("Generate") < plan.index("Exchange")

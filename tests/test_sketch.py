@@ -502,3 +502,18 @@ def test_vectors_are_compared_in_as_many_tasks_as_there_are(spark):
     assert tasks > 1
     pairs = df.select("a", "b").collect()
     assert len(set(pairs)) == len(pairs) and all(r.a < r.b for r in pairs)
+
+
+def test_hyperedges_are_made_once(spark):
+    """The hyperedges' plan is run a single time, whatever is asked of them."""
+    made = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    h = spark.createDataFrame([([1, 2, 3],), ([3, 4],), ([7, 8],)], "members array<long>").mapInArrow(count, "members array<long>")
+    labels = HY.hyper_components(h, extraction="distributed")[0]
+    assert {r.x: r.label for r in labels.collect()} == {1: 1, 2: 1, 3: 1, 4: 1, 7: 7, 8: 7}
+    assert made.value == 3

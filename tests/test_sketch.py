@@ -584,3 +584,19 @@ def test_peeling_arrays_takes_far_numbers_and_loops_over_degrees():
 def test_one_solver_takes_the_edges_of_sixty_copies():
     """densest_deletions_w14 has 23,637,900 edges over 60 copies of the tables at sf0.1."""
     assert K.ARRAYS >= 23_637_900
+
+
+def test_strays_and_repeats_of_a_draw_are_counted(spark, monkeypatch):
+    """A stray edge counts as often as it is drawn, an edge drawn twice from one bucket once; a draw of nothing has neither."""
+    from blocksketch.plans import densest as D
+    from blocksketch.queries import graph as G
+
+    u = updates(spark, [(1, 2), (1, 3), (2, 3), (3, 4), (3, 4)], [1, 1, 1, 1, -1])
+    x = D.densest_subgraph(u, 0.9)
+    rows = [(5, 1, 2), (5, 1, 2), (6, 1, 2), (6, 1, 3), (7, 3, 4), (8, 3, 4), (8, 8, 9)]
+    x["drawn"] = spark.createDataFrame(rows, "bucket long, u long, v long")
+    monkeypatch.setattr(D, "densest_subgraph", lambda *a, **k: x)
+    assert tuple(G._dense(spark, None, u, 0.9).first())[2:4] == (3, 1)
+    monkeypatch.undo()
+    none = updates(spark, [(1, 2), (1, 2)], [1, -1])
+    assert tuple(G._dense(spark, None, none, 0.9).first()) == ("exact", True, 0, 0, 0)
